@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, media_ts, mixing, secret_scan, toxicity
+from . import decontam, media_ts, mixing, ngram_join, secret_scan, toxicity
 from .engine import table
 
 
@@ -22,6 +22,10 @@ def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.report(decontam.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
 
+def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.classes(table(spark, sf_dir, "documents"))
+
+
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
@@ -32,7 +36,7 @@ def op10_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op6_decontamination, op9_toxicity_chain, op10_secret_ownership)
+    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op6_decontamination, op7_ngram_jaccard, op9_toxicity_chain, op10_secret_ownership)
 }
 
 ORACLES: dict[str, str] = {}
