@@ -72,9 +72,9 @@ class Spans:
         return mix(left + right + (b - a - 1).astype(U64))
 
 
-def line_bounds(buf: np.ndarray, off: np.ndarray, starts: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, ...]:
-    """(first word, end word, document, line number) of every line that has words."""
-    breaks = np.flatnonzero(buf == 10)
+def line_bounds(buf: np.ndarray, off: np.ndarray, starts: np.ndarray, doc: np.ndarray, breaks: np.ndarray | None = None) -> tuple[np.ndarray, ...]:
+    """(first word, end word, document, line number) of every line that has words.  breaks: last bytes of the lines, if not line feeds."""
+    breaks = np.flatnonzero(buf == 10) if breaks is None else breaks
     if not len(starts):
         z = np.zeros(0, np.int64)
         return z, z, z, z

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, line_dedup, media_ts, mixing, ngram_join, secret_scan, toxicity
+from . import decontam, line_dedup, media_ts, mixing, ngram_join, secret_scan, substring_dedup, toxicity, url_lists
 from .engine import table
 
 
@@ -22,6 +22,11 @@ def op3_line_deletion_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_report(table(spark, sf_dir, "documents"))
 
 
+def op4_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages").select("page_id", "url")
+    return url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages))
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.report(decontam.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
@@ -30,6 +35,10 @@ def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.classes(table(spark, sf_dir, "documents"))
 
 
+def op8_unit_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.dedup(table(spark, sf_dir, "documents")).drop("kept")
+
+
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
@@ -40,7 +49,7 @@ def op10_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op6_decontamination, op7_ngram_jaccard, op9_toxicity_chain, op10_secret_ownership)
+    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
 }
 
 ORACLES: dict[str, str] = {}
