@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, line_dedup, media_ts, mixing, ngram_join, secret_scan, substring_dedup, toxicity, url_lists
+from . import decontam, line_dedup, media_ts, mixing, ngram_join, secret_scan, substring_dedup, suffix_dedup, toxicity, url_lists
 from .engine import table
 
 
@@ -27,6 +27,10 @@ def op4_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages))
 
 
+def op5_suffix_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.report(table(spark, sf_dir, "documents"))
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.report(decontam.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
@@ -49,7 +53,7 @@ def op10_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
+    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
 }
 
 ORACLES: dict[str, str] = {}
