@@ -15,6 +15,7 @@ Ties and repeated rows score alike.  Extra columns are kept by ``accept``, ignor
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass, field
 
@@ -32,7 +33,7 @@ SEED_TERMS = {
     "insult": ("idiot", "moron", "loser", "clown", "stupid", "fool", "dumb"),
     "contempt": ("trash", "scum", "worthless", "pathetic", "disgusting", "garbage", "filth"),
 }
-SAMPLE, FOLDS, SEED, THRESHOLD, LEAST_Z = 6000, 3, 11, 0.5, 5.0
+SAMPLE, FOLDS, SEED, THRESHOLD, LEAST_Z = 16000, 3, 11, 0.3, 4.0
 
 
 def seed_hashes(terms: Sequence[str]) -> np.ndarray:
@@ -42,23 +43,41 @@ def seed_hashes(terms: Sequence[str]) -> np.ndarray:
     return word_hashes(buf, starts, ends, ALNUM_WORDS)
 
 
-def logistic(x: np.ndarray, y: np.ndarray, l2: float = 1.0, steps: int = 30) -> np.ndarray:
-    """Weights (the last is the intercept, not penalised) by damped Newton steps."""
-    x1 = np.hstack([x, np.ones((len(x), 1))])
-    w = np.zeros(x1.shape[1])
-    if not len(y) or y.min() == y.max():
-        rate = (y.sum() + 0.5) / (len(y) + 1) if len(y) else 1e-9
-        w[-1] = np.log(rate / (1 - rate)) if len(y) and y.max() > 0 else -20.0
+def logistic(rows: np.ndarray, cols: np.ndarray, size: tuple[int, int], dense: np.ndarray, y: np.ndarray, l2: float = 0.3, steps: int = 12) -> np.ndarray:
+    """Weights of sparse features (ones at rows, cols), then of dense columns, then the intercept (not penalised).
+
+    Newton steps, each solved by conjugate gradients, so only sparse products are ever formed."""
+    n, d = size
+    k = dense.shape[1]
+    w = np.zeros(d + k + 1)
+    if not n or y.min() == y.max():
+        w[-1] = np.log((y.sum() + 0.5) / (n - y.sum() + 0.5)) if n and y.max() > 0 else -20.0
         return w
     ridge = np.full(len(w), l2)
     ridge[-1] = 1e-6
+
+    def times(v):
+        return np.bincount(rows, weights=v[cols], minlength=n) + dense @ v[d : d + k] + v[-1]
+
+    def back(u):
+        return np.concatenate((np.bincount(cols, weights=u[rows], minlength=d), dense.T @ u, [u.sum()]))
+
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(x1 @ w, -30, 30)))
-        g = x1.T @ (p - y) + ridge * w
-        h = (x1 * (p * (1 - p))[:, None]).T @ x1 + np.diag(ridge)
-        d = np.linalg.solve(h, g)
-        w -= d
-        if np.abs(d).max() < 1e-6:
+        p = sigmoid(times(w))
+        g, h = back(p - y) + ridge * w, np.maximum(p * (1 - p), 1e-9)
+        x, r = np.zeros(len(w)), g.copy()
+        q, rr = r.copy(), float(r @ r)
+        for _ in range(30):
+            if rr < 1e-8:
+                break
+            hq = back(h * times(q)) + ridge * q
+            alpha = rr / float(q @ hq)
+            x += alpha * q
+            r -= alpha * hq
+            new = float(r @ r)
+            q, rr = r + new / rr * q, new
+        w -= x * min(1.0, 5.0 / max(np.abs(x).max(), 1e-12))
+        if np.abs(x).max() < 1e-3:
             break
     return w
 
@@ -76,36 +95,43 @@ class Chain:
     categories: Sequence[str] = CATEGORIES
     held_out: dict = field(default_factory=dict)
 
-    def predict(self, x: np.ndarray) -> np.ndarray:
-        """Probabilities, one column per category, each fed the ones before."""
-        out = np.zeros((len(x), 0))
+    def predict(self, h: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
+        """Probabilities, one column per category, each fed the ones before, of n texts given as word hashes."""
+        rows, cols = present(self.vocabulary, h, doc)
+        d, out = len(self.vocabulary), np.zeros((n, 0))
         for w in self.weights:
-            out = np.hstack([out, sigmoid(np.hstack([x, out]) @ w[:-1] + w[-1])[:, None]])
+            z = np.bincount(rows, weights=w[cols], minlength=n) + out @ w[d:-1] + w[-1]
+            out = np.hstack([out, sigmoid(z)[:, None]])
         return out
 
-    def features(self, h: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
-        return presence(self.vocabulary, h, doc, n)
-
 
-def presence(vocabulary: np.ndarray, h: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
-    x = np.zeros((n, len(vocabulary)))
-    if len(vocabulary):
-        at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
-        k = vocabulary[at] == h
-        x[doc[k], at[k]] = 1.0
-    return x
+def present(vocabulary: np.ndarray, h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct (document, vocabulary slot) pairs that occur."""
+    if not len(vocabulary) or not len(h):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
+    k = vocabulary[at] == h
+    pair = np.unique(doc[k] * len(vocabulary) + at[k])
+    return pair // len(vocabulary), pair % len(vocabulary)
 
 
-def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str] = CATEGORIES, folds: int = FOLDS, most_features: int = 200) -> Chain:
+def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str] = CATEGORIES, folds: int = FOLDS, most_features: int = 4000) -> Chain:
     """Fit a chain on rows (text, toxic label); earlier categories are toxic rows that hold a seed term."""
     n = len(texts)
     y_all = np.asarray(toxic, float)
     if not n:
         return Chain(np.zeros(0, U64), [np.array([*[0.0] * c, -20.0]) for c in range(len(categories))], categories)
-    buf = np.frombuffer(b"".join(texts), np.uint8)
-    off = np.concatenate(([0], np.cumsum([len(t) for t in texts]))).astype(np.int64)
-    starts, ends, doc = words(buf, off, ALNUM_WORDS)
-    h = word_hashes(buf, starts, ends, ALNUM_WORDS)
+    held_h, held_d = [], []
+    column = pa.record_batch([pa.array(texts, pa.large_binary())], ["text"])
+    for lo, _, buf, off in text_slices(column, "text"):
+        starts, ends, d = words(buf, off, ALNUM_WORDS)
+        x = word_hashes(buf, starts, ends, ALNUM_WORDS)
+        o = np.lexsort((x, d))
+        x, d = x[o], d[o]
+        k = np.concatenate(([True], (x[1:] != x[:-1]) | (d[1:] != d[:-1]))) if len(x) else np.zeros(0, bool)
+        held_h.append(x[k])
+        held_d.append((d[k] + lo).astype(np.int32))
+    h, doc = np.concatenate(held_h), np.concatenate(held_d)
     labels = np.zeros((n, len(categories)))
     for c, name in enumerate(categories):
         if name in SEED_TERMS:
@@ -114,11 +140,8 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
             labels[:, c] = has & (y_all > 0)
         else:
             labels[:, c] = y_all
-    o = np.lexsort((h, doc))
-    h1, d1 = h[o], doc[o]
-    k = np.concatenate(([True], (h1[1:] != h1[:-1]) | (d1[1:] != d1[:-1]))) if len(h1) else np.zeros(0, bool)
-    h1, d1 = h1[k], d1[k]
-    vocab, inv = np.unique(h1, return_inverse=True)
+    vocab, inv = np.unique(h, return_inverse=True)
+    d1 = doc
     df = np.bincount(inv, minlength=len(vocab)).astype(float)
     chosen = np.zeros(len(vocab), float)
     for c in range(len(categories)):
@@ -126,43 +149,53 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
         if 0 < rate < 1 and len(vocab):
             pos = np.bincount(inv, weights=labels[d1, c], minlength=len(vocab))
             z = (pos - df * rate) / np.sqrt(df * rate * (1 - rate) + 1.0)
-            chosen = np.maximum(chosen, np.where(pos >= 3, z, 0))
+            chosen = np.maximum(chosen, np.where(pos >= 2, z, 0))
     keep = np.flatnonzero(chosen >= LEAST_Z)
     keep = keep[np.lexsort((vocab[keep], -chosen[keep]))][:most_features]
     vocabulary = np.sort(vocab[keep])
-    x = presence(vocabulary, h, doc, n)
+    rows, cols = present(vocabulary, h, doc.astype(np.int64))
     fold = np.arange(n) % folds
     earlier, weights, held = np.zeros((n, 0)), [], {}
+
+    def model(use: np.ndarray, y: np.ndarray) -> np.ndarray:
+        number, k = np.cumsum(use) - 1, use[rows]
+        return logistic(number[rows[k]], cols[k], (int(use.sum()), len(vocabulary)), earlier[use], y[use])
+
     for c, name in enumerate(categories):
-        z, y = np.hstack([x, earlier]), labels[:, c]
-        oof = np.zeros(n)
+        y, oof = labels[:, c], np.zeros(n)
         for f in range(folds):
-            if (fold != f).any():
-                w = logistic(z[fold != f], y[fold != f])
-                oof[fold == f] = sigmoid(z[fold == f] @ w[:-1] + w[-1])
-        weights.append(logistic(z, y))
+            w = model(fold != f, y)
+            z = np.bincount(rows, weights=w[cols], minlength=n) + earlier @ w[len(vocabulary) : -1] + w[-1]
+            oof[fold == f] = sigmoid(z)[fold == f]
+        weights.append(model(np.ones(n, bool), y))
         held[name] = {"precision": float(y[oof >= THRESHOLD].mean()) if (oof >= THRESHOLD).any() else None, "recall": float((oof[y > 0] >= THRESHOLD).mean()) if y.any() else None}
         earlier = np.hstack([earlier, oof[:, None]])
     return Chain(vocabulary, weights, categories, held)
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 48) -> Chain:
+def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 64) -> Chain:
     """Fit on at most ``sample`` labelled rows and max_mb of text, both drawn by id hash (a documented bound)."""
     lab = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("toxic").cast("int").alias("toxic")).where("_id is not null and toxic is not null")
     lab = lab.groupBy("_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64(F.lit(SEED), "_id"), "_id").limit(sample)
     chosen = {r._id: r.toxic for r in lab.collect()}
     if not chosen:
         return fit([], [])
-    ids = docs.sparkSession.createDataFrame(sorted(chosen), "long").select(F.col("value").alias("_id"))
-    rows = docs.select(F.col("doc_id").cast("long").alias("_id"), F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), "_id")
-    texts, left = {}, max_mb << 20
-    for r in rows.toLocalIterator():
-        t = r.text.encode()
-        if r._id not in texts and len(t) <= left:
-            texts[r._id] = t
-            left -= len(t)
-    order = sorted(texts)
-    return fit([texts[i] for i in order], [chosen[i] for i in order])
+    ids = docs.sparkSession.createDataFrame(sorted(chosen.items()), "_id long, _toxic int")
+    rows = docs.select(F.col("doc_id").cast("long").alias("_doc"), F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("_doc") == F.col("_id")).select("_id", "_toxic", "text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        texts, left = {}, max_mb << 20
+        for b in batches:
+            for i, y, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).cast(pa.binary()).to_pylist()):
+                if i not in texts and len(t) <= left:
+                    texts[i] = (t, y)
+                    left -= len(t)
+        order = sorted(texts)
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit([texts[i][0] for i in order], [texts[i][1] for i in order]))])], ["chain"])
+
+    # one task fits the chain: its input is bounded by sample and max_mb
+    fitted = rows.repartition(1).sortWithinPartitions("_id").mapInArrow(run, "chain binary").first()
+    return pickle.loads(fitted.chain) if fitted else fit([], [])
 
 
 SCORED = "doc_id long, insult double, contempt double, toxic double, rejected boolean"
@@ -173,7 +206,7 @@ def _scores(batch: pa.RecordBatch, chain: Chain, text_col: str) -> np.ndarray:
     for lo, hi, buf, off in text_slices(batch, text_col):
         starts, ends, doc = words(buf, off, ALNUM_WORDS)
         h = word_hashes(buf, starts, ends, ALNUM_WORDS)
-        out[lo:hi] = chain.predict(chain.features(h, doc, hi - lo))
+        out[lo:hi] = chain.predict(h, doc, hi - lo)
     return out
 
 
