@@ -39,7 +39,7 @@ FLUSH_TOKENS = 2 << 20
 ROW = "kind int, part int, doc_id long, n long, fp long, blob binary"
 REGISTRY, TOKENS, MATCHED, KEYS, EDGES = range(5)
 _SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("blob", pa.binary())])
-_ENTRY = np.dtype([("fp", "<u8"), ("key", "<u4")])
+_ENTRY = np.dtype([("fp", "<u8"), ("key", "<u8")])
 _PAIR = np.dtype([("a", "<u8"), ("b", "<u8")])
 
 
@@ -77,7 +77,7 @@ def _emit(w: int, parts: int):
             flag = np.zeros(len(tok), bool)
             flag[order] = np.repeat(many, count)
             e = np.empty(int(flag.sum()), _ENTRY)
-            e["fp"], e["key"] = fp[doc[flag]], _short(tok[flag], np.ones(int(flag.sum()), bool))
+            e["fp"], e["key"] = fp[doc[flag]], _short(tok[flag], _part(tok[flag], parts), np.ones(int(flag.sum()), bool))
             out += _by_part(MATCHED, _part(e["fp"], parts), e)
             tok, doc = tok[~flag], doc[~flag]
         p = _part(tok, parts)
@@ -124,9 +124,9 @@ def _emit(w: int, parts: int):
     return run
 
 
-def _short(token: np.ndarray, frequent: np.ndarray) -> np.ndarray:
-    """31 bits of a token's low 40 bits (all that its partition sees), and whether it is frequent."""
-    return ((mix(token & U64((1 << 40) - 1)) >> U64(33)) << U64(1) | frequent.astype(U64)).astype(np.uint32)
+def _short(token: np.ndarray, part: np.ndarray, frequent: np.ndarray) -> np.ndarray:
+    """What a token's partition sees of it, its low 40 bits and the partition, and in the last bit whether it is frequent."""
+    return (mix(token & U64((1 << 40) - 1) | part.astype(U64) << U64(40)) & ~U64(1)) | frequent.astype(U64)
 
 
 def _match(parts: int):
@@ -185,7 +185,7 @@ def _match(parts: int):
             df = np.repeat(df, df)
             k = (df > 1) | sure
             e = np.empty(int(k.sum()), _ENTRY)
-            e["fp"], e["key"] = fp[k], _short(key[k], (df[k] > FREQUENT) | sure[k])
+            e["fp"], e["key"] = fp[k], _short(key[k], key[k] >> U64(40), (df[k] > FREQUENT) | sure[k])
             yield _rows(_by_part(MATCHED, _part(e["fp"], parts), e))
 
     return run
@@ -206,7 +206,7 @@ def bands(n: int) -> list[tuple[int, int]]:
 def segment_keys(n: int, unmatched: int, tokens: np.ndarray) -> np.ndarray:
     """Keys of a set of n tokens, of which ``unmatched`` occur nowhere else; tokens: its other ones (short form)."""
     out = []
-    frequent, ident = (tokens & 1) > 0, mix((tokens >> 1).astype(U64) + U64(1))
+    frequent, ident = (tokens & U64(1)) > 0, mix(tokens >> U64(1))
     for upper, most in bands(n):
         need = most + 1 - unmatched
         if need <= 0:
@@ -261,16 +261,16 @@ def _allocate(parts: int):
             found += [np.frombuffer(x.as_buffer(), _ENTRY) for x in batch.filter(pa.array(kind == MATCHED)).column(5)]
         if not found:
             return
-        e = np.concatenate(found)
-        e = e[np.lexsort((e["key"], e["fp"]))]
-        fp = np.ascontiguousarray(e["fp"])
+        e = np.unique(np.concatenate(found))  # a set met by several tasks may have sent a token twice
+        fp, key = np.ascontiguousarray(e["fp"]), np.ascontiguousarray(e["key"])
         first = np.flatnonzero(np.concatenate(([True], fp[1:] != fp[:-1])))
         n = np.array([sizes[x] for x in fp[first].view(np.int64).tolist()])
         count = np.diff(np.append(first, len(fp)))
+        shared = np.minimum(n, count + (n > 128))  # two tokens of a large set may look alike here
         keys, owners = [], []
-        for i in np.flatnonzero(4 * count >= 3 * n):
+        for i in np.flatnonzero(4 * shared >= 3 * n):
             a = first[i]
-            k = segment_keys(int(n[i]), max(0, int(n[i] - count[i])), np.unique(e["key"][a : a + count[i]]))
+            k = segment_keys(int(n[i]), int(n[i] - shared[i]), key[a : a + count[i]])
             keys.append(k)
             owners.append(np.full(len(k), fp[a], U64))
         if keys:
