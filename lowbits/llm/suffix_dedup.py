@@ -98,7 +98,7 @@ def runs(buf: np.ndarray, off: np.ndarray, length: int, gram: int) -> tuple[np.n
     return np.searchsorted(off[1:], s, side="right"), s, many, a, h[a]
 
 
-ROW = "kind int, doc_id long, th long, n_bytes long, sha string, start int, many int, lead int, anchor long, c1 long, c2 long"
+ROW = "kind int, doc_id long, th long, n_bytes long, sha string, start int, many int, anchor long, c1 long, c2 long"
 
 
 def _scan(length: int, gram: int):
@@ -109,7 +109,7 @@ def _scan(length: int, gram: int):
             size = hi - lo
             null = lambda t, n: pa.nulls(n, t)
             sha = [hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(ends, ends[1:])]
-            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(size, np.int32)), ids.slice(lo, size), th.slice(lo, size), pa.array(np.diff(off)), pa.array(sha), *(null(pa.int32(), size) for _ in range(3)), *(null(pa.int64(), size) for _ in range(3))], [x.split()[0] for x in ROW.split(", ")])
+            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(size, np.int32)), ids.slice(lo, size), th.slice(lo, size), pa.array(np.diff(off)), pa.array(sha), *(null(pa.int32(), size) for _ in range(2)), *(null(pa.int64(), size) for _ in range(3))], [x.split()[0] for x in ROW.split(", ")])
             d, s, many, a, h = runs(buf, off, length, gram)
             n = len(d)
             if not n:
@@ -118,7 +118,7 @@ def _scan(length: int, gram: int):
             digest = b"".join(hashlib.blake2b(raw[x : x + m + length - 1], digest_size=16, salt=m.to_bytes(8, "little") + g.to_bytes(8, "little")).digest() for x, m, g in zip(s.tolist(), many.tolist(), lead.tolist()))
             c = np.frombuffer(digest, "<i8").reshape(-1, 2)
             where = pa.array(d + lo)
-            yield pa.RecordBatch.from_arrays([pa.array(np.ones(n, np.int32)), ids.take(where), th.take(where), null(pa.int64(), n), null(pa.string(), n), pa.array((s - off[d]).astype(np.int32)), pa.array(many.astype(np.int32)), pa.array(lead.astype(np.int32)), pa.array(h.view(np.int64)), pa.array(np.ascontiguousarray(c[:, 0])), pa.array(np.ascontiguousarray(c[:, 1]))], [x.split()[0] for x in ROW.split(", ")])
+            yield pa.RecordBatch.from_arrays([pa.array(np.ones(n, np.int32)), ids.take(where), th.take(where), null(pa.int64(), n), null(pa.string(), n), pa.array((s - off[d]).astype(np.int32)), pa.array(many.astype(np.int32)), pa.array(h.view(np.int64)), pa.array(np.ascontiguousarray(c[:, 0])), pa.array(np.ascontiguousarray(c[:, 1]))], [x.split()[0] for x in ROW.split(", ")])
 
     return run
 
@@ -214,7 +214,9 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, buck
     docs = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), docs["text"].alias("text"))
     state = stored(map_batches(docs, _scan(length, gram), ROW), "runs")
     base = state.where("kind = 0").select("doc_id", "th", "n_bytes", "sha")
-    found = state.where("kind = 1").select("doc_id", "th", "start", "many", "lead", "anchor", "c1", "c2")
+    every = state.where("kind = 1").select("doc_id", "th", "start", "many", "anchor", "c1", "c2")
+    met = every.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor")
+    found = stored(every.join(met, "anchor", "left_semi"), "met")  # most buckets hold one run and end here
     kinds = stored(found.groupBy("anchor", "c1", "c2").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "th", "start", "many")).alias("one")), "kinds")
     buckets = kinds.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1")
     whole = kinds.where("copies > 1").select(F.col("c1").alias("x1"), F.col("c2").alias("x2"))
