@@ -286,18 +286,29 @@ def _edge_batch(edges: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(edges[c]).view(np.int64)) for c in "ab"], ["a", "b"])
 
 
-def _join_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    found = []
-    for batch in batches:
-        for kind, x in zip(batch.column(0).to_pylist(), batch.column(5)):
-            e = np.frombuffer(x.as_buffer(), _PAIR)
-            if kind == EDGES:
-                yield _edge_batch(e)
-            else:
-                found.append(e)
+def _join_keys(parts: int):
+    """Edges of all keys, packed by their first end."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, edges = [], []
+        for batch in batches:
+            for kind, x in zip(batch.column(0).to_pylist(), batch.column(5)):
+                (edges if kind == EDGES else keys).append(np.frombuffer(x.as_buffer(), _PAIR))
+        if keys:
+            e = np.concatenate(keys)
+            edges.append(_star(np.ascontiguousarray(e["a"]), np.ascontiguousarray(e["b"]))[1])
+        if edges:
+            e = np.unique(np.concatenate(edges))
+            if len(e):
+                yield _rows(_by_part(EDGES, _part(e["a"], parts), e))
+
+    return run
+
+
+def _distinct_edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    found = [np.frombuffer(x.as_buffer(), _PAIR) for batch in batches for x in batch.column(5)]
     if found:
-        e = np.concatenate(found)
-        yield _edge_batch(_star(np.ascontiguousarray(e["a"]), np.ascontiguousarray(e["b"]))[1])
+        yield _edge_batch(np.unique(np.concatenate(found)))
 
 
 def linked(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
@@ -370,7 +381,8 @@ def classes(docs: DataFrame, w: int = W, id_col: str = "doc_id", text_col: str =
     matched = sent.mapInArrow(_match(parts), ROW).repartitionById(parts, F.col("part"))
     state = stored(matched.mapInArrow(_allocate(parts), ROW), "sets")
     registry = state.where(f"kind = {REGISTRY}").select("doc_id", "n", "fp")
-    edges = state.where(f"kind in ({KEYS}, {EDGES})").repartitionById(parts, F.col("part")).mapInArrow(_join_keys, "a long, b long")
+    edges = state.where(f"kind in ({KEYS}, {EDGES})").repartitionById(parts, F.col("part")).mapInArrow(_join_keys(parts), ROW)
+    edges = edges.repartitionById(parts, F.col("part")).mapInArrow(_distinct_edges, "a long, b long")
     clusters = stored(components(edges), "clusters")
     sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
     first = registry.where("n > 0").groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
