@@ -39,7 +39,7 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def text_slices(batch: pa.RecordBatch, column: str, max_bytes: int = 4 << 20) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+def text_slices(batch: pa.RecordBatch, column: str, max_bytes: int = 2 << 20) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """(first row, last row, bytes, offsets) for runs of rows of about max_bytes, always whole texts."""
     arr = batch.column(batch.schema.get_field_index(column))
     arr = arr.cast(pa.large_binary()) if not pa.types.is_large_binary(arr.type) else arr

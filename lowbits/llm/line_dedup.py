@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import ALNUM_WORDS, U64, mix, text_slices, word_hashes, words
-from .engine import map_batches, partitions, stored
+from .engine import lean, map_batches, partitions, stored
 
 LEAST_WORDS = 8
 _K = [np.uint64(0x2545F4914F6CDD1D), np.uint64(0xD1342543DE82EF95)]
@@ -112,7 +112,7 @@ def _lines(parts: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0)
-            for lo, hi, buf, off in text_slices(batch, "text", 8 << 20):
+            for lo, hi, buf, off in text_slices(batch, "text"):
                 starts, ends, doc = words(buf, off, ALNUM_WORDS)
                 a, b, d, line = line_bounds(buf, off, starts, doc)
                 if not len(a):
@@ -193,7 +193,7 @@ def _variants(parts: int):
         low = bytes(ALNUM_WORDS[1])
         for batch in batches:
             ids, chosen = batch.column(0).to_numpy(), batch.column(2).to_pylist()
-            for lo, hi, buf, off in text_slices(batch, "text", 2 << 20):
+            for lo, hi, buf, off in text_slices(batch, "text"):
                 starts, ends, doc = words(buf, off, ALNUM_WORDS)
                 a, b, d, line = line_bounds(buf, off, starts, doc)
                 h = word_hashes(buf, starts, ends, ALNUM_WORDS)
@@ -255,13 +255,13 @@ def repeated_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """doc_id and the sorted numbers (from 0) of the lines that go, for documents that lose any."""
     parts = partitions(docs.sparkSession)
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).where("doc_id is not null")
-    state = stored(docs.mapInArrow(_lines(parts), ROW).repartitionById(parts, F.col("part")).mapInArrow(_screen, ROW), "lines")
+    state = stored(docs.mapInArrow(lean(_lines(parts)), ROW).repartitionById(parts, F.col("part")).mapInArrow(lean(_screen), ROW), "lines")
     lines = state.where(f"kind = {LINE}").select("doc_id", "line", "n", "h1", "h2")
     shared = state.where(f"kind = {SHARED}").select(F.col("h1").alias("form")).distinct()
     forms = stored(lines.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.max("n").alias("n"), F.count("*").alias("many")), "forms")
     chosen = forms.where(f"n >= {LEAST_WORDS}").join(shared, forms["h1"] == shared["form"], "left_semi")
     chosen = chosen.groupBy(F.col("first.doc_id").alias("doc_id")).agg(F.collect_list("first.line").alias("lines"))  # lines of one document
-    found = stored(docs.join(chosen, "doc_id").select("doc_id", "text", "lines").mapInArrow(_variants(parts), _PAIR).repartitionById(parts, F.col("part")).mapInArrow(_meet, _PAIR), "pairs")
+    found = stored(docs.join(chosen, "doc_id").select("doc_id", "text", "lines").mapInArrow(lean(_variants(parts)), _PAIR).repartitionById(parts, F.col("part")).mapInArrow(lean(_meet), _PAIR), "pairs")
     texts = found.where("words is not null").select(F.col("doc_id").alias("d"), F.col("line").alias("l"), "words").dropDuplicates(["d", "l"])
     pairs = found.where("by_doc is not null").select("doc_id", "line", "by_doc", "by_line").distinct()
     both = pairs.join(texts.withColumnRenamed("words", "mine"), (pairs["doc_id"] == F.col("d")) & (pairs["line"] == F.col("l"))).drop("d", "l")

@@ -32,10 +32,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import U64, mix, shingle_sets, text_slices
-from .engine import components, map_batches, partitions, stored
+from .engine import components, lean, map_batches, partitions, stored
 
 W, FREQUENT, LOCALLY_FREQUENT, BLOCK = 5, 16, 64, 1024
-FLUSH_TOKENS = 2 << 20
+FLUSH_TOKENS = 1 << 20
 ROW = "kind int, part int, doc_id long, n long, fp long, blob binary"
 REGISTRY, TOKENS, MATCHED, KEYS, EDGES = range(5)
 _SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("blob", pa.binary())])
@@ -377,12 +377,12 @@ def classes(docs: DataFrame, w: int = W, id_col: str = "doc_id", text_col: str =
     spark = docs.sparkSession
     parts = partitions(spark)
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    sent = docs.mapInArrow(_emit(w, parts), ROW).repartitionById(parts, F.col("part"))
-    matched = sent.mapInArrow(_match(parts), ROW).repartitionById(parts, F.col("part"))
-    state = stored(matched.mapInArrow(_allocate(parts), ROW), "sets")
+    sent = docs.mapInArrow(lean(_emit(w, parts)), ROW).repartitionById(parts, F.col("part"))
+    matched = sent.mapInArrow(lean(_match(parts)), ROW).repartitionById(parts, F.col("part"))
+    state = stored(matched.mapInArrow(lean(_allocate(parts)), ROW), "sets")
     registry = state.where(f"kind = {REGISTRY}").select("doc_id", "n", "fp")
-    edges = state.where(f"kind in ({KEYS}, {EDGES})").repartitionById(parts, F.col("part")).mapInArrow(_join_keys(parts), ROW)
-    edges = edges.repartitionById(parts, F.col("part")).mapInArrow(_distinct_edges, "a long, b long")
+    edges = state.where(f"kind in ({KEYS}, {EDGES})").repartitionById(parts, F.col("part")).mapInArrow(lean(_join_keys(parts)), ROW)
+    edges = edges.repartitionById(parts, F.col("part")).mapInArrow(lean(_distinct_edges), "a long, b long")
     clusters = stored(components(edges), "clusters")
     sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
     first = registry.where("n > 0").groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
@@ -398,7 +398,7 @@ def classes(docs: DataFrame, w: int = W, id_col: str = "doc_id", text_col: str =
     mine = F.pmod(F.xxhash64(F.lit(3), "fp"), F.col("blocks")).cast("int")
     dealt = given.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("component", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.when(F.col("mine") <= F.col("other"), 0).otherwise(1).alias("side"), "fp", "tokens")
-    links = dealt.repartition(parts, "component", "i", "j").mapInArrow(_verify, "a long, b long")
+    links = dealt.repartition(parts, "component", "i", "j").mapInArrow(lean(_verify), "a long, b long")
     joined = components(links)
     named = registry.join(joined, registry["fp"] == joined["node"], "left").select("doc_id", "n", "fp", F.coalesce("component", "fp").alias("class"))
     least = named.groupBy("class").agg(F.min("doc_id").alias("component_id"), F.count("*").alias("many")).where("many > 1").select("class", "component_id")

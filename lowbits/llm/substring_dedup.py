@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import ALNUM_WORDS, U64, text_slices, word_hashes, words
-from .engine import map_batches, partitions, stored
+from .engine import lean, map_batches, partitions, stored
 from .line_dedup import Spans, _packed, _part, line_bounds
 
 UNIT, LEAST_WORDS = "sentence", 8
@@ -105,7 +105,7 @@ def repeated_units(docs: DataFrame, unit: str = UNIT, least_words: int = LEAST_W
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null")
     route = F.coalesce("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int"))
-    gone = rows.mapInArrow(cut, schema).repartitionById(parts, route).mapInArrow(meet, schema)
+    gone = rows.mapInArrow(lean(cut), schema).repartitionById(parts, route).mapInArrow(lean(meet), schema)
     return gone.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.collect_list("unit"))).alias("units"))
 
 

@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import U64, _powers, mix, text_slices
-from .engine import map_batches, partitions, stored
+from .engine import lean, map_batches, partitions, stored
 
 LENGTH, GRAM, PERIOD, BUCKET = 400, 64, 32, 4096
 
@@ -239,7 +239,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, buck
 
     pieces = map_batches(near.select("doc_id", "th", "text", "runs"), fetch, "anchor long, doc_id long, th long, start int, many int, open boolean, wide boolean, bytes binary")
     dealt = pieces.where("not wide").drop("wide").repartition(parts, "anchor").sortWithinPartitions("anchor")
-    spans = dealt.mapInArrow(_sort_buckets(length), _SPAN)
+    spans = dealt.mapInArrow(lean(_sort_buckets(length)), _SPAN)
     if not buckets.where(F.col("kinds") > bucket).isEmpty():
 
         def strings(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import ALNUM_WORDS, U64, text_slices, word_hashes, words
-from .engine import map_batches
+from .engine import lean, map_batches
 
 CATEGORIES = ("insult", "contempt", "toxic")
 #: Seed terms that give the first two categories their weak labels among rows labelled toxic.
@@ -140,7 +140,8 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
             labels[:, c] = has & (y_all > 0)
         else:
             labels[:, c] = y_all
-    vocab, inv = np.unique(h, return_inverse=True)
+    vocab = np.unique(h)
+    inv = np.searchsorted(vocab, h).astype(np.int32)
     d1 = doc
     df = np.bincount(inv, minlength=len(vocab)).astype(float)
     chosen = np.zeros(len(vocab), float)
@@ -173,7 +174,7 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
     return Chain(vocabulary, weights, categories, held)
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 64) -> Chain:
+def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 40) -> Chain:
     """Fit on at most ``sample`` labelled rows and max_mb of text, both drawn by id hash (a documented bound)."""
     lab = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("toxic").cast("int").alias("toxic")).where("_id is not null and toxic is not null")
     lab = lab.groupBy("_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64(F.lit(SEED), "_id"), "_id").limit(sample)
@@ -194,7 +195,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int
         yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit([texts[i][0] for i in order], [texts[i][1] for i in order]))])], ["chain"])
 
     # one task fits the chain: its input is bounded by sample and max_mb
-    fitted = rows.repartition(1).sortWithinPartitions("_id").mapInArrow(run, "chain binary").first()
+    fitted = rows.repartition(1).sortWithinPartitions("_id").mapInArrow(lean(run), "chain binary").first()
     return pickle.loads(fitted.chain) if fitted else fit([], [])
 
 
