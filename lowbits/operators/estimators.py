@@ -25,9 +25,10 @@ def mismatches(k: int, b: int, left: str = "l", right: str = "r", plane: str = "
 
 
 def pair_all(sig: DataFrame, on: Column | None = None) -> DataFrame:
-    """All unordered pairs as (l, r) structs' columns; on: a further condition."""
+    """All unordered pairs, as sides l and r; on: a further condition.  One side is spread, so that every core compares."""
     cond = F.col("l.set_id") < F.col("r.set_id")
-    return sig.alias("l").join(sig.alias("r"), cond if on is None else cond & on)
+    spread = sig.repartition(4 * sig.sparkSession.sparkContext.defaultParallelism)
+    return spread.alias("l").join(sig.alias("r"), cond if on is None else cond & on)
 
 
 def densities(domain: float, left: str = "l", right: str = "r") -> tuple[Column, Column]:

@@ -13,23 +13,29 @@ def tokens(text: Column | str) -> Column:
     return F.filter(F.split(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}]+", " "), " "), lambda x: x != "")
 
 
-def shingle_array(toks: Column, w: int) -> Column:
-    """All runs of w tokens, joined by blanks, distinct; empty where there are fewer."""
-    n = F.size(toks)
-    runs = F.transform(F.sequence(F.lit(1), n - w + 1), lambda i: F.array_join(F.slice(toks, i, w), " "))
-    return F.when(n >= w, F.array_distinct(runs))
+def shingle_array(toks: Column, w: int, sep: str = " ") -> Column:
+    """All runs of w tokens, joined by sep, distinct; null where there are fewer.
+
+    The tokens are bound to a lambda variable, so they are computed once, however the optimizer merges projections;
+    runs come from w shifted copies zipped, as a slice per run would copy the array each time."""
+
+    def runs(t: Column) -> Column:
+        n = F.size(t) - w + 1
+        shifted = F.arrays_zip(*(F.slice(t, i + 1, n) for i in range(w)))
+        return F.when(n > 0, F.array_distinct(F.transform(shifted, lambda x: F.concat_ws(sep, *(x[str(i)] for i in range(w))))))
+
+    return F.element_at(F.transform(F.array(toks), runs), 1)
 
 
 def shingles(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", w: int = 5, unit: str = "word", bits: int = 31) -> DataFrame:
     """w-shingles of words or characters, hashed.  Distinct inside the row first, so little is left to shuffle."""
-    toks = tokens(text_col) if unit == "word" else F.split(F.regexp_replace(F.lower(text_col), r"[^\p{L}\p{N}]+", " "), "")
-    sep = " " if unit == "word" else ""
-    base = docs.select(F.col(id_col).alias("set_id"), toks.alias("t"))
-    if sep:
-        base = base.select("set_id", F.explode(shingle_array(F.col("t"), w)).alias("s"))
+    if unit == "word":
+        runs = shingle_array(tokens(text_col), w)
+    elif unit == "char":
+        runs = shingle_array(F.split(F.regexp_replace(F.lower(text_col), r"[^\p{L}\p{N}]+", " "), ""), w, "")
     else:
-        n = F.size("t")
-        base = base.select("set_id", F.explode(F.when(n >= w, F.array_distinct(F.transform(F.sequence(F.lit(1), n - w + 1), lambda i: F.array_join(F.slice("t", i, w), ""))))).alias("s"))
+        raise ValueError(unit)
+    base = docs.select(F.col(id_col).alias("set_id"), F.explode(runs).alias("s"))
     return base.select("set_id", to_domain(F.col("s"), bits).alias("elem")).distinct()
 
 

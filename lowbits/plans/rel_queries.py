@@ -221,8 +221,8 @@ def date_sets(spark, sf):
 
 def array_hof(spark, sf):
     """Shingles by transform and slice; only their count and the least one are returned."""
-    t = docs(spark, sf).select("doc_id", sets.tokens("text").alias("t"))
-    return t.select("doc_id", sets.shingle_array(F.col("t"), 3).alias("s")).where("size(s) > 0").select("doc_id", F.size("s").cast("long").alias("n"), F.array_min(F.transform("s", F.md5)).alias("least"))
+    t = docs(spark, sf).select("doc_id", sets.tokens("text").alias("t")).where("size(t) >= 3")
+    return t.select("doc_id", sets.shingle_array(F.col("t"), 3).alias("s")).select("doc_id", F.size("s").cast("long").alias("n"), F.array_min(F.transform("s", F.md5)).alias("least"))
 
 
 def map_json(spark, sf):

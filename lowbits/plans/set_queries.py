@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, coefficients
 from ..operators import estimators, exact, pairs, planes, sets, signature
-from ..sources.io import load
+from ..sources.io import load, spread
 
 K, W, TOP, R0 = 64, 5, 400, 0.3
 DOMAIN = float(PRIME)
@@ -28,8 +28,10 @@ def shingles_sql(source: str = "documents", key: str = "doc_id", text: str = "te
 
 
 def chars_sql(w: int = 9) -> str:
-    text = "regexp_replace(lower(text), '[^\\p{L}\\p{N}]+', ' ', 'g')"
-    return f"(select distinct set_id, {hashed()} as elem from (select doc_id as set_id, unnest(list_distinct([substr({text}, i, {w}) for i in range(1, length({text})-{w}+2)])) as s from documents where length({text}) >= {w}))"
+    letters = "(select doc_id, string_split(regexp_replace(lower(text), '[^\\p{L}\\p{N}]+', ' ', 'g'), '') as t from documents)"
+    each = f"(select doc_id as set_id, unnest(t) as ch, generate_subscripts(t, 1) as i, len(t) as n from {letters})"
+    runs = f"(select set_id, i, n, string_agg(ch, '') over (partition by set_id order by i rows between current row and {w - 1} following) as s from {each})"
+    return f"(select distinct set_id, {hashed()} as elem from {runs} where i <= n - {w} + 1)"
 
 
 def words_sql() -> str:
@@ -107,7 +109,7 @@ def estimate_sql(s: str, full: str, b: int, d: str, kind: str = "low", r0: float
 
 
 def docs(spark: SparkSession, sf: str) -> DataFrame:
-    return load(spark, sf, "documents").select("doc_id", "text")
+    return spread(load(spark, sf, "documents").select("doc_id", "text"))
 
 
 def doc_sets(spark, sf) -> DataFrame:
@@ -187,7 +189,7 @@ def exact_benchmark_containment(spark, sf):
 
 def exact_conversation_resemblance(spark, sf):
     c = load(spark, sf, "conversations").groupBy("conv_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "text"))), lambda x: x["text"]), " ").alias("text"))
-    return exact.resemblance(sets.shingles(c, "conv_id", w=W), 0.1)
+    return exact.resemblance(sets.shingles(c, "conv_id", w=W))
 
 
 def exact_distance(spark, sf):
@@ -409,7 +411,7 @@ ORACLES = {
     "exact_user_day_resemblance": exact_sql(USERS),
     "exact_page_resemblance": exact_sql(PAGES, R0),
     "exact_benchmark_containment": f"with b as {shingles_sql('benchmark', 'item_id')}, f as (select set_id, count(*) as f from b group by 1) select b.set_id as id_s, d.set_id as id_l, count(*) as a, any_value(f.f) as f_s, cast(count(*) as double)/any_value(f.f) as share from b join {_DOCS} d using (elem) join f on f.set_id = b.set_id group by 1, 2 having cast(count(*) as double)/any_value(f.f) >= 0.5",
-    "exact_conversation_resemblance": exact_sql(shingles_sql(_CONV, "conv_id"), 0.1),
+    "exact_conversation_resemblance": exact_sql(shingles_sql(_CONV, "conv_id")),
     "exact_distance": f"with s as {PARTS}, f as (select set_id, count(*) as f from s group by 1), p as (select l.set_id as x, r.set_id as y, count(*) as a from s l join s r on l.elem = r.elem and l.set_id < r.set_id group by 1, 2) select l.set_id as id_l, r.set_id as id_r, 1 - cast(coalesce(a,0) as double)/(l.f+r.f-coalesce(a,0)) as d from f l join f r on l.set_id < r.set_id left join p on x = l.set_id and y = r.set_id",
     "exact_distance_triangle": "select cast(0 as bigint) as n_violations",
     "sig_full_affine": _NARROW16,

@@ -73,7 +73,8 @@ def bfac_(b: str) -> str:
 T1 = f"(power({e_('1')},2)+power(1-{e_('1')},2))"
 VAR_FOLD = f"(case when 2*{T1}-1 > 0 then {T1}*(1-{T1})/(4*KK*power({slope_('1')},2)*(2*{T1}-1)) end)"
 
-r, r1, r2, b = (F.col(x) for x in ("r", "r1", "r2", "b"))
+def _cols():
+    return (F.col(x) for x in ("r", "r1", "r2", "b"))
 
 
 def _out(df: DataFrame, **values) -> DataFrame:
@@ -86,37 +87,45 @@ def _sql(source: str, keys: str = "b, r1, r2, r", where: str = "", **values) ->
 
 
 def residue(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark), value=theory.residue(r1, b)).drop("r").distinct()
 
 
 def floor_slope(spark, sf):
+    r, r1, r2, b = _cols()
     fl, sl = theory.floor_slope(r1, r2, b)
     return _out(grid(spark), floor=fl, slope=sl).drop("r").distinct()
 
 
 def match_prob(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark), value=theory.match_prob(r, r1, r2, b))
 
 
 def chance_mass(spark, sf):
+    r, r1, r2, b = _cols()
     s = r / (1 + r) * (r1 + r2)
     return _out(grid(spark), value=theory.chance_mass(r1, r2, s, b), counted=theory.match_prob_from_counts(r1 * 1000, r2 * 1000, s * 1000, F.lit(1000.0), b))
 
 
 def var_full(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark), value=theory.var_full(r, K)).distinct()
 
 
 def var_low(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark), value=theory.var_low(r, r1, r2, b, K))
 
 
 def var_fold(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, [1]), value=theory.var_fold(r, r1, r2, F.lit(K)), ratio=theory.fold_ratio(r, r1, r2))
 
 
 def pmf_sum(spark, sf):
     """The joint law sums to one, and its equal-parity mass is the one-bit match probability."""
+    r, r1, r2, b = _cols()
     cases = spark.createDataFrame(PMF_CASES, "r1 double, r2 double, s double")
     n = spark.range(200)
     g = n.select(F.col("id").alias("i")).crossJoin(F.broadcast(n.select(F.col("id").alias("j")))).crossJoin(F.broadcast(cases))
@@ -130,35 +139,43 @@ _PMF = """case when i = j then s*power(1-r1-r2+s,i) when i < j then r2*(r1-s)*po
 
 
 def storage_factor(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, densities=[(x, x) for x in EQUAL]), value=theory.storage_factor(r, r1, r2, b))
 
 
 def storage_gain(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, BITS[:4], [(x, x) for x in EQUAL]), value=theory.storage_gain(r, r1, r2, F.lit(32), b))
 
 
 def gain_equal(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, BITS[:4], [(x, x) for x in EQUAL]), value=theory.storage_gain_equal(r, r1, F.lit(32), b))
 
 
 def gain_limit(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, BITS[:4], [(x, x) for x in EQUAL]).drop("r").distinct(), value=theory.storage_gain_limit(r1, F.lit(32), b))
 
 
 def gain_onebit(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, [1], [(x, x) for x in EQUAL]), value=theory.storage_gain_onebit(r, r1, 32), value64=theory.storage_gain_onebit(r, r1, 64))
 
 
 def inflation(spark, sf):
+    r, r1, r2, b = _cols()
     return _out(grid(spark, BITS[:4]), value=theory.inflation(r, r1, r2, b))
 
 
 def fold_storage(spark, sf):
     """Storage factor of the folded bit next to one bit's, and the permutations both need for k samples."""
+    r, r1, r2, b = _cols()
     return _out(grid(spark, [1]), one=theory.storage_factor(r, r1, r2, b), folded=theory.storage_factor_fold(r, r1, r2)).withColumns({"cost_one": F.lit(theory.hash_cost(K)).cast("long"), "cost_folded": F.lit(theory.hash_cost(K, True)).cast("long")})
 
 
 def table1_printed(spark, sf):
+    r, r1, r2, b = _cols()
     df = spark.createDataFrame(PRINTED, "pair string, r1 double, r2 double, r double")
     return _out(df, gain32=theory.storage_gain(r, r1, r2, F.lit(32), F.lit(1)), gain64=theory.storage_gain(r, r1, r2, F.lit(64), F.lit(1)))
 
@@ -192,12 +209,14 @@ HEADLINES_SQL = """select * from (values
 
 def best_b(spark, sf):
     """The number of bits with the least storage factor, by grid point."""
+    r, r1, r2, b = _cols()
     g = grid(spark, planner.CANDIDATES).withColumn("v", F.round(theory.storage_factor(r, r1, r2, b), 9))
     return g.groupBy("r1", "r2", "r").agg(F.min_by("b", F.struct("v", "b")).cast("int").alias("best"))
 
 
 def sample_size(spark, sf):
     """Samples for a standard deviation of 0.05."""
+    r, r1, r2, b = _cols()
     return grid(spark, BITS[:4]).select("b", "r1", "r2", "r", F.ceil(F.round(theory.var_low(r, r1, r2, b, 1) / 0.0025, 6)).cast("long").alias("k"))
 
 
