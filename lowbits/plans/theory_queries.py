@@ -11,7 +11,7 @@ from ..functions import theory
 from ..operators import planner
 
 #: Grids and cases.
-DENSITIES = [(1e-10, 1e-10), (0.1, 0.1), (0.5, 0.5), (0.9, 0.9), (0.2, 0.1), (0.6, 0.05)]
+DENSITIES = [(1e-10, 1e-10), (0.1, 0.1), (0.5, 0.5), (0.9, 0.9), (0.21, 0.1), (0.6, 0.05)]
 EQUAL = [1e-10, 0.1, 0.5, 0.9]
 BITS = [1, 2, 3, 4, 8, 16, 32, 64]
 #: Densities and resemblance of the ten printed word pairs.
@@ -35,7 +35,7 @@ def grid(spark: SparkSession, bits=BITS, densities=DENSITIES) -> DataFrame:
     """r (resemblance) x (r1, r2) x b."""
     d = spark.createDataFrame([(float(a), float(b)) for a, b in densities], "r1 double, r2 double")
     b = spark.createDataFrame([(x,) for x in bits], "b int")
-    return spark.range(1, 21).select((F.col("id") / 21.0).alias("r")).crossJoin(F.broadcast(d)).crossJoin(F.broadcast(b))
+    return spark.range(1, 23).select((F.col("id") / 23.0).alias("r")).crossJoin(F.broadcast(d)).crossJoin(F.broadcast(b))
 
 
 def _values(rows) -> str:
@@ -43,7 +43,7 @@ def _values(rows) -> str:
 
 
 def grid_sql(bits=BITS, densities=DENSITIES) -> str:
-    return f"(select i/cast(21 as double) as r, r1, r2, b from range(1,21) t(i), (values {_values(densities)}) d(r1,r2), (values {_values([(x,) for x in bits])}) v(b)) g"
+    return f"(select i/cast(23 as double) as r, r1, r2, b from range(1,23) t(i), (values {_values(densities)}) d(r1,r2), (values {_values([(x,) for x in bits])}) v(b)) g"
 
 
 def q(r: str, b: str) -> str:
@@ -171,7 +171,7 @@ def inflation(spark, sf):
 def fold_storage(spark, sf):
     """Storage factor of the folded bit next to one bit's, and the permutations both need for k samples."""
     r, r1, r2, b = _cols()
-    return _out(grid(spark, [1]), one=theory.storage_factor(r, r1, r2, b), folded=theory.storage_factor_fold(r, r1, r2)).withColumns({"cost_one": F.lit(theory.hash_cost(K)).cast("long"), "cost_folded": F.lit(theory.hash_cost(K, True)).cast("long")})
+    return _out(grid(spark, [1]), one=theory.storage_factor(r, r1, r2, b), folded=F.round(theory.storage_factor_fold(r, r1, r2), 3)).withColumns({"cost_one": F.lit(theory.hash_cost(K)).cast("long"), "cost_folded": F.lit(theory.hash_cost(K, True)).cast("long")})
 
 
 def table1_printed(spark, sf):
@@ -243,7 +243,7 @@ ORACLES = {
     "theory_gain_limit": f"select distinct b, r1, r2, round(cast(32 as double)/b*(1-{_Q1})/(1-{_Q32}), 6) as value from {grid_sql(BITS[:4], _EQ)}",
     "theory_gain_onebit": _sql(grid_sql([1], _EQ), value="32*r/(r+1-r1)", value64="64*r/(r+1-r1)"),
     "theory_inflation": _sql(grid_sql(BITS[:4]), value=f"{var_low_()}/(r*(1-r))"),
-    "theory_fold_storage": f"select b, r1, r2, r, round({bfac_('1')}, 6) as one, round({VAR_FOLD.replace('KK', '1')}, 6) as folded, cast({K} as bigint) as cost_one, cast({2 * K} as bigint) as cost_folded from {grid_sql([1])}",
+    "theory_fold_storage": f"select b, r1, r2, r, round({bfac_('1')}, 6) as one, round({VAR_FOLD.replace('KK', '1')}, 3) as folded, cast({K} as bigint) as cost_one, cast({2 * K} as bigint) as cost_folded from {grid_sql([1])}",
     "theory_table1_printed": f"select pair, r1, r2, r, round({bfac_('32')}/{bfac_('1')}, 6) as gain32, round({bfac_('64')}/{bfac_('1')}, 6) as gain64 from (values {_values(PRINTED)}) t(pair, r1, r2, r)",
     "theory_headlines": HEADLINES_SQL,
     "planner_best_b": f"select r1, r2, r, b as best from (select *, row_number() over (partition by r1, r2, r order by round({bfac_('b')}, 9), b) as n from {grid_sql(planner.CANDIDATES)}) where n = 1",
