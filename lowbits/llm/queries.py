@@ -24,7 +24,8 @@ def op3_line_deletion_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
-    return url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages))
+    out = url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages))
+    return out.withColumns({c: out[c].cast("string") for c in ("fetched", "listed_since")})
 
 
 def op5_suffix_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -56,4 +57,47 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
 }
 
-ORACLES: dict[str, str] = {}
+_M = lambda text: f"cast('0x' || substr(md5({text}), 1, 7) as bigint)"
+_UPPER, _LOWER, _WORD = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ'", "'abcdefghijklmnopqrstuvwxyz'", r"'[^\x00-\x2F\x3A-\x60\x7B-\x7F]+'"
+_ASSIGN, _ACCESS, _HEX = (x.replace("'", "''") for x in (secret_scan.ASSIGN, secret_scan.ACCESS, secret_scan.HEX.rstrip("+")))
+_SPLIT = lambda kind, p, g: f"'{kind}' as kind, unnest(regexp_split_to_array(text, '{p}')) as gap, unnest(regexp_extract_all(text, '{p}', 0)) as hit, unnest(regexp_extract_all(text, '{p}', {g})) as v, unnest(range(1, len(regexp_extract_all(text, '{p}', 0)) + 2)) as i"
+_SCHEME = "^[A-Za-z][A-Za-z0-9+.-]*://"
+ORACLES: dict[str, str] = {
+    "op4_temporal_url_lists": f"""
+    with c as (select page_id, lower(coalesce(regexp_extract(url, '{_SCHEME}([^/?#:]+)', 1), '')) as host, coalesce(regexp_extract(url, '{_SCHEME}[^/?#]+/([^/?#]+)', 1), '') as segment,
+                      cast(date '2024-01-01' + cast({_M("'fetch:' || page_id")} % 366 as integer) as date) as fetched from pages),
+    l as (select *, string_split(host, '.') as labels from c),
+    k as (select page_id, 'host' as kind, host as key from l where host <> ''
+          union all select page_id, 'domain', array_to_string(labels[i:], '.') from (select page_id, labels, unnest(range(1, greatest(len(labels) - 1, 1) + 1)) as i from l where host <> '')
+          union all select page_id, 'prefix', host || '/' || segment from l where host <> '' and segment <> ''),
+    s as (select kind, key, m, cast(date '2024-01-01' + cast(m % 366 as integer) as date) as start from (select distinct kind, key, {_M("kind || ':' || key")} as m from k) where m % 3 = 0 and not (kind = 'domain' and regexp_matches(key, '^example[.]'))),
+    e as (select kind, key, m, start as day, 1 as opened from s union all select kind, key, m, start + cast(20 + m % 60 as integer), 0 from s where m % 4 <> 1 union all select kind, key, m, start + 120, 1 from s where m % 5 = 0),
+    w as (select *, coalesce(lag(opened) over (partition by kind, key order by day, opened desc), 0) as was from e),
+    v as (select *, lead(day) over (partition by kind, key order by day, opened desc) as to_day from w where opened <> was),
+    i as (select kind, key, case when m % 2 = 0 then 'adult' else 'malware' end as category, day as from_day, to_day from v where opened = 1 and (to_day is null or to_day > day)),
+    h as (select k.page_id, k.kind || ':' || k.key || ':' || category as rule, from_day from k join i on k.kind = i.kind and k.key = i.key join c on c.page_id = k.page_id where from_day <= fetched and (to_day is null or fetched < to_day)),
+    g as (select page_id, count(*) as n, string_agg(rule, ',' order by rule) as rules, min(from_day) as since from h group by page_id)
+    select c.page_id, host, cast(fetched as varchar) as fetched, n is not null as blocked, coalesce(n, 0) as n_rules, coalesce(rules, '') as rules, cast(since as varchar) as listed_since from c left join g on g.page_id = c.page_id""",
+    "op6_decontamination": f"""
+    with t as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), {_UPPER}, {_LOWER}), {_WORD}) as t from documents),
+    b as (select item_id, regexp_extract_all(translate(coalesce(text, ''), {_UPPER}, {_LOWER}), {_WORD}) as t from benchmark),
+    p as (select distinct item_id, least(len(t), 10) as n, unnest([array_to_string(t[i:i+least(len(t), 10)-1], ' ') for i in range(1, greatest(len(t)-9, 1)+1)]) as w from b where len(t) > 0),
+    d as (select doc_id, n, unnest([array_to_string(t[i:i+n-1], ' ') for i in range(1, len(t)-n+2)]) as w, unnest(range(1, len(t)-n+2)) as i from t, (select distinct n from p) where len(t) >= n),
+    h as (select distinct doc_id, i, d.n, item_id from d join p using (n, w)),
+    c as (select doc_id, count(*) as n_hit from (select distinct doc_id, unnest(range(i, i+n)) from h) group by doc_id),
+    g as (select doc_id, count(*) as n_items, string_agg(x, ',' order by x) as items from (select distinct doc_id, cast(item_id as varchar) as x from h) group by doc_id)
+    select t.doc_id, cast(len(t) as bigint) as n_words, coalesce(n_hit, 0) as n_hit, coalesce(n_items, 0) as n_items, sha256(coalesce(items, '')) as items_sha256, n_hit is not null as contaminated
+    from t left join c on c.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
+    "op10_secret_ownership": f"""
+    with d as (select doc_id, source as owner, coalesce(source, '') || '/' || coalesce(lang, '') as repo, coalesce(text, '') as text from documents),
+    m as (select doc_id, owner, repo, {_SPLIT('assign', _ASSIGN, 2)} from d union all select doc_id, owner, repo, {_SPLIT('access', _ACCESS, 0)} from d union all select doc_id, owner, repo, {_SPLIT('hex', _HEX, 0)} from d),
+    e as (select *, sum(length(gap) + length(hit)) over (partition by doc_id, kind order by i) as stop from m where hit is not null),
+    s as (select *, stop - length(hit) as start, sha256(v) as digest from e where kind <> 'assign' or length(v) >= 12),
+    o as (select digest, count(distinct owner) + max(case when owner is null then 1 else 0 end) as owners, count(distinct coalesce(owner, chr(0)) || repo) as repos from s group by digest),
+    q as (select doc_id, count(*) filter (owners >= 3 or repos >= 5) as n_copied, count(*) filter (not (owners >= 3 or repos >= 5)) as n_live, max(owners) as most_owners from (select distinct doc_id, digest from s) join o using (digest) group by doc_id),
+    a as (select doc_id, count(*) filter (kind = 'assign') as n_assign, count(*) filter (kind = 'access') as n_access, count(*) filter (kind = 'hex') as n_hex,
+                 string_agg(kind || ':' || start || ':' || stop, ',' order by start, case kind when 'assign' then 0 when 'access' then 1 else 2 end) as spans from s group by doc_id)
+    select d.doc_id, coalesce(n_assign, 0) as n_assign, coalesce(n_access, 0) as n_access, coalesce(n_hex, 0) as n_hex, sha256(coalesce(spans, '')) as base_sha256, coalesce(spans, '') as spans,
+           coalesce(n_live, 0) as n_live, coalesce(n_copied, 0) as n_copied, cast(coalesce(most_owners, 0) as bigint) as most_owners
+    from d left join a on a.doc_id = d.doc_id left join q on q.doc_id = d.doc_id""",
+}
