@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import decontam, line_dedup, media_ts, mixing, ngram_join, secret_scan, substring_dedup, suffix_dedup, toxicity, url_lists
 from .engine import table
@@ -19,7 +20,7 @@ def op2_temperature_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_line_deletion_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_dedup.line_report(table(spark, sf_dir, "documents"))
+    return line_dedup.line_report(table(spark, sf_dir, "documents")).withColumn("removed", F.array_join("removed", ","))
 
 
 def op4_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -41,7 +42,8 @@ def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_unit_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return substring_dedup.dedup(table(spark, sf_dir, "documents")).drop("kept")
+    out = substring_dedup.dedup(table(spark, sf_dir, "documents")).drop("kept")
+    return out.withColumn("removed", F.array_join(F.transform("removed", lambda x: F.concat_ws(":", x["start"].cast("string"), x["end"].cast("string"))), ","))
 
 
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -100,4 +102,27 @@ ORACLES: dict[str, str] = {
     select d.doc_id, coalesce(n_assign, 0) as n_assign, coalesce(n_access, 0) as n_access, coalesce(n_hex, 0) as n_hex, sha256(coalesce(spans, '')) as base_sha256, coalesce(spans, '') as spans,
            coalesce(n_live, 0) as n_live, coalesce(n_copied, 0) as n_copied, cast(coalesce(most_owners, 0) as bigint) as most_owners
     from d left join a on a.doc_id = d.doc_id left join q on q.doc_id = d.doc_id""",
+    "op3_line_deletion_join": f"""
+    with x as (select doc_id, unnest(string_split(text, chr(10))) as l, unnest(range(0, len(string_split(text, chr(10))))) as i from documents where text is not null),
+    l as (select doc_id, i, regexp_extract_all(translate(l, {_UPPER}, {_LOWER}), {_WORD}) as w, doc_id * 10000000 + i as place from x),
+    f as materialized (select array_to_string(w, ' ') as form, any_value(w) as w, any_value(len(w)) as n, min(place) as first from l where len(w) > 0 group by 1),
+    v as materialized (select form, first, p, array_to_string(list_concat(w[:p-1], w[p+1:]), ' ') as v from (select *, unnest(range(1, n + 1)) as p from f where n >= 8)),
+    gone as (select form from (select form, first, min(first) over (partition by v, p) as least from v) where first > least
+             union select v.form from v join f on f.form = v.v and f.n >= 8 where f.first < v.first
+             union select f.form from v join f on f.form = v.v and f.n >= 8 where v.first < f.first),
+    r as (select l.doc_id, l.i from l join f on f.form = array_to_string(l.w, ' ') and len(l.w) > 0 where l.place > f.first or f.form in (select form from gone)),
+    g as (select doc_id, count(*) as n, string_agg(cast(i as varchar), ',' order by i) as removed from r group by doc_id)
+    select d.doc_id, cast(case when length(text) > 0 then len(string_split(text, chr(10))) else 0 end as bigint) as n_lines, coalesce(n, 0) as n_removed, coalesce(removed, '') as removed
+    from documents d left join g on g.doc_id = d.doc_id""",
+    "op8_unit_hashing": f"""
+    with t as (select doc_id, list_filter(string_split(replace(regexp_replace(coalesce(text, ''), '([.!?]) ', '\\1 ' || chr(1), 'g'), chr(10), chr(10) || chr(1)), chr(1)), lambda y: y <> '') as u from documents),
+    x as (select doc_id, unnest(u) as s, unnest(range(0, len(u))) as i from t),
+    w as (select *, regexp_extract_all(translate(s, {_UPPER}, {_LOWER}), {_WORD}) as w, sum(strlen(s)) over (partition by doc_id order by i) as stop from x),
+    k as (select doc_id, i, s, stop, len(w) >= 8 and doc_id * 10000000 + i > min(doc_id * 10000000 + i) over (partition by len(w) >= 8, array_to_string(w, ' ')) as gone from w),
+    n as (select *, i - row_number() over (partition by doc_id order by i) as island from k where gone),
+    m as (select doc_id, island, min(stop - strlen(s)) as a, max(stop) as b from n group by 1, 2),
+    g as (select doc_id, string_agg(a || ':' || b, ',' order by a) as removed from m group by doc_id),
+    q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
+    select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
+    from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
 }
