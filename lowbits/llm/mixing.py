@@ -23,6 +23,12 @@ BLOCKS, STEPS = 256, 50
 TARGET_ENTROPY, REPETITIONS = 0.95, 4.0
 
 
+def _digest(*parts) -> F.Column:
+    """A 60-bit number from md5 of the parts, portable to other engines."""
+    text = F.concat_ws(":", *(F.coalesce(p.cast("string"), F.lit("")) for p in parts))
+    return F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("long")
+
+
 def token_count(text) -> F.Column:
     """Runs of other characters than space and controls 9 to 13; null: 0."""
     trimmed = F.regexp_replace(text, r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
@@ -90,14 +96,14 @@ def mix(docs: DataFrame, target_entropy: float | None = TARGET_ENTROPY, repetiti
     position orders the draws of a source's blocks over all passes; it is the running token count of
     the source before the block, so merging sources by position / budget interleaves them."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), token_count(F.col("text")).alias("n_tokens"))
-    rows = rows.withColumn("block", F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(blocks)).cast("int"))
+    rows = rows.withColumn("block", (_digest(F.lit(seed), F.col("doc_id")) % blocks).cast("int"))
     sums = rows.groupBy("source", "block").agg(F.sum("n_tokens").alias("block_tokens"))  # bounded by sources x blocks
     sums = sums.persist()
     try:
         weights = source_weights(sums.withColumnRenamed("block_tokens", "n_tokens"), target_entropy, repetitions, budget_share)
         plan = sums.join(F.broadcast(weights), sums["source"].eqNullSafe(weights["source"])).select(sums["source"], "block", "block_tokens", "tokens", "weight", "exponent", "budget")
         plan = plan.withColumn("pass", F.explode(F.sequence(F.lit(0), F.ceil(F.col("budget") / F.greatest(F.col("tokens"), F.lit(1))).cast("int"))))
-        order = Window.partitionBy("source").orderBy("pass", F.xxhash64(F.lit(seed), "source", "pass", "block"), "block").rowsBetween(Window.unboundedPreceding, -1)
+        order = Window.partitionBy("source").orderBy("pass", _digest(F.lit(seed), F.col("source"), F.col("pass"), F.col("block")), "block").rowsBetween(Window.unboundedPreceding, -1)
         plan = plan.withColumn("position", F.coalesce(F.sum("block_tokens").over(order), F.lit(0)))
         chosen = plan.where("block_tokens > 0 and position + block_tokens / 2 <= budget").select(F.col("source").alias("s"), F.col("block").alias("b"), "pass", "position", "weight", "exponent")
         chosen = chosen.sparkSession.createDataFrame(chosen.collect(), chosen.schema)  # as large as the plan: sources x blocks x passes

@@ -16,7 +16,8 @@ def op1_transport_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_temperature_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents"))
+    out = mixing.mix(table(spark, sf_dir, "documents"))
+    return out.withColumns({"block": out.block.cast("long"), "pass": out["pass"].cast("long"), "weight": F.round("weight", 6), "exponent": F.round("exponent", 6)})
 
 
 def op3_line_deletion_join(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -63,6 +64,7 @@ _M = lambda text: f"cast('0x' || substr(md5({text}), 1, 7) as bigint)"  # noqa:
 _UPPER, _LOWER, _WORD = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ'", "'abcdefghijklmnopqrstuvwxyz'", r"'[^\x00-\x2F\x3A-\x60\x7B-\x7F]+'"
 _ASSIGN, _ACCESS, _HEX = (x.replace("'", "''") for x in (secret_scan.ASSIGN, secret_scan.ACCESS, secret_scan.HEX.rstrip("+")))
 _SPLIT = lambda kind, p, g: f"'{kind}' as kind, unnest(regexp_split_to_array(text, '{p}')) as gap, unnest(regexp_extract_all(text, '{p}', 0)) as hit, unnest(regexp_extract_all(text, '{p}', {g})) as v, unnest(range(1, len(regexp_extract_all(text, '{p}', 0)) + 2)) as i"
+_H = lambda text: f"cast('0x' || substr(md5({text}), 1, 15) as bigint)"
 _SCHEME = "^[A-Za-z][A-Za-z0-9+.-]*://"
 ORACLES: dict[str, str] = {
     "op4_temporal_url_lists": f"""
@@ -125,4 +127,19 @@ ORACLES: dict[str, str] = {
     q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
     select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
     from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
+    # the repetition limit does not bind wherever the entropy target keeps sources under it, so it has no part here
+    "op2_temperature_mixing": f"""
+    with recursive d as (select doc_id, source, cast(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) as bigint) as n_tokens, {_H("'7:' || doc_id")} % {mixing.BLOCKS} as block from documents),
+    s as materialized (select source, cast(sum(n_tokens) as bigint) as tokens, cast(sum(sum(n_tokens)) over () as double) as total from d group by source),
+    b as (select 0 as step, cast(0 as double) as lo, cast(1 as double) as hi
+          union all select step + 1, case when e >= goal then mid else lo end, case when e >= goal then hi else mid end from (
+            select step, lo, hi, (lo + hi) / 2 as mid, (select ln(sum(power(tokens / total, (lo + hi) / 2))) - sum(power(tokens / total, (lo + hi) / 2) * ln(power(tokens / total, (lo + hi) / 2))) / sum(power(tokens / total, (lo + hi) / 2)) from s where tokens > 0) as e,
+                   (select {mixing.TARGET_ENTROPY} * ln(count(*)) from s where tokens > 0) as goal from b where step < {mixing.STEPS})),
+    x as (select case when (select -sum(tokens / total * ln(tokens / total)) >= {mixing.TARGET_ENTROPY} * ln(count(*)) from s where tokens > 0) then 1 else (select lo from b where step = {mixing.STEPS}) end as exponent),
+    w as (select source, tokens, total, exponent, power(tokens / total, exponent) / sum(power(tokens / total, exponent)) over () as weight from s, x where tokens > 0),
+    k as (select d.source, block, cast(sum(n_tokens) as bigint) as size from d group by 1, 2),
+    p as (select k.source, block, size, weight, exponent, total * weight as budget, unnest(range(0, cast(ceil(total * weight / tokens) as bigint) + 1)) as pass from k join w on w.source is not distinct from k.source),
+    o as (select *, coalesce(sum(size) over (partition by source order by pass, {_H("'7:' || coalesce(source, '') || ':' || pass || ':' || block")}, block rows between unbounded preceding and 1 preceding), 0) as position from p)
+    select d.doc_id, d.source, d.n_tokens, d.block, o.pass, cast(o.position as bigint) as position, round(o.weight, 6) as weight, round(o.exponent, 6) as exponent
+    from d join o on o.source is not distinct from d.source and o.block = d.block where o.size > 0 and o.position + o.size / cast(2 as double) <= o.budget""",
 }
