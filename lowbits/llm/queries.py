@@ -42,11 +42,15 @@ def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.classes(table(spark, sf_dir, "documents"))
 
 
-def op8_unit_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = substring_dedup.dedup(table(spark, sf_dir, "documents")).drop("kept")
+def op8_unit_hashing(spark: SparkSession, sf_dir: str, unit: str = substring_dedup.UNIT) -> DataFrame:
+    out = substring_dedup.dedup(table(spark, sf_dir, "documents"), unit).drop("kept")
     return out.withColumn("removed", F.array_join(F.transform("removed", lambda x: F.concat_ws(":", x["start"].cast("string"), x["end"].cast("string"))), ","))
 
 
+def op8_line_and_unit_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op8_unit_hashing(spark, sf_dir, substring_dedup.BOTH)
+
+
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
@@ -57,7 +61,7 @@ def op10_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
+    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op8_line_and_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
 }
 
 _M = lambda text: f"cast('0x' || substr(md5({text}), 1, 7) as bigint)"
@@ -127,6 +131,22 @@ ORACLES: dict[str, str] = {
     q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
     select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
     from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
+    "op8_line_and_unit_hashing": f"""
+    with t as (select doc_id, list_filter(string_split(replace(coalesce(text, ''), chr(10), chr(10) || chr(1)), chr(1)), lambda y: y <> '') as u from documents),
+    z as (select doc_id, unnest(u) as l, unnest(range(0, len(u))) as li from t),
+    y as (select *, regexp_extract_all(translate(l, {_UPPER}, {_LOWER}), {_WORD}) as lw from z),
+    r as (select doc_id, li, list_filter(string_split(regexp_replace(l, '([.!?]) ', '\\1 ' || chr(1), 'g'), chr(1)), lambda y: y <> '') as p,
+                 len(lw) >= 8 and doc_id * 10000000 + li > min(doc_id * 10000000 + li) over (partition by len(lw) >= 8, array_to_string(lw, ' ')) as line_gone from y),
+    v as (select doc_id, li, line_gone, unnest(p) as s, unnest(range(0, len(p))) as si from r),
+    x as (select doc_id, line_gone, s, row_number() over (partition by doc_id order by li, si) - 1 as i from v),
+    w as (select *, regexp_extract_all(translate(s, {_UPPER}, {_LOWER}), {_WORD}) as w, sum(strlen(s)) over (partition by doc_id order by i) as stop from x),
+    k as (select doc_id, i, s, stop, line_gone or (len(w) >= 8 and doc_id * 10000000 + i > min(doc_id * 10000000 + i) over (partition by len(w) >= 8, array_to_string(w, ' '))) as gone from w),
+    n as (select *, i - row_number() over (partition by doc_id order by i) as island from k where gone),
+    m as (select doc_id, island, min(stop - strlen(s)) as a, max(stop) as b from n group by 1, 2),
+    g as (select doc_id, string_agg(a || ':' || b, ',' order by a) as removed from m group by doc_id),
+    q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
+    select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
+    from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
     # the repetition limit does not bind wherever the entropy target keeps sources under it, so it has no part here
     "op2_temperature_mixing": f"""
     with recursive d as (select doc_id, source, cast(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) as bigint) as n_tokens, {_H("'7:' || doc_id")} % {mixing.BLOCKS} as block from documents),

@@ -5,6 +5,10 @@ Of equal units the earliest by (doc_id, unit number) stays and all others go; th
 kept as byte offsets.  Digests are packed and sent to partitions by value; a task sends only the earliest of the
 equal units it meets, so no partition sees more than one row per task of even the commonest unit.
 
+Unit ``BOTH`` takes the union: repeated lines go whole, short sentences in them too, and so do repeated sentences of
+other lines.  Every line end ends a sentence, so what goes is told in sentences.  A line that goes has an equal
+earlier one that stays or lost only sentences that stay earlier still, so of every text one copy is left.
+
 Edge cases: units of fewer than ``least_words`` words stay; null and empty texts have no units; rows with a null
 doc_id keep everything; repeated rows of one doc_id tie and stay together.  An empty table gives an empty table;
 extra columns are ignored.
@@ -24,7 +28,7 @@ from .bytewords import ALNUM_WORDS, U64, text_slices, word_hashes, words
 from .engine import lean, map_batches, partitions, stored
 from .line_dedup import Spans, _packed, _part, line_bounds
 
-UNIT, LEAST_WORDS = "sentence", 8
+UNIT, BOTH, LEAST_WORDS = "sentence", "line+sentence", 8
 _UNIT = np.dtype([("h1", "<u8"), ("h2", "<u8"), ("doc", "<i8"), ("unit", "<i4")])
 _GONE = np.dtype([("doc", "<i8"), ("unit", "<i4")])
 
@@ -114,23 +118,34 @@ KEPT = "doc_id long, n_units long, n_removed long, removed array<struct<start:in
 
 def dedup(docs: DataFrame, unit: str = UNIT, least_words: int = LEAST_WORDS) -> DataFrame:
     """doc_id, n_units, n_removed, removed (byte offsets of the original, touching ones joined), kept_sha256 and kept (UTF-8), one row per row of docs."""
-    gone = repeated_units(docs, unit, least_words).withColumnRenamed("doc_id", "_id")
+    fine = "sentence" if unit == BOTH else unit
+    gone = repeated_units(docs, fine, least_words).withColumnRenamed("doc_id", "_id")
+    if unit == BOTH:
+        gone = gone.join(repeated_units(docs, "line", least_words).toDF("_id", "lines"), "_id", "full_outer")
+    else:
+        gone = gone.withColumn("lines", F.lit(None).cast("array<int>"))
     both = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    both = both.join(gone, both["doc_id"] == gone["_id"], "left").select("doc_id", "text", "units")
+    both = both.join(gone, both["doc_id"] == gone["_id"], "left").select("doc_id", "text", "units", "lines")
     spans = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
 
     def run(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        lost = batch.column(2).to_pylist()
+        lost, lost_lines = batch.column(2).to_pylist(), batch.column(3).to_pylist()
         for lo, hi, buf, off in text_slices(batch, "text"):
-            breaks, raw = unit_breaks(buf, unit), buf.tobytes()
+            breaks, raw = unit_breaks(buf, fine), buf.tobytes()
+            feeds = unit_breaks(buf, "line")
             count, removed, digest, kept, n = [], [], [], [], []
             for r in range(hi - lo):
                 x, y = int(off[r]), int(off[r + 1])
                 b = breaks[slice(*np.searchsorted(breaks, (x, y)))] + 1 - x
                 edge = [0, *b.tolist()]
                 edge += [y - x] if edge[-1] < y - x else []
+                goes = lost[lo + r] or []
+                if lost_lines[lo + r]:
+                    f = [0, *(feeds[slice(*np.searchsorted(feeds, (x, y)))] + 1 - x).tolist(), y - x]
+                    within = [np.arange(*np.searchsorted(edge, (f[u], f[u + 1]))) for u in lost_lines[lo + r]]
+                    goes = np.union1d(np.concatenate(within), goes).astype(int).tolist()
                 out, left, at = [], [], 0
-                for u in lost[lo + r] or ():
+                for u in goes:
                     s, e = edge[u], edge[u + 1]
                     if out and out[-1]["end"] == s:
                         out[-1]["end"] = e
@@ -141,7 +156,7 @@ def dedup(docs: DataFrame, unit: str = UNIT, least_words: int = LEAST_WORDS) ->
                 left.append(raw[x + at : y])
                 text = b"".join(left)
                 count.append(len(edge) - 1)
-                n.append(len(lost[lo + r] or ()))
+                n.append(len(goes))
                 removed.append(out)
                 digest.append(hashlib.sha256(text).hexdigest())
                 kept.append(text)

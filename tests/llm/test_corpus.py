@@ -212,6 +212,16 @@ def test_unit_dedup(spark, unit):
         assert b"".join([*parts, texts[i][at:]]) == bytes(r.kept)
 
 
+def test_repeated_lines_of_short_sentences_go_whole(spark):
+    line, long = "One two three. Four five six. Seven eight nine.", "a b c d e f g h i."
+    docs = more(spark, [line + "\nother " + long, "first\n" + line.upper() + "\nlast. " + long + " end", "One two three."], 1)
+    got = {r.doc_id: r for r in substring_dedup.dedup(docs, substring_dedup.BOTH).collect()}
+    assert {i: bytes(r.kept).decode() for i, r in got.items()} == {1: line + "\nother " + long, 2: "first\nlast. " + long + " end", 3: "One two three."}
+    assert (got[2].n_units, got[2].n_removed, [tuple(s) for s in got[2].removed]) == (7, 3, [(6, 6 + len(line) + 1)])
+    again = more(spark, ["x " + long + "\n" + long, "y. " + long + " z"], 1)
+    assert bytes(substring_dedup.dedup(again, substring_dedup.BOTH).where("doc_id = 2").first().kept).decode() == "y. z"
+
+
 def test_components_of_chains_and_stars(spark):
     chain = [(i, i + 1) for i in range(100, 160)]
     star = [(7, i) for i in range(200, 240)]
