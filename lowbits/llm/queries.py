@@ -24,12 +24,16 @@ def op3_line_deletion_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_report(table(spark, sf_dir, "documents")).withColumn("removed", F.array_join("removed", ","))
 
 
-def op4_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+def op4_temporal_url_lists(spark: SparkSession, sf_dir: str, hot: bool = False) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
-    out = url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages))
+    out = url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages, hot))
     return out.withColumns({c: out[c].cast("string") for c in ("fetched", "listed_since")})
 
 
+def op4_all_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op4_temporal_url_lists(spark, sf_dir, True)
+
+
 def op5_suffix_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.report(table(spark, sf_dir, "documents"))
 
@@ -61,7 +65,7 @@ def op10_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op8_line_and_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
+    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op4_all_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op8_line_and_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
 }
 
 _M = lambda text: f"cast('0x' || substr(md5({text}), 1, 7) as bigint)"
@@ -163,3 +167,4 @@ ORACLES: dict[str, str] = {
     select d.doc_id, d.source, d.n_tokens, d.block, o.pass, cast(o.position as bigint) as position, round(o.weight, 6) as weight, round(o.exponent, 6) as exponent
     from d join o on o.source is not distinct from d.source and o.block = d.block where o.size > 0 and o.position + o.size / cast(2 as double) <= o.budget""",
 }
+ORACLES["op4_all_url_lists"] = ORACLES["op4_temporal_url_lists"].replace(" and not (kind = 'domain' and regexp_matches(key, '^example[.]'))", "")

@@ -78,10 +78,14 @@ def dated_captures(pages: DataFrame) -> DataFrame:
     return pages.select("page_id", "url", F.expr(day).alias("fetched"))
 
 
-def derived_feed(pages: DataFrame) -> DataFrame:
-    """A list feed made by rule from the hosts and first path segments that occur: dated adds, removes and second adds."""
+def derived_feed(pages: DataFrame, hot: bool = True) -> DataFrame:
+    """A list feed made by rule from the hosts and first path segments that occur: dated adds, removes and second adds.
+
+    hot=False leaves out the parent domains that most of the given pages share."""
     keyed = capture_keys(pages.select("url").where("url is not null"))
-    keys = keyed.select(F.explode("keys").alias("k")).select("k.kind", "k.key").distinct().where("not (kind = 'domain' and key rlike '^example[.]')")
+    keys = keyed.select(F.explode("keys").alias("k")).select("k.kind", "k.key").distinct()
+    if not hot:
+        keys = keys.where("not (kind = 'domain' and key rlike '^example[.]')")
     seeded = keys.withColumn("m", F.expr(_number("concat(kind, ':', key)"))).where("m % 3 = 0")
     start = "date_add(date'2024-01-01', cast(m % 366 as int))"
     return seeded.select(

@@ -311,6 +311,15 @@ def test_url_lists(spark):
     assert not url_lists.evaluate(captures, entries.where("false")).where("blocked").count()
 
 
+def test_feed_lists_hot_parent_domains(spark):
+    pages = spark.createDataFrame([(i, f"https://h{i}.example.org/p{i}") for i in range(300)], "page_id long, url string")
+    feed = url_lists.derived_feed(pages)
+    assert feed.where("kind = 'domain' and key = 'example.org'").count()
+    met = url_lists.evaluate(url_lists.dated_captures(pages), feed).where("rules like '%domain:example.org:%'").count()
+    since = {r.day for r in feed.where("kind = 'domain' and key = 'example.org' and action = 'add'").collect()}
+    assert met and since and met <= 300
+
+
 def test_pipeline(spark, tmp_path):
     import corpus_pipeline
 
