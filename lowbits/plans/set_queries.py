@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import partial
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -10,6 +12,7 @@ from ..operators import estimators, exact, pairs, planes, sets, signature
 from ..sources.io import load, spread
 
 K, W, TOP, R0 = 64, 5, 400, 0.3
+ALL_WORDS = 2633  # the word sets of the whole workload; TOP is what the SQL twins take
 DOMAIN = float(PRIME)
 
 # ---- SQL building blocks (DuckDB) -------------------------------------------------------------------
@@ -116,8 +119,8 @@ def doc_sets(spark, sf) -> DataFrame:
     return sets.shingles(docs(spark, sf), w=W)
 
 
-def word_sets(spark, sf) -> DataFrame:
-    return sets.postings(docs(spark, sf), top_n=TOP)
+def word_sets(spark, sf, top: int = TOP) -> DataFrame:
+    return sets.postings(docs(spark, sf), top_n=top)
 
 
 def supplier_sets(spark, sf) -> DataFrame:
@@ -222,8 +225,8 @@ def sig_full_nested(spark, sf):
     return signature.narrow(n).select("set_id", F.col("j").cast("int").alias("j"), "z")
 
 
-def sig_full_perm(spark, sf):
-    return signature.narrow(signature.build_full(word_sets(spark, sf), "perm", 16)).select(F.col("set_id").alias("word"), F.col("j").cast("int").alias("j"), "z")
+def sig_full_perm(spark, sf, top=TOP):
+    return signature.narrow(signature.build_full(word_sets(spark, sf, top), "perm", 16)).select(F.col("set_id").alias("word"), F.col("j").cast("int").alias("j"), "z")
 
 
 def sig_merge(spark, sf):
@@ -270,36 +273,36 @@ def est_full_docs(spark, sf):
     return _with_truth(estimators.r_full(estimators.pair_all(p), K, 31), doc_sets(spark, sf))
 
 
-def _universe(spark, sf) -> int:
+def _universe(spark, sf, top: int = TOP) -> int:
     """Documents with words: the range of the permutations of word sets."""
-    return sets.postings(docs(spark, sf), top_n=TOP).select("elem").distinct().count()
+    return sets.postings(docs(spark, sf), top_n=top).select("elem").distinct().count()
 
 
 def _est_words(b):
-    def run(spark, sf):
-        s = word_sets(spark, sf)
+    def run(spark, sf, top=TOP):
+        s = word_sets(spark, sf, top)
         sig = planes.from_full(signature.build_full(s, "perm", K), K, b)
-        return _with_truth(estimators.r_low(estimators.pair_all(sig), K, b, _universe(spark, sf)), s)
+        return _with_truth(estimators.r_low(estimators.pair_all(sig), K, b, _universe(spark, sf, top)), s)
 
     return run
 
 
-def est_full_words(spark, sf):
-    s = word_sets(spark, sf)
+def est_full_words(spark, sf, top=TOP):
+    s = word_sets(spark, sf, top)
     sig = planes.from_full(signature.build_full(s, "perm", K), K, 31)
     return _with_truth(estimators.r_full(estimators.pair_all(sig), K, 31), s)
 
 
-def est_full_minima(spark, sf):
+def est_full_minima(spark, sf, top=TOP):
     """Full-width estimates by an equi-join on equal minima."""
-    s = word_sets(spark, sf)
+    s = word_sets(spark, sf, top)
     return _with_truth(estimators.r_full_minima(signature.build_full(s, "perm", K), K), s)
 
 
-def est_fold_words(spark, sf):
-    s = word_sets(spark, sf)
+def est_fold_words(spark, sf, top=TOP):
+    s = word_sets(spark, sf, top)
     sig = planes.fold(planes.from_full(signature.build_full(s, "perm", 2 * K), 2 * K, 1), K)
-    return _with_truth(estimators.r_fold(estimators.pair_all(sig), K, _universe(spark, sf)), s)
+    return _with_truth(estimators.r_fold(estimators.pair_all(sig), K, _universe(spark, sf, top)), s)
 
 
 def est_low_suppliers(spark, sf):
@@ -309,17 +312,17 @@ def est_low_suppliers(spark, sf):
     return _with_truth(estimators.r_low(estimators.pair_all(sig), K, 2, d), s, 0.0)
 
 
-def est_joint_size(spark, sf):
-    s = word_sets(spark, sf)
+def est_joint_size(spark, sf, top=TOP):
+    s = word_sets(spark, sf, top)
     sig = planes.from_full(signature.build_full(s, "perm", K), K, 4)
-    e = estimators.joint_size(estimators.r_low(estimators.pair_all(sig), K, 4, _universe(spark, sf)))
+    e = estimators.joint_size(estimators.r_low(estimators.pair_all(sig), K, 4, _universe(spark, sf, top)))
     return e.where(F.col("r_hat") >= R0).select("id_l", "id_r", "f_l", "f_r", F.round("a_hat", 4).alias("a_hat"))
 
 
-def est_interval(spark, sf):
-    s = word_sets(spark, sf)
+def est_interval(spark, sf, top=TOP):
+    s = word_sets(spark, sf, top)
     sig = planes.from_full(signature.build_full(s, "perm", K), K, 2)
-    e = estimators.with_interval(estimators.r_low(estimators.pair_all(sig), K, 2, _universe(spark, sf)))
+    e = estimators.with_interval(estimators.r_low(estimators.pair_all(sig), K, 2, _universe(spark, sf, top)))
     return e.where(F.col("r_hat") >= R0).select("id_l", "id_r", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
 
 
@@ -377,6 +380,8 @@ QUERIES = {
 QUERIES |= {f"sig_planes_b{b}": _sig_planes(b) for b in (1, 2, 3, 4)}
 QUERIES |= {f"est_low_b{b}_docs": _est_docs(b) for b in (1, 2, 3, 4)}
 QUERIES |= {f"est_low_b{b}_words": _est_words(b) for b in (1, 2, 3, 4)}
+_OF_WORDS = ("sig_full_perm", "est_full_words", "est_full_minima", "est_fold_words", "est_joint_size", "est_interval", *(f"est_low_b{b}_words" for b in (1, 2, 3, 4)))
+QUERIES |= {f"{name}_{ALL_WORDS}": partial(QUERIES[name], top=ALL_WORDS) for name in _OF_WORDS}  # no twins: tested on the smallest table
 
 _DOCS, _VOC = shingles_sql(), vocab_sql()
 _D_WORDS = f"(select count(distinct elem) from {_VOC})"

@@ -134,6 +134,18 @@ def test_precision_recall_and_space_gain(spark):
     assert g[(1, 0.7)] == pytest.approx(32 * 100 / 300) and g[(2, 0.7)] is None
 
 
+def test_word_estimates_take_the_whole_vocabulary(spark):
+    from lowbits.plans import set_queries as q
+
+    sf = "/root/testdata/sf0.001"
+    common = {r.word for r in q.sets_top_vocab(spark, sf).collect()}
+    assert len(common) > q.TOP
+    assert {r.word for r in q.QUERIES["sig_full_perm_2633"](spark, sf).select("word").distinct().collect()} == common
+    truth = {(r.w1, r.w2): round(r.r, 6) for r in q.exact_word_resemblance(spark, sf).collect()}
+    got = {(r.id_l, r.id_r): r.r_exact for r in q.QUERIES["est_full_minima_2633"](spark, sf).where("r_exact >= 0.300001").collect()}
+    assert len({w for p in got for w in p}) > q.TOP and all(abs(truth[p] - r) < 2e-6 for p, r in got.items())
+
+
 def plan_of(df) -> str:
     out = io.StringIO()
     with redirect_stdout(out):
