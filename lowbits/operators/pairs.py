@@ -63,18 +63,19 @@ def prefix_join(sets: DataFrame, r0: float) -> DataFrame:
     return a.select("id_l", "id_r", "f_l", "f_r", "a", (F.col("a") / (F.col("f_l") + F.col("f_r") - F.col("a"))).alias("r")).where(F.col("r") >= r0)
 
 
-def banded(planes: DataFrame, k: int, b: int, rows: int, r0: float, domain: float) -> DataFrame:
+def banded(planes: DataFrame, k: int, b: int, rows: int, r0: float, domain: float, key_bits: int | None = None) -> DataFrame:
     """Candidates that agree on the lowest b bits of some band of ``rows`` samples, verified by the estimate on all k.
 
     A band catches a pair with probability E^rows, E the match probability at b bits, so rows * b should be about
-    log2 of the number of sets: below, chance agreement floods the join."""
+    log2 of the number of sets: below, chance agreement floods the join.  key_bits: the bits a band key takes of each
+    sample (b unless given); with more of them, bands of few rows still meet little by chance."""
     if 64 % rows or k % rows:
         raise ValueError("rows must divide 64 and k")
     mask = F.lit((1 << rows) - 1 if rows < 63 else -1).cast("long")
     keys = []
     for t in range(k // rows):
         w, s = divmod(t * rows, 64)
-        keys.append(F.concat_ws(":", F.lit(str(t)), *(F.shiftrightunsigned(F.col(f"plane_{i}")[w], s).bitwiseAND(mask).cast("string") for i in range(b))))
+        keys.append(F.concat_ws(":", F.lit(str(t)), *(F.shiftrightunsigned(F.col(f"plane_{i}")[w], s).bitwiseAND(mask).cast("string") for i in range(key_bits or b))))
     each = planes.withColumn("key", F.explode(F.array(*keys)))
     l, r = each.alias("l"), each.alias("r")
     near = estimators.mismatches(k, b) <= estimators.mismatch_budget(k, b, r0, domain)
@@ -88,6 +89,14 @@ def band_recall(R: float, r1: float, r2: float, b: int, rows: int, bands: int) -
     return 1 - (1 - theory.match_prob(R, r1, r2, b) ** rows) ** bands
 
 
+def band_rows(R: float, r1: float, r2: float, b: int, k: int, least: float = 0.9) -> int:
+    """Most rows a band of k samples may have for a recall of ``least`` at R."""
+    for rows in range(min(k, 64), 0, -1):
+        if k % rows == 0 and 64 % rows == 0 and band_recall(R, r1, r2, b, rows, k // rows) >= least:
+            return rows
+    raise ValueError(f"no bands of {k} samples reach a recall of {least} at {R}")
+
+
 def top_neighbors(pairs: DataFrame, n: int, by: str = "r_hat") -> DataFrame:
     """The n most similar partners of each set, ties to smaller ids."""
     from pyspark.sql import Window

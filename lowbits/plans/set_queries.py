@@ -349,6 +349,12 @@ def pairs_banded(spark, sf):
     return _pairs_out(pairs.banded(_planes(spark, sf, 4), K, 4, 4, 0.5, DOMAIN))
 
 
+def pairs_banded_recall(spark, sf):
+    """As pairs_banded, with bands of so few rows that a pair at the threshold is met with a probability of 0.9 at least; 16 bits of each sample key a band."""
+    rows = pairs.band_rows(0.5, 1e-9, 1e-9, 16, K)
+    return _pairs_out(pairs.banded(_planes(spark, sf, 16), K, 4, rows, 0.5, DOMAIN, 16))
+
+
 def pairs_topk_neighbors(spark, sf):
     top = pairs.top_neighbors(exact.resemblance(supplier_sets(spark, sf)), 3, "r")
     return top.select("id_l", "id_r", F.round("r", 6).alias("r"), F.col("rank").cast("int").alias("rank"))
@@ -374,7 +380,7 @@ QUERIES = {
         exact_benchmark_containment, exact_conversation_resemblance, exact_distance, exact_distance_triangle,
         sig_full_affine, sig_full_narrow, sig_full_nested, sig_full_perm, sig_merge, sig_fold,
         est_full_docs, est_full_words, est_full_minima, est_fold_words, est_low_suppliers, est_joint_size, est_interval,
-        pairs_allpairs_b1, pairs_size_filter, pairs_prefix_filter, pairs_banded, pairs_topk_neighbors, dedup_components, dedup_exact_md5,
+        pairs_allpairs_b1, pairs_size_filter, pairs_prefix_filter, pairs_banded, pairs_banded_recall, pairs_topk_neighbors, dedup_components, dedup_exact_md5,
     )
 }
 QUERIES |= {f"sig_planes_b{b}": _sig_planes(b) for b in (1, 2, 3, 4)}

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions import hashing
+from ..operators.pairs import band_rows
 from ..sources.io import scratch
 
 
@@ -66,24 +67,33 @@ def sessions(events: DataFrame, key: str, gap: str, late: str = "1 hour") -> Dat
     return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap), key).agg(F.count("*").alias("n"))
 
 
-def near_duplicate_detector(stream: DataFrame, k: int = 16, rows: int = 4) -> DataFrame:
-    """Custom state: for each band key the first set that had it; emits (set_id, seen) for sets that meet an earlier one.
+def near_duplicate_detector(stream: DataFrame, k: int = 16, r0: float = 0.75, recall: float = 0.9) -> DataFrame:
+    """Custom state: for each band key the sets that had it; emits (set_id, seen, r_hat) for sets whose minima agree in a share of r0 with an earlier one's.
 
-    stream: set_id and z (k minima).  State is one id per band key."""
+    stream: set_id and z (k minima).  Bands have as many rows as a recall of ``recall`` at r0 allows.  State is an id and k
+    minima for each different signature of a band key, so exact copies take one entry."""
+    import numpy as np
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+    rows = band_rows(r0, 1e-9, 1e-9, 31, k, recall)
     bands = F.array(*(F.concat_ws(":", F.lit(str(t)), *(F.col("z")[t * rows + i].cast("string") for i in range(rows))) for t in range(k // rows)))
-    keyed = stream.select("set_id", F.explode(bands).alias("band"))
+    keyed = stream.select("set_id", "z", F.explode(bands).alias("band"))
 
     def step(key, frames, state: GroupState):
-        first = state.get[0] if state.exists else None
+        held, flat = state.get if state.exists else ([], [])
+        ids, minima = list(held), [np.asarray(flat[i * k : (i + 1) * k]) for i in range(len(held))]
+        known = len(ids)
         for f in frames:
-            for i in sorted(int(x) for x in f["set_id"]):
-                if first is None:
-                    first = i
-                    state.update((first,))
-                elif i != first:
-                    yield pd.DataFrame({"set_id": [i], "seen": [first]})
-
-    return keyed.groupBy("band").applyInPandasWithState(step, "set_id long, seen long", "first long", "append", GroupStateTimeout.NoTimeout)
+            for i, z in sorted(((int(i), np.asarray(z)[:k]) for i, z in zip(f["set_id"], f["z"])), key=lambda x: x[0]):
+                share = [(z == m).mean() if j != i else -1.0 for j, m in zip(ids, minima)]
+                met = next((n for n, x in enumerate(share) if x >= r0), None)
+                if met is not None:
+                    yield pd.DataFrame({"set_id": [i], "seen": [ids[met]], "r_hat": [float(share[met])]})
+                if not any((z == m).all() for m in minima):
+                    ids.append(i)
+                    minima.append(z)
+        if len(ids) > known:
+            state.update((ids, [int(x) for m in minima for x in m]))
+
+    return keyed.groupBy("band").applyInPandasWithState(step, "set_id long, seen long, r_hat double", "ids array<long>, minima array<long>", "append", GroupStateTimeout.NoTimeout)

@@ -146,6 +146,34 @@ def test_word_estimates_take_the_whole_vocabulary(spark):
     assert len({w for p in got for w in p}) > q.TOP and all(abs(truth[p] - r) < 2e-6 for p, r in got.items())
 
 
+def test_bands_meet_pairs_at_the_threshold(spark):
+    from lowbits.plans import set_queries as q
+
+    sf = "/root/testdata/sf0.001"
+    rows = pairs.band_rows(0.5, 1e-9, 1e-9, 16, q.K)
+    assert pairs.band_recall(0.5, 1e-9, 1e-9, 16, rows, q.K // rows) >= 0.9 > pairs.band_recall(0.5, 1e-9, 1e-9, 4, 4, 16)
+    every = {(r.id_l, r.id_r): r.r_hat for r in q._pairs_out(pairs.all_pairs(q._planes(spark, sf, 4), q.K, 4, 0.5, q.DOMAIN)).collect()}
+    got = {(r.id_l, r.id_r): r.r_hat for r in q.pairs_banded_recall(spark, sf).collect()}
+    assert got.items() <= every.items() and len(got) >= 0.9 * len(every) > 0
+
+
+def test_detector_meets_and_verifies(spark, tmp_path):
+    from lowbits.streaming import streams
+
+    rng, made = np.random.default_rng(3), []
+    for p in range(100):  # 12 of 16 minima agree: a share of 0.75
+        z = rng.integers(0, 2**31, 16)
+        other = z.copy()
+        other[rng.choice(16, 4, replace=False)] = rng.integers(0, 2**31, 4)
+        far = np.concatenate((z[:4], rng.integers(0, 2**31, 12)))
+        made += [(10 * p, z.tolist()), (10 * p + 1, other.tolist()), (10 * p + 2, far.tolist()), (10 * p + 3, z.tolist())]
+    sig = spark.createDataFrame(made, "set_id long, z array<long>")
+    sig.coalesce(1).write.parquet(str(tmp_path / "sig"))
+    got = {(r.set_id, r.seen) for r in streams.drain(streams.near_duplicate_detector(streams.from_path(spark, str(tmp_path / "sig"), sig.schema))).collect()}
+    assert not any(2 in (a % 10, b % 10) for a, b in got)
+    assert sum((10 * p + 1, 10 * p) in got for p in range(100)) >= 90 and all((10 * p + 3, 10 * p) in got for p in range(100))
+
+
 def plan_of(df) -> str:
     out = io.StringIO()
     with redirect_stdout(out):
