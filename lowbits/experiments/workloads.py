@@ -17,6 +17,7 @@ COUNTS = [(15, 14, 14), (146, 145, 134), (615, 484, 479), (4, 3, 3), (63, 55, 44
 UNIVERSE = 1000
 FOLD_PAIRS = (0, 2, 4, 8)
 KS, REPS = [10, 20, 50, 100, 200], 400
+CURVE_KS, CURVE_REPS = [64, 128, 256, 512], 3
 WORD_THRESHOLDS, DOC_THRESHOLDS = [0.3, 0.4, 0.5, 0.6, 0.7, 0.8], [0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9]
 
 
@@ -79,7 +80,7 @@ def retrieval(s: DataFrame, kind: str, domain: float, ks: list[int], bs: list[in
         curves = c if curves is None else curves.unionByName(c)
     if reps == 1:
         return curves.drop("rep")
-    return curves.groupBy("estimator", "b", "k", "r0").agg(F.sum("n_rel").alias("n_rel"), F.sum("n_ret").alias("n_ret"), F.sum("n_hit").alias("n_hit"), F.avg("precision").alias("precision"), F.avg("recall").alias("recall"))
+    return curves.groupBy("estimator", "b", "k", "r0").agg(F.sum("n_rel").alias("n_rel"), F.sum("n_ret").alias("n_ret"), F.sum("n_hit").alias("n_hit"), F.avg("precision").alias("precision"), F.avg("recall").alias("recall"), F.stddev_pop("precision").alias("precision_sd"), F.stddev_pop("recall").alias("recall_sd"))
 
 
 def _rounded(c: DataFrame) -> DataFrame:
@@ -98,13 +99,31 @@ def pr_words(spark: SparkSession, sf: str) -> DataFrame:
     return _rounded(word_curve(spark, sf, [64]))
 
 
-def space_gain(spark: SparkSession, sf: str, ks=(32, 64, 128, 192, 256), reps: int = 1) -> DataFrame:
+def space_gain(spark: SparkSession, sf: str, ks=(32, 64, 128, 192, 256, 384, 512), reps: int = CURVE_REPS) -> DataFrame:
     """Space of 32-bit samples over space of b-bit samples at equal precision, by threshold."""
     g = metrics.space_gain(word_curve(spark, sf, list(ks), reps), [0.7, 0.8])
     return g.select("r0", "target", "b", "k_low", "k_full", F.round("gain", 4).alias("gain"))
 
 
+def doc_curve(spark, sf, ks, reps: int = 1) -> DataFrame:
+    s = sets.shingles(load(spark, sf, "documents").select("doc_id", "text"))
+    return retrieval(s, "affine31", float(PRIME), ks, [1, 2, 4], 31, DOC_THRESHOLDS, reps)
+
+
 def pr_docs(spark: SparkSession, sf: str) -> DataFrame:
     """All pairs of documents, by 5-word shingles."""
-    s = sets.shingles(load(spark, sf, "documents").select("doc_id", "text"))
-    return _rounded(retrieval(s, "affine31", float(PRIME), [64], [1, 2, 4], 31, DOC_THRESHOLDS))
+    return _rounded(doc_curve(spark, sf, [64]))
+
+
+def _with_spread(c: DataFrame) -> DataFrame:
+    return c.select("estimator", "b", "k", "r0", "n_rel", "n_ret", "n_hit", *(F.round(x, 6).alias(x) for x in ("precision", "recall", "precision_sd", "recall_sd")))
+
+
+def pr_words_grid(spark: SparkSession, sf: str) -> DataFrame:
+    """As pr_words over the grid of k: counts summed, precision and recall averaged over repetitions, with their spread."""
+    return _with_spread(word_curve(spark, sf, CURVE_KS, CURVE_REPS))
+
+
+def pr_docs_grid(spark: SparkSession, sf: str) -> DataFrame:
+    """As pr_docs over the grid of k: counts summed, precision and recall averaged over repetitions, with their spread."""
+    return _with_spread(doc_curve(spark, sf, CURVE_KS, CURVE_REPS))

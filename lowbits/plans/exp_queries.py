@@ -13,6 +13,8 @@ QUERIES = {
     "exp_pr_words": w.pr_words,
     "exp_pr_docs": w.pr_docs,
     "exp_space_gain": w.space_gain,
+    "exp_pr_words_grid": w.pr_words_grid,
+    "exp_pr_docs_grid": w.pr_docs_grid,
 }
 
 

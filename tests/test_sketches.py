@@ -174,6 +174,15 @@ def test_detector_meets_and_verifies(spark, tmp_path):
     assert sum((10 * p + 1, 10 * p) in got for p in range(100)) >= 90 and all((10 * p + 3, 10 * p) in got for p in range(100))
 
 
+def test_retrieval_over_a_grid_with_spread(spark):
+    from lowbits.experiments import workloads as w
+
+    assert max(w.CURVE_KS) >= 512 and w.CURVE_REPS > 1
+    c = w._with_spread(w.retrieval(small(spark), "affine31", D, [16, 32], [1], 8, [0.3, 0.9], 2)).collect()
+    assert {(r.estimator, r.k) for r in c} >= {("full", 16), ("full", 32)} and all(r.n_rel % 2 == 0 for r in c if r.estimator == "full")
+    assert all(r.recall_sd is not None and r.recall_sd >= 0 for r in c if r.recall is not None)
+
+
 def plan_of(df) -> str:
     out = io.StringIO()
     with redirect_stdout(out):
