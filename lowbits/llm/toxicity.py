@@ -175,7 +175,9 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
 
 
 def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 40) -> Chain:
-    """Fit on at most ``sample`` labelled rows and max_mb of text, both drawn by id hash (a documented bound)."""
+    """Fit on at most ``sample`` labelled rows and max_mb of text, both drawn by id hash (a documented bound).
+
+    Texts over a 256th of max_mb come after all others, so a long one takes only what the rest leave."""
     lab = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("toxic").cast("int").alias("toxic")).where("_id is not null and toxic is not null")
     lab = lab.groupBy("_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64(F.lit(SEED), "_id"), "_id").limit(sample)
     chosen = {r._id: r.toxic for r in lab.collect()}
@@ -195,7 +197,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int
         yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit([texts[i][0] for i in order], [texts[i][1] for i in order]))])], ["chain"])
 
     # one task fits the chain: its input is bounded by sample and max_mb
-    fitted = rows.repartition(1).sortWithinPartitions("_id").mapInArrow(lean(run), "chain binary").first()
+    fitted = rows.repartition(1).sortWithinPartitions(F.octet_length("text") > (max_mb << 20) // 256, F.xxhash64(F.lit(SEED), "_id"), "_id").mapInArrow(lean(run), "chain binary").first()
     return pickle.loads(fitted.chain) if fitted else fit([], [])
 
 

@@ -320,6 +320,14 @@ def test_feed_lists_hot_parent_domains(spark):
     assert met and since and met <= 300
 
 
+def test_training_text_is_drawn_by_id_hash(spark, monkeypatch):
+    monkeypatch.setattr(toxicity, "fit", lambda texts, toxic: tuple(texts))
+    docs = spark.createDataFrame([(0, "long " * 180_000), *((i, f"{i} " + "x" * 4000) for i in range(1, 401))], "doc_id long, text string")
+    labels = docs.select("doc_id").selectExpr("doc_id", "0 as toxic")
+    seen = {int(t.split()[0]) for t in toxicity.train(docs, labels, max_mb=1) if t[:4] != b"long"}
+    assert len(seen) > 250 and max(seen) > 350
+
+
 def test_pipeline(spark, tmp_path):
     import corpus_pipeline
 
