@@ -16,7 +16,7 @@ PAIRS = [("eaedin", "thingstsh"), ("thanea", "eriner"), ("the", "that"), ("achke
 COUNTS = [(15, 14, 14), (146, 145, 134), (615, 484, 479), (4, 3, 3), (63, 55, 44), (47, 27, 24), (45, 41, 19), (189, 50, 27), (45, 43, 9), (582, 35, 30)]
 UNIVERSE = 1000
 FOLD_PAIRS = (0, 2, 4, 8)
-KS, REPS = [10, 20, 50, 100, 200], 400
+KS, REPS = [10, 20, 50, 100, 200], 25000
 CURVE_KS, CURVE_REPS = [64, 128, 256, 512], 3
 WORD_THRESHOLDS, DOC_THRESHOLDS = [0.3, 0.4, 0.5, 0.6, 0.7, 0.8], [0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9]
 
@@ -42,12 +42,19 @@ def table1_data(spark: SparkSession, sf: str) -> DataFrame:
     return t.select("w1", "w2", "f1", "f2", "a", F.round(r, 6).alias("r"), F.round(fl, 6).alias("floor"), F.round(sl, 6).alias("slope"), gain(32).alias("gain32"), gain(64).alias("gain64"))
 
 
+def counted(spark: SparkSession, sf: str, which=range(len(PAIRS))) -> list[dict]:
+    """f1, f2, a and D of the word pairs as counted in the given documents; pairs that never meet there have no row."""
+    size = load(spark, sf, "documents").count()
+    found = {(r.w1, r.w2): r for r in table1_data(spark, sf).collect()}
+    return [{"pair": "-".join(p), "f1": found[p].f1, "f2": found[p].f2, "a": found[p].a, "D": size} for p in (PAIRS[i] for i in which) if p in found]
+
+
 def bias_mse(spark: SparkSession, sf: str, reps: int = REPS, ks=KS) -> DataFrame:
-    return simulate.bias_mse(spark, stand_ins(), ks, reps)
+    return simulate.bias_mse(spark, counted(spark, sf), ks, reps)
 
 
 def fold_mse(spark: SparkSession, sf: str, reps: int = REPS, ks=KS) -> DataFrame:
-    return simulate.bias_mse(spark, [stand_ins()[i] for i in FOLD_PAIRS], ks, reps, (1,), True)
+    return simulate.bias_mse(spark, counted(spark, sf, FOLD_PAIRS), ks, reps, (1,), True)
 
 
 def retrieval(s: DataFrame, kind: str, domain: float, ks: list[int], bs: list[int], full_bits: int, thresholds: list[float], reps: int = 1) -> DataFrame:

@@ -183,6 +183,16 @@ def test_retrieval_over_a_grid_with_spread(spark):
     assert all(r.recall_sd is not None and r.recall_sd >= 0 for r in c if r.recall is not None)
 
 
+def test_bias_pairs_are_counted_in_the_given_documents(spark):
+    from lowbits.experiments import workloads as w
+
+    assert w.REPS == 25000
+    small_, given = w.counted(spark, "/root/testdata/sf0.001"), w.counted(spark, "/root/testdata/sf0.01")
+    assert given == w.stand_ins() and small_ and {p["D"] for p in small_} == {200}
+    rows = w.bias_mse(spark, "/root/testdata/sf0.001", 60, [10]).collect()
+    assert {r.pair for r in rows} == {p["pair"] for p in small_} and {r.reps for r in rows} == {60}
+
+
 def plan_of(df) -> str:
     out = io.StringIO()
     with redirect_stdout(out):
