@@ -8,7 +8,8 @@ operations, so there is no loop per word.
 
 Edge cases: null or empty texts have no words and are never hit; items without words are no patterns;
 equal items are all reported; no benchmark rows means no hits.  Any number of benchmark rows: they are
-taken in blocks of bounded size, each against all documents.
+taken in blocks of bounded size, each against all documents; what the blocks find is merged by a stored row number, so
+repeated and null ids keep their rows.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import ALNUM_WORDS, U64, mix, text_slices, word_hashes, words
-from .engine import map_batches
+from .engine import map_batches, stored
 
 WINDOW, TABLE_BITS, STRETCH = 10, 20, 256
 
@@ -127,12 +128,12 @@ def _blocks(benchmark: DataFrame, block_mb: int) -> Iterator:
         yield benchmark.sparkSession.sparkContext.broadcast(build(rows))
 
 
-FOUND = "doc_id long, n_words long, hit array<struct<first:int,last:int>>, items array<long>"
+FOUND = "row long, doc_id long, n_words long, hit array<struct<first:int,last:int>>, items array<long>"
 
 
 def _scan(docs: DataFrame, searchers) -> DataFrame:
-    """doc_id, n_words, runs of hit words and items found, for one block of benchmark rows."""
-    schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("hit", pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32())]))), ("items", pa.list_(pa.int64()))])
+    """row, doc_id, n_words, runs of hit words and items found, for one block of benchmark rows."""
+    schema = pa.schema([("row", pa.int64()), ("doc_id", pa.int64()), ("n_words", pa.int64()), ("hit", pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32())]))), ("items", pa.list_(pa.int64()))])
 
     def run(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for lo, hi, buf, off in text_slices(batch, "text"):
@@ -153,7 +154,7 @@ def _scan(docs: DataFrame, searchers) -> DataFrame:
                 a, b = int(bounds[d]), int(bounds[d + 1])
                 edge = np.flatnonzero(np.diff(np.concatenate(([0], hit[a:b].astype(np.int8), [0]))))
                 runs[d] = [{"first": int(x), "last": int(y) - 1} for x, y in zip(edge[::2], edge[1::2])]
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(np.diff(bounds)), pa.array(runs, schema.field("hit").type), pa.array([sorted(items.get(d, ())) for d in range(hi - lo)], schema.field("items").type)], schema=schema)
+            yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(lo, hi - lo) for c in (0, 1)), pa.array(np.diff(bounds)), pa.array(runs, schema.field("hit").type), pa.array([sorted(items.get(d, ())) for d in range(hi - lo)], schema.field("items").type)], schema=schema)
 
     return map_batches(docs, run, FOUND)
 
@@ -162,14 +163,16 @@ def contamination(docs: DataFrame, benchmark: DataFrame, block_mb: int = 16, id_
     """doc_id, n_words, hit (runs of word numbers, both ends included) and items (sorted ids), one row per row of docs.
 
     block_mb bounds the benchmark text held at once: larger benchmarks are searched for in several passes."""
-    docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    parts = [_scan(docs, s) for s in _blocks(benchmark, block_mb)]
-    if len(parts) == 1:
-        return parts[0]
+    docs = docs.select(F.monotonically_increasing_id().alias("row"), docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
+    blocks = list(_blocks(benchmark, block_mb))
+    if len(blocks) == 1:
+        return _scan(docs, blocks[0]).drop("row")
+    docs = stored(docs, "decontam")  # every block must see the same row numbers
+    parts = [_scan(docs, s) for s in blocks]
     merged = parts[0]
     for p in parts[1:]:
         merged = merged.unionByName(p)
-    runs = merged.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("hit")).alias("runs"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+    runs = merged.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.max("n_words").alias("n_words"), F.flatten(F.collect_list("hit")).alias("runs"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
     whole = """aggregate(array_sort(runs), cast(array() as array<struct<first:int,last:int>>), (s, x) ->
         case when size(s) > 0 and element_at(s, -1).last + 1 >= x.first
              then concat(slice(s, 1, size(s) - 1), array(named_struct('first', element_at(s, -1).first, 'last', greatest(element_at(s, -1).last, x.last))))

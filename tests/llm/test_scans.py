@@ -112,6 +112,16 @@ def brute_contamination(docs, items):
     return out
 
 
+def test_several_blocks_keep_repeated_and_null_ids(spark, monkeypatch):
+    bench = spark.createDataFrame([(1, "alpha beta"), (2, "gamma delta"), (3, "omega")], "item_id long, text string")
+    texts = [(7, "alpha beta gamma delta"), (7, "alpha beta gamma delta"), (7, "x omega"), (None, "gamma delta x y"), (None, "nothing"), (None, None), (8, "omega alpha beta")]
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    monkeypatch.setattr(decontam, "_blocks", lambda b, _: (spark.sparkContext.broadcast(decontam.build([(r.item_id, r.text.encode()) for r in b.collect() if r.item_id % 3 == k])) for k in range(3)))
+    got = [(r.doc_id, r.n_words, [tuple(x) for x in r.hit], r["items"]) for r in decontam.contamination(docs, bench).collect()]
+    want = [(7, 4, [(0, 3)], [1, 2]), (7, 4, [(0, 3)], [1, 2]), (7, 2, [(1, 1)], [3]), (None, 4, [(0, 1)], [2]), (None, 1, [], []), (None, 0, [], []), (8, 3, [(0, 2)], [1, 3])]
+    assert sorted(got, key=str) == sorted(want, key=str)
+
+
 @pytest.mark.parametrize("block_mb", [16, 0])
 def test_contamination(spark, block_mb, monkeypatch):
     given = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
