@@ -13,15 +13,17 @@ from pyspark.sql import types as T
 
 _own_dir: list[str] = []
 
-
-BATCH_ROWS = 1000
+#: Rows and bytes of an Arrow batch, and bytes of input files that one shuffle partition of packed rows may stand for.
+BATCH_ROWS, BATCH_BYTES, INPUT_PER_PARTITION = 1000, 8 << 20, 256 << 20
 
 
 def bound_batches(spark: SparkSession) -> None:
-    """Lower the rows of an Arrow batch (a runtime setting): ten thousand long texts in one batch are hundreds of MB."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
-        spark.conf.set(key, str(BATCH_ROWS))
+    """Lower the rows and bytes of an Arrow batch (runtime settings): ten thousand long texts in one batch are hundreds of MB."""
+    for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        key = f"spark.sql.execution.arrow.{key}"
+        now = str(spark.conf.get(key)).lower()
+        if not now.isdigit() or not 0 < int(now) <= most:
+            spark.conf.set(key, str(most))
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -30,27 +32,56 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; one of our own only where the session names none (tests)."""
+    """The folder of spark.checkpoint.dir; one of our own only where the session names none and all runs in one process (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _own_dir:
         _own_dir.append("file://" + tempfile.mkdtemp(prefix="lowbits-"))
     return _own_dir[0]
 
 
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write df as Parquet to the shared folder and read it back: cuts lineage, survives lost executors."""
+def write(df: DataFrame, label: str) -> tuple[DataFrame, str]:
+    """(df read back from Parquet in the shared folder, its path)."""
     spark = df.sparkSession
     bound_batches(spark)
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """Write df as Parquet to the shared folder and read it back: cuts lineage, survives lost executors.
+
+    Results read it lazily, so it stays until whoever owns the shared folder clears it."""
+    return write(df, label)[0]
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a written folder that nothing reads any more."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def same_row() -> F.Column:
+    """Rows by id and text hash, (doc_id, th) against (d, t): null ids meet, different texts under one id don't."""
+    return F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t"))
 
 
-def partitions(spark: SparkSession) -> int:
+def partitions(spark: SparkSession, df: DataFrame | None = None) -> int:
+    """Shuffle partitions of the session; more where df reads so many bytes of files that one would stand for too many."""
     bound_batches(spark)
-    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    if df is None:
+        return parts
+    leaves, size = df._jdf.queryExecution().optimizedPlan().collectLeaves(), 0
+    for i in range(leaves.size()):
+        known = int(str(leaves.apply(i).stats().sizeInBytes()))
+        size += known if known < 1 << 60 else 0  # without statistics Spark says the greatest number there is
+    return max(parts, -(-size // INPUT_PER_PARTITION))
 
 
 def to_arrow_schema(schema: T.StructType) -> pa.Schema:
@@ -94,16 +125,18 @@ def components(edges: DataFrame, nodes: DataFrame | None = None, rounds: int = 6
     then follows the label's own label, so chains shrink geometrically.  Each round is stored durably.
     nodes: further nodes without edges.  Null ends are ignored.
     """
+    spark = edges.sparkSession
     e = edges.select(F.col("a").cast("long"), F.col("b").cast("long")).where("a is not null and b is not null and a <> b")
     both = stored(e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
     ids = both.select(F.col("a").alias("node")).distinct()
-    labels = stored(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("component")), "labels")
+    labels, path = write(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("component")), "labels")
     for _ in range(rounds):
         around = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("component").alias("m"))
         near = labels.join(around, labels.node == around.a).select("node", F.least("component", "m").alias("component"), F.col("component").alias("was"))
         jump = labels.select(F.col("node").alias("via"), F.col("component").alias("far"))
-        after = stored(near.join(jump, near.component == jump.via).select("node", F.least("component", "far").alias("component"), "was"), "labels")
-        labels = after.select("node", "component")
+        after, now = write(near.join(jump, near.component == jump.via).select("node", F.least("component", "far").alias("component"), "was"), "labels")
+        remove(spark, path)
+        labels, path = after.select("node", "component"), now
         if after.where("component <> was").isEmpty():
             break
     else:

@@ -24,16 +24,12 @@ def op3_line_deletion_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_report(table(spark, sf_dir, "documents")).withColumn("removed", F.array_join("removed", ","))
 
 
-def op4_temporal_url_lists(spark: SparkSession, sf_dir: str, hot: bool = False) -> DataFrame:
+def op4_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
-    out = url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages, hot))
+    out = url_lists.evaluate(url_lists.dated_captures(pages), url_lists.derived_feed(pages))
     return out.withColumns({c: out[c].cast("string") for c in ("fetched", "listed_since")})
 
 
-def op4_all_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return op4_temporal_url_lists(spark, sf_dir, True)
-
-
 def op5_suffix_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.report(table(spark, sf_dir, "documents"))
 
@@ -46,15 +42,11 @@ def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.classes(table(spark, sf_dir, "documents"))
 
 
-def op8_unit_hashing(spark: SparkSession, sf_dir: str, unit: str = substring_dedup.UNIT) -> DataFrame:
-    out = substring_dedup.dedup(table(spark, sf_dir, "documents"), unit).drop("kept")
+def op8_unit_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = substring_dedup.dedup(table(spark, sf_dir, "documents"), substring_dedup.BOTH, with_kept=False)
     return out.withColumn("removed", F.array_join(F.transform("removed", lambda x: F.concat_ws(":", x["start"].cast("string"), x["end"].cast("string"))), ","))
 
 
-def op8_line_and_unit_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return op8_unit_hashing(spark, sf_dir, substring_dedup.BOTH)
-
-
 def op9_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
@@ -65,7 +57,7 @@ def op10_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op4_all_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op8_line_and_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
+    f.__name__: f for f in (op1_transport_stream, op2_temperature_mixing, op3_line_deletion_join, op4_temporal_url_lists, op5_suffix_cover, op6_decontamination, op7_ngram_jaccard, op8_unit_hashing, op9_toxicity_chain, op10_secret_ownership)
 }
 
 _M = lambda text: f"cast('0x' || substr(md5({text}), 1, 7) as bigint)"
@@ -82,7 +74,7 @@ ORACLES: dict[str, str] = {
     k as (select page_id, 'host' as kind, host as key from l where host <> ''
           union all select page_id, 'domain', array_to_string(labels[i:], '.') from (select page_id, labels, unnest(range(1, greatest(len(labels) - 1, 1) + 1)) as i from l where host <> '')
           union all select page_id, 'prefix', host || '/' || segment from l where host <> '' and segment <> ''),
-    s as (select kind, key, m, cast(date '2024-01-01' + cast(m % 366 as integer) as date) as start from (select distinct kind, key, {_M("kind || ':' || key")} as m from k) where m % 3 = 0 and not (kind = 'domain' and regexp_matches(key, '^example[.]'))),
+    s as (select kind, key, m, cast(date '2024-01-01' + cast(m % 366 as integer) as date) as start from (select distinct kind, key, {_M("kind || ':' || key")} as m from k) where m % 3 = 0),
     e as (select kind, key, m, start as day, 1 as opened from s union all select kind, key, m, start + cast(20 + m % 60 as integer), 0 from s where m % 4 <> 1 union all select kind, key, m, start + 120, 1 from s where m % 5 = 0),
     w as (select *, coalesce(lag(opened) over (partition by kind, key order by day, opened desc), 0) as was from e),
     v as (select *, lead(day) over (partition by kind, key order by day, opened desc) as to_day from w where opened <> was),
@@ -125,32 +117,24 @@ ORACLES: dict[str, str] = {
     select d.doc_id, cast(case when length(text) > 0 then len(string_split(text, chr(10))) else 0 end as bigint) as n_lines, coalesce(n, 0) as n_removed, coalesce(removed, '') as removed
     from documents d left join g on g.doc_id = d.doc_id""",
     "op8_unit_hashing": f"""
-    with t as (select doc_id, list_filter(string_split(replace(regexp_replace(coalesce(text, ''), '([.!?]) ', '\\1 ' || chr(1), 'g'), chr(10), chr(10) || chr(1)), chr(1)), lambda y: y <> '') as u from documents),
-    x as (select doc_id, unnest(u) as s, unnest(range(0, len(u))) as i from t),
-    w as (select *, regexp_extract_all(translate(s, {_UPPER}, {_LOWER}), {_WORD}) as w, sum(strlen(s)) over (partition by doc_id order by i) as stop from x),
-    k as (select doc_id, i, s, stop, len(w) >= 8 and doc_id * 10000000 + i > min(doc_id * 10000000 + i) over (partition by len(w) >= 8, array_to_string(w, ' ')) as gone from w),
-    n as (select *, i - row_number() over (partition by doc_id order by i) as island from k where gone),
-    m as (select doc_id, island, min(stop - strlen(s)) as a, max(stop) as b from n group by 1, 2),
-    g as (select doc_id, string_agg(a || ':' || b, ',' order by a) as removed from m group by doc_id),
-    q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
-    select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
-    from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
-    "op8_line_and_unit_hashing": f"""
     with t as (select doc_id, list_filter(string_split(replace(coalesce(text, ''), chr(10), chr(10) || chr(1)), chr(1)), lambda y: y <> '') as u from documents),
     z as (select doc_id, unnest(u) as l, unnest(range(0, len(u))) as li from t),
     y as (select *, regexp_extract_all(translate(l, {_UPPER}, {_LOWER}), {_WORD}) as lw from z),
     r as (select doc_id, li, list_filter(string_split(regexp_replace(l, '([.!?]) ', '\\1 ' || chr(1), 'g'), chr(1)), lambda y: y <> '') as p,
-                 len(lw) >= 8 and doc_id * 10000000 + li > min(doc_id * 10000000 + li) over (partition by len(lw) >= 8, array_to_string(lw, ' ')) as line_gone from y),
+                 len(lw) >= 8 and doc_id * 10000000 + li > min(doc_id * 10000000 + li) over (partition by len(lw) >= 8, array_to_string(lw, ' ')) as line_gone,
+                 len(lw) >= 8 and count(*) over (partition by len(lw) >= 8, array_to_string(lw, ' ')) > 1 as line_many from y),
+    f as (select doc_id, count(*) filter (line_many) as n_lines from r group by doc_id),
     v as (select doc_id, li, line_gone, unnest(p) as s, unnest(range(0, len(p))) as si from r),
     x as (select doc_id, line_gone, s, row_number() over (partition by doc_id order by li, si) - 1 as i from v),
     w as (select *, regexp_extract_all(translate(s, {_UPPER}, {_LOWER}), {_WORD}) as w, sum(strlen(s)) over (partition by doc_id order by i) as stop from x),
-    k as (select doc_id, i, s, stop, line_gone or (len(w) >= 8 and doc_id * 10000000 + i > min(doc_id * 10000000 + i) over (partition by len(w) >= 8, array_to_string(w, ' '))) as gone from w),
+    k as (select doc_id, i, s, stop, line_gone or (len(w) >= 8 and doc_id * 10000000 + i > min(doc_id * 10000000 + i) over (partition by len(w) >= 8, array_to_string(w, ' '))) as gone,
+                 len(w) >= 8 and count(*) over (partition by len(w) >= 8, array_to_string(w, ' ')) > 1 as many from w),
     n as (select *, i - row_number() over (partition by doc_id order by i) as island from k where gone),
     m as (select doc_id, island, min(stop - strlen(s)) as a, max(stop) as b from n group by 1, 2),
     g as (select doc_id, string_agg(a || ':' || b, ',' order by a) as removed from m group by doc_id),
-    q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
-    select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
-    from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id""",
+    q as (select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed, count(*) filter (many) as n_many, sha256(coalesce(string_agg(s, '' order by i) filter (not gone), '')) as kept from k group by doc_id)
+    select t.doc_id, coalesce(n_units, 0) as n_units, coalesce(n_removed, 0) as n_removed, coalesce(n_many, 0) + coalesce(n_lines, 0) as n_repeated, coalesce(removed, '') as removed, coalesce(kept, sha256('')) as kept_sha256
+    from t left join q on q.doc_id = t.doc_id left join g on g.doc_id = t.doc_id left join f on f.doc_id = t.doc_id""",
     # the repetition limit does not bind wherever the entropy target keeps sources under it, so it has no part here
     "op2_temperature_mixing": f"""
     with recursive d as (select doc_id, source, cast(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) as bigint) as n_tokens, {_H("'7:' || doc_id")} % {mixing.BLOCKS} as block from documents),
@@ -167,4 +151,3 @@ ORACLES: dict[str, str] = {
     select d.doc_id, d.source, d.n_tokens, d.block, o.pass, cast(o.position as bigint) as position, round(o.weight, 6) as weight, round(o.exponent, 6) as exponent
     from d join o on o.source is not distinct from d.source and o.block = d.block where o.size > 0 and o.position + o.size / cast(2 as double) <= o.budget""",
 }
-ORACLES["op4_all_url_lists"] = ORACLES["op4_temporal_url_lists"].replace(" and not (kind = 'domain' and regexp_matches(key, '^example[.]'))", "")

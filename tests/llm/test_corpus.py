@@ -6,6 +6,7 @@ import re
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from lowbits.llm import engine, line_dedup, mixing, ngram_join, substring_dedup, suffix_dedup, toxicity, url_lists
 
@@ -185,31 +186,52 @@ def test_cover_takes_any_two_positions_to_the_sample():
         assert np.isin((i + s) % v, cover).all() and np.isin((j + s) % v, cover).all() and len(cover) <= v // 2
 
 
+def brute_units(rows, unit):
+    """(n_units, n_removed, n_repeated, digest of what stays) by (doc_id, text); rows without an id keep everything."""
+    cut = {"line": r"[^\n]*\n|[^\n]+$", "paragraph": r"(?s).*?\n\n|.+$", "sentence": r"(?s).*?(?:\n|(?<=[.!?]) )|.+$"}[unit]
+    form = lambda u: tuple(WORD.findall(u.translate(LOW)))
+    texts = {(i, t or "") for i, t in rows if i is not None}
+    places = collections.defaultdict(set)
+    for i, t in texts:
+        for k, u in enumerate(re.findall(cut, t)):
+            if len(form(u)) >= 8:
+                places[form(u)].add((i, t, k))
+    out = {}
+    for i, t in {(i, t or "") for i, t in rows}:
+        units = re.findall(cut, t)
+        mine = [places.get(form(u), ()) if i is not None else () for u in units]
+        gone = [len(p) > 1 and (i, k) != min((x, z) for x, _, z in p) for k, p in enumerate(mine)]
+        out[(i, t)] = (len(units), sum(gone), sum(len(p) > 1 for p in mine), hashlib.sha256("".join(u for u, g in zip(units, gone) if not g).encode()).hexdigest())
+    return out
+
+
 @pytest.mark.parametrize("unit", ["line", "paragraph", "sentence"])
 def test_unit_dedup(spark, unit):
-    docs = given(spark).unionByName(more(spark, [*EDITED, BASE + ". " + BASE + "! " + BASE, BASE + "\n\n" + BASE]))
-    cut = {"line": r"[^\n]*\n|[^\n]+$", "paragraph": r"(?s).*?\n\n|.+$", "sentence": r"(?s).*?(?:\n|(?<=[.!?]) )|.+$"}[unit]
-    seen, want = set(), {}
-    for r in sorted(docs.collect(), key=lambda r: r.doc_id):
-        n, kept, count = 0, [], 0
-        for u in re.findall(cut, r.text or ""):
-            w = tuple(WORD.findall(u.translate(LOW)))
-            count += 1
-            if len(w) >= 8 and w in seen:
-                n += 1
-            else:
-                kept.append(u)
-            seen.add(w)
-        want[r.doc_id] = (count, n, hashlib.sha256("".join(kept).encode()).hexdigest())
-    got = {r.doc_id: r for r in substring_dedup.dedup(docs, unit).collect()}
-    assert {i: (r.n_units, r.n_removed, r.kept_sha256) for i, r in got.items()} == want
-    texts = {r.doc_id: (r.text or "").encode() for r in docs.collect()}
-    for i, r in got.items():
-        at, parts = 0, []
-        for s in r.removed:
-            parts.append(texts[i][at : s.start])
-            at = s.end
-        assert b"".join([*parts, texts[i][at:]]) == bytes(r.kept)
+    docs = given(spark).unionByName(more(spark, [*EDITED, BASE + ". " + BASE + "! " + BASE, BASE + "\n\n" + BASE, BASE + "." + " x" * 200_000]))
+    docs = docs.unionByName(docs.where("doc_id = 1000001")).withColumns({c: F.lit(1) for c in ("d", "t", "th", "unit", "units", "gone", "kept", "part")})
+    docs = docs.unionByName(docs.where("doc_id % 50 = 0").withColumn("doc_id", F.lit(None).cast("long")))
+    want = brute_units([(r.doc_id, r.text) for r in docs.collect()], unit)
+    got = substring_dedup.dedup(docs, unit).collect()
+    assert len(got) == docs.count()
+    texts = collections.defaultdict(set)
+    for i, t in want:
+        texts[i].add(t)
+    for r in got:
+        assert any((r.n_units, r.n_removed, r.n_repeated, r.kept_sha256) == want[(r.doc_id, t)] for t in texts[r.doc_id])
+        assert hashlib.sha256(bytes(r.kept)).hexdigest() == r.kept_sha256
+        if r.doc_id is not None:
+            raw, at, parts = next(iter(texts[r.doc_id])).encode(), 0, []
+            for s in r.removed:
+                parts.append(raw[at : s.start])
+                at = s.end
+            assert b"".join([*parts, raw[at:]]) == bytes(r.kept)
+    assert substring_dedup.dedup(docs.where("false"), unit).count() == 0
+
+
+def test_unit_dedup_tells_texts_of_one_id_apart(spark):
+    docs = spark.createDataFrame([(5, BASE + "\nown line of the first text, with nine words"), (5, "other\n" + BASE), (6, BASE), (None, BASE)], "doc_id long, text string")
+    got = collections.Counter((r.doc_id, r.n_removed, r.n_repeated) for r in substring_dedup.dedup(docs, "line", with_kept=False).collect())
+    assert got[(6, 1, 1)] == 1 and got[(None, 0, 0)] == 1 and got[(5, 0, 1)] == 1 and got[(5, 1, 1)] == 1
 
 
 def test_repeated_lines_of_short_sentences_go_whole(spark):
