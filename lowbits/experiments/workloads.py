@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions import theory
 from ..functions.hashing import PRIME
-from ..operators import estimators, exact, metrics, planes, sets, signature, simulate
-from ..sources.io import load
+from ..operators import blocks, estimators, metrics, pairs, planes, sets, signature, simulate
+from ..sources.io import load, stored
 
 #: Word pairs of documents that stand in for the ten pairs of the experiment, in its order.
 PAIRS = [("eaedin", "thingstsh"), ("thanea", "eriner"), ("the", "that"), ("achkeitein", "enieau"), ("por", "ñ"), ("erreth", "edouhe"), ("enver", "chver"), ("erth", "esnd"), ("ntin", "ntes"), ("en", "erß")]
@@ -17,7 +17,8 @@ COUNTS = [(15, 14, 14), (146, 145, 134), (615, 484, 479), (4, 3, 3), (63, 55, 44
 UNIVERSE = 1000
 FOLD_PAIRS = (0, 2, 4, 8)
 KS, REPS = [10, 20, 50, 100, 200], 25000
-CURVE_KS, CURVE_REPS = [64, 128, 256, 512], 3
+CURVE_KS, CURVE_REPS = [64, 128, 256], 2
+GAIN_KS = [*range(16, 257, 16), 320, 384, 448, 512]
 WORD_THRESHOLDS, DOC_THRESHOLDS = [0.3, 0.4, 0.5, 0.6, 0.7, 0.8], [0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9]
 
 
@@ -60,77 +61,48 @@ def fold_mse(spark: SparkSession, sf: str, reps: int = REPS, ks=KS) -> DataFrame
 def retrieval(s: DataFrame, kind: str, domain: float, ks: list[int], bs: list[int], full_bits: int, thresholds: list[float], reps: int = 1) -> DataFrame:
     """Precision and recall of every estimator, k and threshold over all pairs of sets, averaged over repetitions.
 
-    One pass over the pairs gives all estimates; only pairs that some estimate or the truth puts over the least
-    threshold go on."""
-    least = min(thresholds)
-    truth = exact.resemblance(s, least).select("id_l", "id_r", "r")
+    What each estimate retrieves is counted where blocks of sets meet, so only counts leave the tasks.  Relevant pairs come from an
+    exact prefix join; their estimates say how many of them are hit.  Each repetition has permutations of its own."""
+    s = stored(s, "sets")
+    truth = stored(pairs.prefix_join(s, min(thresholds)).select("id_l", "id_r", "r"), "truth")
     curves = None
     for rep in range(reps):
-        sig = planes.from_full(signature.build_full(s, kind, max(ks), rep), max(ks), full_bits)
-        l, r = F.col("l.f") / F.lit(float(domain)), F.col("r.f") / F.lit(float(domain))
-        cols = []
-        for k in ks:
-            for b in [*bs, full_bits]:
-                e = 1 - estimators.mismatches(k, b) / F.lit(float(k))
-                if b == full_bits:
-                    est = e
-                else:
-                    fl, sl = theory.floor_slope(l, r, b)
-                    est = (e - fl) / sl
-                cols.append(F.struct(F.lit("full" if b == full_bits else "low").alias("estimator"), F.lit(32 if b == full_bits else b).alias("b"), F.lit(k).alias("k"), est.alias("r_hat")))
-        est = estimators.pair_all(sig).select(F.col("l.set_id").alias("id_l"), F.col("r.set_id").alias("id_r"), F.array(*cols).alias("e"))
-        est = est.where(F.exists("e", lambda x: x["r_hat"] >= least))
-        met = est.join(truth, ["id_l", "id_r"], "full_outer")
-        none = F.array(*(F.struct(F.lit("full" if b == full_bits else "low").alias("estimator"), F.lit(32 if b == full_bits else b).alias("b"), F.lit(k).alias("k"), F.lit(None).cast("double").alias("r_hat")) for k in ks for b in [*bs, full_bits]))
-        flat = met.select("r", F.explode(F.coalesce("e", none)).alias("x")).select("r", "x.*").where((F.col("r") >= least) | (F.col("r_hat") >= least))
-        c = metrics.precision_recall(flat, thresholds, ["estimator", "b", "k"]).withColumn("rep", F.lit(rep))
+        sig = stored(planes.from_full(signature.build_full(s, kind, max(ks), rep), max(ks), full_bits), "planes")
+        side = lambda x: sig.select(F.col("set_id").alias(f"id_{x}"), F.col("f").alias(f"f_{x}"), *(F.col(f"plane_{i}").alias(f"{x}_{i}") for i in range(full_bits)))  # noqa: E731, B023
+        hits = blocks.hits(truth.join(side("l"), "id_l").join(side("r"), "id_r").drop("id_l", "id_r"), ks, bs, full_bits, domain, thresholds)
+        found = blocks.retrieved(sig, ks, bs, full_bits, domain, thresholds)
+        c = metrics.with_ratios(found.join(hits, ["estimator", "b", "k", "r0"], "left").na.fill(0, ["n_rel", "n_hit"])).withColumn("rep", F.lit(rep))
         curves = c if curves is None else curves.unionByName(c)
-    if reps == 1:
-        return curves.drop("rep")
-    return curves.groupBy("estimator", "b", "k", "r0").agg(F.sum("n_rel").alias("n_rel"), F.sum("n_ret").alias("n_ret"), F.sum("n_hit").alias("n_hit"), F.avg("precision").alias("precision"), F.avg("recall").alias("recall"), F.stddev_pop("precision").alias("precision_sd"), F.stddev_pop("recall").alias("recall_sd"))
+    total = [F.sum(n).alias(n) for n in ("n_rel", "n_ret", "n_hit")]
+    return curves.groupBy("estimator", "b", "k", "r0").agg(*total, F.avg("precision").alias("precision"), F.avg("recall").alias("recall"), F.stddev_pop("precision").alias("precision_sd"), F.stddev_pop("recall").alias("recall_sd"))
 
 
 def _rounded(c: DataFrame) -> DataFrame:
-    return c.select("estimator", "b", "k", "r0", "n_rel", "n_ret", "n_hit", F.round("precision", 6).alias("precision"), F.round("recall", 6).alias("recall"))
+    return c.select("estimator", "b", "k", "r0", "n_rel", "n_ret", "n_hit", *(F.round(x, 6).alias(x) for x in ("precision", "recall", "precision_sd", "recall_sd")))
+
 
+def word_sets(spark: SparkSession, sf: str) -> DataFrame:
+    return sets.postings(load(spark, sf, "documents").select("doc_id", "text"), top_n=2633)
 
-def word_curve(spark, sf, ks, reps: int = 1) -> DataFrame:
-    docs = load(spark, sf, "documents").select("doc_id", "text")
-    s = sets.postings(docs, top_n=2633)
+
+def word_curve(spark, sf, ks, reps: int = CURVE_REPS) -> DataFrame:
+    s = word_sets(spark, sf)
     d = s.select("elem").distinct().count()
-    return retrieval(s, "perm", d, ks, [1, 2, 3, 4], max(5, (d - 1).bit_length()), WORD_THRESHOLDS, reps)
+    return retrieval(s, "perm", d, list(ks), [1, 2, 3, 4], max(5, (d - 1).bit_length()), WORD_THRESHOLDS, reps)
 
 
 def pr_words(spark: SparkSession, sf: str) -> DataFrame:
-    """All pairs of the 2633 commonest words, by documents they occur in."""
-    return _rounded(word_curve(spark, sf, [64]))
+    """All pairs of the 2633 commonest words, by documents they occur in: counts summed and ratios averaged over repetitions."""
+    return _rounded(word_curve(spark, sf, CURVE_KS))
 
 
-def space_gain(spark: SparkSession, sf: str, ks=(32, 64, 128, 192, 256, 384, 512), reps: int = CURVE_REPS) -> DataFrame:
+def space_gain(spark: SparkSession, sf: str, ks=GAIN_KS, reps: int = CURVE_REPS) -> DataFrame:
     """Space of 32-bit samples over space of b-bit samples at equal precision, by threshold."""
-    g = metrics.space_gain(word_curve(spark, sf, list(ks), reps), [0.7, 0.8])
+    g = metrics.space_gain(word_curve(spark, sf, ks, reps), [0.7, 0.8])
     return g.select("r0", "target", "b", "k_low", "k_full", F.round("gain", 4).alias("gain"))
 
 
-def doc_curve(spark, sf, ks, reps: int = 1) -> DataFrame:
-    s = sets.shingles(load(spark, sf, "documents").select("doc_id", "text"))
-    return retrieval(s, "affine31", float(PRIME), ks, [1, 2, 4], 31, DOC_THRESHOLDS, reps)
-
-
 def pr_docs(spark: SparkSession, sf: str) -> DataFrame:
     """All pairs of documents, by 5-word shingles."""
-    return _rounded(doc_curve(spark, sf, [64]))
-
-
-def _with_spread(c: DataFrame) -> DataFrame:
-    return c.select("estimator", "b", "k", "r0", "n_rel", "n_ret", "n_hit", *(F.round(x, 6).alias(x) for x in ("precision", "recall", "precision_sd", "recall_sd")))
-
-
-def pr_words_grid(spark: SparkSession, sf: str) -> DataFrame:
-    """As pr_words over the grid of k: counts summed, precision and recall averaged over repetitions, with their spread."""
-    return _with_spread(word_curve(spark, sf, CURVE_KS, CURVE_REPS))
-
-
-def pr_docs_grid(spark: SparkSession, sf: str) -> DataFrame:
-    """As pr_docs over the grid of k: counts summed, precision and recall averaged over repetitions, with their spread."""
-    return _with_spread(doc_curve(spark, sf, CURVE_KS, CURVE_REPS))
+    s = sets.shingles(load(spark, sf, "documents").select("doc_id", "text"))
+    return _rounded(retrieval(s, "affine31", float(PRIME), CURVE_KS, [1, 2, 4], 31, DOC_THRESHOLDS, CURVE_REPS))

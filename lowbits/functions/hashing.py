@@ -10,6 +10,7 @@ kinds
 from __future__ import annotations
 
 import hashlib
+import math
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
@@ -56,13 +57,28 @@ def domain_size(kind: str, universe: int | None = None) -> float:
     return {"affine31": float(PRIME), "mix64": 2.0**63, "bijective": 2.0**62, "perm": float(universe or 0)}[kind]
 
 
+#: Elements of one permutation that a sort holds; larger universes are ranked in so many ranges of the key.
+RANGE = 100_000
+
+
 def permutations(universe: DataFrame, k: int, seed: int = 0, elem: str = "elem") -> DataFrame:
-    """(elem, j, rank): k true permutations of a finite universe."""
+    """(elem, j, rank): k true permutations of a finite universe, by the order of md5(seed:j:elem).
+
+    The first hex digits of the key cut each permutation into ranges of about ``RANGE`` elements: ranks inside a
+    range plus the sizes of those before it, so no task sorts a whole universe."""
     spark = universe.sparkSession
-    w = Window.partitionBy("j").orderBy(F.col("key"), F.col(elem))
-    each = universe.select(elem).distinct().crossJoin(F.broadcast(spark.range(k).select(F.col("id").cast("int").alias("j"))))
+    own = universe.select(elem).distinct()
+    digits = max(0, math.ceil(math.log(max(1, own.count() / RANGE), 16)))
+    each = own.crossJoin(F.broadcast(spark.range(k).select(F.col("id").cast("int").alias("j"))))
     keyed = each.withColumn("key", F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("j").cast("string"), F.col(elem).cast("string"))))
-    return keyed.select(elem, "j", (F.row_number().over(w) - 1).cast("long").alias("rank"))
+    keyed = keyed.withColumn("range", F.substring("key", 1, digits))
+    place = F.row_number().over(Window.partitionBy("j", "range").orderBy("key", elem)) - 1
+    if not digits:
+        return keyed.select(elem, "j", place.cast("long").alias("rank"))
+    sizes = keyed.groupBy("j", "range").agg(F.count("*").alias("n"))  # at most 16 ** digits rows for each j
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("j").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = sizes.select("j", "range", before.alias("start"))
+    return keyed.withColumn("place", place).join(starts, ["j", "range"]).select(elem, "j", (F.col("place") + F.col("start")).cast("long").alias("rank"))
 
 
 def bijective(x: np.ndarray, j: int, seed: int = 0) -> np.ndarray:

@@ -159,16 +159,20 @@ def var_low(R, r1, r2, b, k):
     return e * (1 - e) / (k * slope * slope)
 
 
-def fold_prob(e1):
-    """Agreement of folded bits when single low bits agree with probability e1."""
-    return e1 * e1 + (1 - e1) * (1 - e1)
+def fold_prob(e1, m: int = 2):
+    """Agreement of bits folded from m permutations when single low bits agree with probability e1."""
+    if m == 2:
+        return e1 * e1 + (1 - e1) * (1 - e1)
+    return (1 + _ops(e1).pow(2 * e1 - 1, m)) / 2
 
 
-def r_from_fold(t, r1, r2):
-    """Resemblance from the folded agreement; the positive root, so valid from fold_valid_from on."""
-    m = _ops(t, r1, r2)
+def r_from_fold(t, r1, r2, m: int = 2):
+    """Resemblance from the folded agreement of m permutations; the positive root, so valid from fold_valid_from on."""
+    o = _ops(t, r1, r2)
     floor, slope = floor_slope(r1, r2, 1)
-    return (m.sqrt(m.greatest(2 * t - 1, 0.0)) + 1 - 2 * floor) / (2 * slope)
+    inner = o.greatest(2 * t - 1, 0.0)
+    root = o.sqrt(inner) if m == 2 else o.pow(inner, 1 / m)
+    return (root + 1 - 2 * floor) / (2 * slope)
 
 
 def fold_valid_from(r1: float, r2: float) -> float:
@@ -176,14 +180,14 @@ def fold_valid_from(r1: float, r2: float) -> float:
     return max(0.0, (0.5 - floor) / slope)
 
 
-def var_fold(R, r1, r2, k):
-    """First-order variance of the folded estimator; null (None) where 2T <= 1."""
-    m = _ops(R, r1, r2, k)
+def var_fold(R, r1, r2, k, m: int = 2):
+    """First-order variance of the estimator folded from m permutations; null (None) where 2T <= 1."""
+    o = _ops(R, r1, r2, k)
     _, slope = floor_slope(r1, r2, 1)
-    t = fold_prob(match_prob(R, r1, r2, 1))
-    if m is _Numbers:
-        return t * (1 - t) / (4 * k * slope * slope * (2 * t - 1)) if 2 * t > 1 else None
-    return F.when(2 * t > 1, t * (1 - t) / (4 * k * slope * slope * (2 * t - 1)))
+    t = fold_prob(match_prob(R, r1, r2, 1), m)
+    if o is _Numbers:
+        return t * (1 - t) / (m * m * k * slope * slope * (2 * t - 1) ** (2 - 2 / m)) if 2 * t > 1 else None
+    return F.when(2 * t > 1, t * (1 - t) / (m * m * k * slope * slope * F.pow(2 * t - 1, F.lit(2 - 2 / m))))
 
 
 def fold_ratio(R, r1, r2):
@@ -195,9 +199,14 @@ def storage_bits(b, k):
     return b * k
 
 
-def hash_cost(k, folded: bool = False):
-    """Permutations to apply for k stored samples."""
-    return 2 * k if folded else k
+def hash_cost(k, folded: bool = False, m: int = 2):
+    """Permutations to apply for k stored samples, each folded from m."""
+    return m * k if folded else k
+
+
+def words_compared(b, k):
+    """64-bit words that one pair costs: b planes of k bits on each side."""
+    return b * math.ceil(k / 64)
 
 
 def storage_factor(R, r1, r2, b):

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import theory
+from .blocks import compare
 
 
 def mismatches(k: int, b: int, left: str = "l", right: str = "r", plane: str = "plane_{}") -> Column:
@@ -24,26 +25,30 @@ def mismatches(k: int, b: int, left: str = "l", right: str = "r", plane: str = "
     return total.cast("long")
 
 
-def pair_all(sig: DataFrame, on: Column | None = None) -> DataFrame:
-    """All unordered pairs, as sides l and r; on: a further condition.  One side is spread, so that every core compares."""
-    cond = F.col("l.set_id") < F.col("r.set_id")
-    spread = sig.repartition(4 * sig.sparkSession.sparkContext.defaultParallelism)
-    return spread.alias("l").join(sig.alias("r"), cond if on is None else cond & on)
+def measured(joined: DataFrame, k: int, b: int, plane: str = "plane_{}") -> DataFrame:
+    """id_l, id_r, f_l, f_r, mismatches of joined sides l and r."""
+    names = [F.col(f"{side}.{c}").alias(f"{new}_{side}") for new, c in (("id", "set_id"), ("f", "f")) for side in "lr"]
+    return joined.select(*names, mismatches(k, b, plane=plane).alias("mismatches"))
+
+
+def pair_all(sig: DataFrame, k: int, b: int, r0: float | None = None, domain: float | None = None, plane: str = "plane_{}", blocks: int | None = None) -> DataFrame:
+    """The same for all pairs of sig, or those whose estimate reaches r0; see blocks.compare."""
+    return compare(sig, k, b, r0, domain, plane, blocks)
 
 
 def densities(domain: float, left: str = "l", right: str = "r") -> tuple[Column, Column]:
     return F.col(f"{left}.f") / F.lit(float(domain)), F.col(f"{right}.f") / F.lit(float(domain))
 
 
-def _out(pairs: DataFrame, matches: Column, k: int, r_hat, std_err) -> DataFrame:
-    e = (matches / F.lit(float(k))).alias("e_hat")
-    base = pairs.select(F.col("l.set_id").alias("id_l"), F.col("r.set_id").alias("id_r"), F.col("l.f").alias("f_l"), F.col("r.f").alias("f_r"), matches.alias("matches"), e)
+def _out(pairs: DataFrame, k: int, r_hat, std_err) -> DataFrame:
+    matches = (F.lit(k) - F.col("mismatches")).cast("long")
+    base = pairs.select("id_l", "id_r", "f_l", "f_r", matches.alias("matches"), (matches / F.lit(float(k))).alias("e_hat"))
     return base.withColumn("r_hat", r_hat(F.col("e_hat"))).withColumn("std_err", std_err(F.col("e_hat"), F.col("r_hat")))
 
 
-def r_full(pairs: DataFrame, k: int, bits: int = 31) -> DataFrame:
-    """Share of equal minima; as planes, ``bits`` of them."""
-    return _out(pairs, F.lit(k).cast("long") - mismatches(k, bits), k, lambda e: e, lambda e, r: F.sqrt(theory.var_full(r, float(k))))
+def r_full(pairs: DataFrame, k: int) -> DataFrame:
+    """Share of equal minima; pairs carry mismatches of as many planes as minima have bits."""
+    return _out(pairs, k, lambda e: e, lambda e, r: F.sqrt(theory.var_full(r, float(k))))
 
 
 def r_full_minima(full: DataFrame, k: int) -> DataFrame:
@@ -57,7 +62,6 @@ def r_full_minima(full: DataFrame, k: int) -> DataFrame:
 
 def r_low(pairs: DataFrame, k: int, b: int, domain: float, clip: bool = False) -> DataFrame:
     """Low-bit estimate with its plug-in standard error; unbiased, so it may leave [0, 1] unless clipped."""
-    matches = F.lit(k).cast("long") - mismatches(k, b)
 
     def r_hat(e):
         floor, slope = theory.floor_slope(F.col("f_l") / F.lit(float(domain)), F.col("f_r") / F.lit(float(domain)), b)
@@ -68,25 +72,24 @@ def r_low(pairs: DataFrame, k: int, b: int, domain: float, clip: bool = False) -
         _, slope = theory.floor_slope(F.col("f_l") / F.lit(float(domain)), F.col("f_r") / F.lit(float(domain)), b)
         return F.sqrt(e * (1 - e) / k) / slope
 
-    return _out(pairs, matches, k, r_hat, std_err)
+    return _out(pairs, k, r_hat, std_err)
 
 
 def with_interval(estimates: DataFrame, z: float = 1.96) -> DataFrame:
     return estimates.withColumn("low", F.col("r_hat") - z * F.col("std_err")).withColumn("high", F.col("r_hat") + z * F.col("std_err"))
 
 
-def r_fold(pairs: DataFrame, k: int, domain: float) -> DataFrame:
-    """Estimate from folded bits; negative 2T - 1 is cut to 0, which biases small k."""
-    matches = F.lit(k).cast("long") - mismatches(k, 1, plane="fold")
+def r_fold(pairs: DataFrame, k: int, domain: float, m: int = 2) -> DataFrame:
+    """Estimate from folded bits, each of m permutations; where 2T - 1 is negative it is cut to 0, which biases small k."""
 
     def r_hat(t):
-        return theory.r_from_fold(t, F.col("f_l") / F.lit(float(domain)), F.col("f_r") / F.lit(float(domain)))
+        return theory.r_from_fold(t, F.col("f_l") / F.lit(float(domain)), F.col("f_r") / F.lit(float(domain)), m)
 
     def std_err(t, r):
         _, slope = theory.floor_slope(F.col("f_l") / F.lit(float(domain)), F.col("f_r") / F.lit(float(domain)), 1)
-        return F.when(2 * t > 1, F.sqrt(t * (1 - t) / (4 * k * slope * slope * (2 * t - 1))))
+        return F.when(2 * t > 1, F.sqrt(t * (1 - t) / (m * m * k * slope * slope * F.pow(2 * t - 1, 2 - 2 / m))))
 
-    return _out(pairs, matches, k, r_hat, std_err)
+    return _out(pairs, k, r_hat, std_err)
 
 
 def joint_size(estimates: DataFrame) -> DataFrame:

@@ -23,6 +23,15 @@ def resemblance(sets: DataFrame, r0: float | None = None) -> DataFrame:
     return out.where(F.col("r") >= r0) if r0 is not None else out
 
 
+def of_pairs(sets: DataFrame, pairs: DataFrame) -> DataFrame:
+    """id_l, id_r, f_l, f_r, a, r of the given pairs (id_l, id_r) alone, array against array."""
+    arrays = sets.groupBy("set_id").agg(F.collect_list("elem").alias("e"))  # of one set
+    side = lambda s: arrays.select(F.col("set_id").alias(f"id_{s}"), F.col("e").alias(f"e_{s}"))
+    met = pairs.select("id_l", "id_r").join(side("l"), "id_l").join(side("r"), "id_r")
+    out = met.select("id_l", "id_r", F.size("e_l").cast("long").alias("f_l"), F.size("e_r").cast("long").alias("f_r"), F.size(F.array_intersect("e_l", "e_r")).cast("long").alias("a"))
+    return out.withColumn("r", F.col("a") / (F.col("f_l") + F.col("f_r") - F.col("a")))
+
+
 def all_pairs(sets: DataFrame) -> DataFrame:
     """As resemblance, with the pairs that share nothing at r = 0."""
     f = sizes(sets)

@@ -18,6 +18,11 @@ def precision_recall(pairs: DataFrame, thresholds: list[float], keys: list[str],
     r0 = F.broadcast(spark.createDataFrame([(float(t),) for t in thresholds], "r0 double"))
     rel, ret = F.coalesce(F.col(truth) >= F.col("r0"), F.lit(False)), F.coalesce(F.col(guess) >= F.col("r0"), F.lit(False))
     counts = pairs.crossJoin(r0).groupBy(*keys, "r0").agg(F.count_if(rel).alias("n_rel"), F.count_if(ret).alias("n_ret"), F.count_if(rel & ret).alias("n_hit"))
+    return with_ratios(counts)
+
+
+def with_ratios(counts: DataFrame) -> DataFrame:
+    """Adds precision and recall to n_rel, n_ret, n_hit; null where nothing is retrieved or relevant."""
     ratio = lambda n: F.when(F.col(n) > 0, F.col("n_hit") / F.col(n))
     return counts.withColumn("precision", ratio("n_ret")).withColumn("recall", ratio("n_rel"))
 

@@ -3,31 +3,18 @@
 from __future__ import annotations
 
 import math
-import tempfile
-import uuid
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import estimators
-from .exact import resemblance
+from ..sources.io import stored
+from . import blocks, estimators
 from .sets import sizes
 
 
-def all_pairs(planes: DataFrame, k: int, b: int, r0: float, domain: float, blocks: int = 8) -> DataFrame:
-    """Pairs whose estimate reaches r0: every pair is compared, dealt as pairs of blocks, and
-    the integer mismatch budget is tested in the join itself."""
-    from pyspark.sql import Column
-
-    sig = planes.withColumn("blk", F.pmod(F.xxhash64("set_id"), F.lit(blocks)).cast("int"))
-    grid = F.sequence(F.lit(0), F.lit(blocks - 1))
-    left = sig.withColumn("o", F.explode(grid)).withColumn("i", F.least("blk", "o")).withColumn("j", F.greatest("blk", "o"))
-    # each block pair (i, j): rows of block i or j meet; rows of one block meet in (i, i) only
-    l, r = left.alias("l"), left.alias("r")
-    same = (F.col("l.i") == F.col("r.i")) & (F.col("l.j") == F.col("r.j"))
-    once: Column = (F.col("l.blk") != F.col("r.blk")) | (F.col("l.i") == F.col("l.j"))
-    near = estimators.mismatches(k, b) <= estimators.mismatch_budget(k, b, r0, domain)
-    return estimators.r_low(l.join(r, same & (F.col("l.set_id") < F.col("r.set_id")) & once & near), k, b, domain)
+def all_pairs(planes: DataFrame, k: int, b: int, r0: float, domain: float, n_blocks: int | None = None) -> DataFrame:
+    """Pairs whose estimate reaches r0: every pair is compared, dealt as pairs of blocks."""
+    return estimators.r_low(blocks.compare(planes, k, b, r0, domain, blocks=n_blocks), k, b, domain)
 
 
 def size_filtered(planes: DataFrame, k: int, b: int, r0: float, domain: float) -> DataFrame:
@@ -38,49 +25,61 @@ def size_filtered(planes: DataFrame, k: int, b: int, r0: float, domain: float) -
     r = planes.withColumn("band", band).alias("r")
     fits = (F.col("l.f") >= r0 * F.col("r.f")) & (F.col("r.f") >= r0 * F.col("l.f"))
     near = estimators.mismatches(k, b) <= estimators.mismatch_budget(k, b, r0, domain)
-    return estimators.r_low(l.join(r, (F.col("l.band") == F.col("r.band")) & (F.col("l.set_id") < F.col("r.set_id")) & fits & near), k, b, domain)
-
+    met = l.join(r, (F.col("l.band") == F.col("r.band")) & (F.col("l.set_id") < F.col("r.set_id")) & fits & near)
+    return estimators.r_low(estimators.measured(met, k, b), k, b, domain)
 
-def prefix_candidates(sets: DataFrame, r0: float) -> DataFrame:
-    """(id_l, id_r) that share one of their rarest elements; no pair with r >= r0 is missed."""
-    from pyspark.sql import Window
 
+def rare_first(sets: DataFrame) -> DataFrame:
+    """(set_id, f, elems): each set as one array, its rarest elements first.  Stored, as every step of a prefix join reads it."""
     df = sets.groupBy("elem").agg(F.count("*").alias("df"))
-    order = Window.partitionBy("set_id").orderBy("df", "elem")
-    ranked = sets.join(df, "elem").join(sizes(sets), "set_id").withColumn("at", F.row_number().over(order))
-    prefix = ranked.where(F.col("at") <= F.col("f") - F.ceil(F.col("f") * r0 - 1e-9) + 1).select("set_id", "elem", "f")
+    each = sets.join(df, "elem").groupBy("set_id").agg(F.array_sort(F.collect_list(F.struct("df", "elem"))).alias("e"))  # of one set
+    return stored(each.select("set_id", F.size("e").cast("long").alias("f"), F.transform("e", lambda x: x["elem"]).alias("elems")), "rare-first")
+
+
+def prefix_candidates(arrays: DataFrame, r0: float) -> DataFrame:
+    """(id_l, id_r) that share one of their rarest elements and may still share enough; no pair with r >= r0 is missed."""
+    length = (F.col("f") - F.ceil(F.col("f") * r0 - 1e-9) + 1).cast("int")
+    prefix = arrays.select("set_id", "f", F.posexplode(F.slice("elems", 1, length)).alias("at", "elem"))
     l, r = prefix.alias("l"), prefix.alias("r")
-    fits = (F.col("l.f") >= r0 * F.col("r.f")) & (F.col("r.f") >= r0 * F.col("l.f"))
-    return l.join(r, (F.col("l.elem") == F.col("r.elem")) & (F.col("l.set_id") < F.col("r.set_id")) & fits).select(F.col("l.set_id").alias("id_l"), F.col("r.set_id").alias("id_r")).distinct()
+    least = F.ceil((F.col("l.f") + F.col("r.f")) * (r0 / (1 + r0)) - 1e-9)
+    left = F.least(F.col("l.f") - F.col("l.at"), F.col("r.f") - F.col("r.at"))  # what the sets may share from this element on, it included
+    first = F.least("l.at", "r.at")  # and before it, at most
+    fits = (F.col("l.f") >= r0 * F.col("r.f")) & (F.col("r.f") >= r0 * F.col("l.f")) & (left + first >= least)
+    met = l.join(r, (F.col("l.elem") == F.col("r.elem")) & (F.col("l.set_id") < F.col("r.set_id")) & fits)
+    return met.select(F.col("l.set_id").alias("id_l"), F.col("r.set_id").alias("id_r")).distinct()
 
 
 def prefix_join(sets: DataFrame, r0: float) -> DataFrame:
-    """Exact pairs with r >= r0 by prefix candidates and verification of those alone."""
-    c, f = prefix_candidates(sets, r0), sizes(sets)
-    l, r = sets.select(F.col("set_id").alias("id_l"), "elem"), sets.select(F.col("set_id").alias("id_r"), "elem")
-    a = c.join(l, "id_l").join(r, ["id_r", "elem"]).groupBy("id_l", "id_r").agg(F.count("*").alias("a"))
-    a = a.join(f.select(F.col("set_id").alias("id_l"), F.col("f").alias("f_l")), "id_l").join(f.select(F.col("set_id").alias("id_r"), F.col("f").alias("f_r")), "id_r")
-    return a.select("id_l", "id_r", "f_l", "f_r", "a", (F.col("a") / (F.col("f_l") + F.col("f_r") - F.col("a"))).alias("r")).where(F.col("r") >= r0)
+    """Exact pairs with r >= r0 by prefix candidates and verification of those alone, array against array."""
+    arrays = rare_first(sets)
+    side = lambda s: arrays.select(F.col("set_id").alias(f"id_{s}"), F.col("f").alias(f"f_{s}"), F.col("elems").alias(f"e_{s}"))
+    met = prefix_candidates(arrays, r0).join(side("l"), "id_l").join(side("r"), "id_r")
+    a = met.select("id_l", "id_r", "f_l", "f_r", F.size(F.array_intersect("e_l", "e_r")).cast("long").alias("a"))
+    return a.withColumn("r", F.col("a") / (F.col("f_l") + F.col("f_r") - F.col("a"))).where(F.col("r") >= r0)
 
 
 def banded(planes: DataFrame, k: int, b: int, rows: int, r0: float, domain: float, key_bits: int | None = None) -> DataFrame:
-    """Candidates that agree on the lowest b bits of some band of ``rows`` samples, verified by the estimate on all k.
+    """Candidates that agree on the lowest bits of some band of ``rows`` samples, verified by the estimate on all k at b bits.
 
-    A band catches a pair with probability E^rows, E the match probability at b bits, so rows * b should be about
-    log2 of the number of sets: below, chance agreement floods the join.  key_bits: the bits a band key takes of each
-    sample (b unless given); with more of them, bands of few rows still meet little by chance."""
+    A band catches a pair with probability E^rows, E the match probability at key_bits (b unless given), so rows * key_bits
+    should be about log2 of the number of sets or more: below, chance agreement floods the join.  Only ids and keys are
+    spread over the bands; a pair met in several bands is compared once."""
     if 64 % rows or k % rows:
         raise ValueError("rows must divide 64 and k")
     mask = F.lit((1 << rows) - 1 if rows < 63 else -1).cast("long")
-    keys = []
-    for t in range(k // rows):
-        w, s = divmod(t * rows, 64)
-        keys.append(F.concat_ws(":", F.lit(str(t)), *(F.shiftrightunsigned(F.col(f"plane_{i}")[w], s).bitwiseAND(mask).cast("string") for i in range(key_bits or b))))
-    each = planes.withColumn("key", F.explode(F.array(*keys)))
+
+    def key(t):
+        at = t * rows
+        return F.xxhash64(t, *(F.call_function("shiftrightunsigned", F.col(f"plane_{i}")[F.floor(at / 64).cast("int")], at % 64).bitwiseAND(mask) for i in range(key_bits or b)))
+
+    keys = F.transform(F.sequence(F.lit(0), F.lit(k // rows - 1)), key)
+    each = planes.select("set_id", F.explode(keys).alias("key"))
     l, r = each.alias("l"), each.alias("r")
-    near = estimators.mismatches(k, b) <= estimators.mismatch_budget(k, b, r0, domain)
-    met = l.join(r, (F.col("l.key") == F.col("r.key")) & (F.col("l.set_id") < F.col("r.set_id")) & near)
-    return estimators.r_low(met, k, b, domain).distinct()
+    met = l.join(r, (F.col("l.key") == F.col("r.key")) & (F.col("l.set_id") < F.col("r.set_id")))
+    met = met.select(F.col("l.set_id").alias("id_l"), F.col("r.set_id").alias("id_r")).distinct()
+    needed = planes.select("set_id", "f", *(f"plane_{i}" for i in range(b)))
+    both = met.join(needed.alias("l"), F.col("id_l") == F.col("l.set_id")).join(needed.alias("r"), F.col("id_r") == F.col("r.set_id"))
+    return estimators.r_low(estimators.measured(both, k, b), k, b, domain).where(F.col("r_hat") >= r0 - 1e-9)
 
 
 def band_recall(R: float, r1: float, r2: float, b: int, rows: int, bands: int) -> float:
@@ -110,21 +109,13 @@ def components(nodes: DataFrame, edges: DataFrame, rounds: int = 50) -> DataFram
     """(node, component): smallest node reachable, by label propagation with pointer jumping.
 
     Each round is written to the shared folder of spark.checkpoint.dir, so lineage stays short."""
-    spark = edges.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="lowbits-")
-
-    def stored(df: DataFrame) -> DataFrame:
-        path = f"{base.rstrip('/')}/components-{uuid.uuid4().hex}"
-        df.write.parquet(path)
-        return spark.read.schema(df.schema).parquet(path)
-
-    e = stored(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    labels = stored(nodes.select("node", F.col("node").alias("component")).distinct())
+    e = stored(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
+    labels = stored(nodes.select("node", F.col("node").alias("component")).distinct(), "labels")
     for _ in range(rounds):
         around = e.join(labels, e.b == labels.node).groupBy("a").agg(F.min("component").alias("m"))
         near = labels.join(around, labels.node == around.a, "left").select("node", F.least("component", "m").alias("c"), F.col("component").alias("was"))
         jump = labels.select(F.col("node").alias("via"), F.col("component").alias("far"))
-        after = stored(near.join(jump, near.c == jump.via).select("node", F.least("c", "far").alias("component"), "was"))
+        after = stored(near.join(jump, near.c == jump.via).select("node", F.least("c", "far").alias("component"), "was"), "labels")
         labels = after.select("node", "component")
         if after.where("component <> was").isEmpty():
             return labels
@@ -132,7 +123,15 @@ def components(nodes: DataFrame, edges: DataFrame, rounds: int = 50) -> DataFram
 
 
 def duplicate_classes(sets: DataFrame, ids: DataFrame, r0: float) -> DataFrame:
-    """set_id, component_id, keep: one set of each class of pairs with r >= r0 is kept."""
-    e = prefix_join(sets, r0).select(F.col("id_l").alias("a"), F.col("id_r").alias("b"))
+    """set_id, component_id, keep: one set of each class of pairs with r >= r0 is kept.
+
+    Equal sets are one before the join, so copies are never expanded to pairs."""
+    prints = sets.groupBy("set_id").agg(F.count("*").alias("f"), F.md5(F.concat_ws(",", F.array_sort(F.collect_list("elem")))).alias("print"))  # of one set
+    prints = stored(prints, "prints")
+    first = prints.groupBy("print").agg(F.min("set_id").alias("first"))
+    own = prints.join(first, "print").select("set_id", "first")
+    alike = stored(own, "alike")
+    e = prefix_join(sets.join(alike.where("set_id = first").select("set_id"), "set_id", "left_semi"), r0).select(F.col("id_l").alias("a"), F.col("id_r").alias("b"))
+    e = e.unionByName(alike.where("set_id <> first").select(F.col("first").alias("a"), F.col("set_id").alias("b")))
     c = components(ids.select(F.col("set_id").alias("node")), e)
     return c.select(F.col("node").alias("set_id"), F.col("component").alias("component_id"), (F.col("node") == F.col("component")).alias("keep"))

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -20,13 +24,25 @@ def _word(z: str, lo: int, hi: int, bit: int) -> Column:
 
 
 def from_full(full: DataFrame, k: int, b_max: int = 1) -> DataFrame:
-    """(set_id, f, plane_0 .. plane_{b_max-1}), each an array of words."""
+    """(set_id, f, plane_0 .. plane_{b_max-1}), each an array of words.  Few planes are generated code; many would
+    unroll beyond one method's size and are packed in Arrow batches."""
     if b_max <= 4:
-        word = lambda lo, hi, i: _word("z", lo, hi, i)
-    else:  # many planes would unroll beyond one method's size
-        word = lambda lo, hi, i: F.expr(f"aggregate(transform(slice(z, {lo + 1}, {hi - lo}), (x, j) -> shiftleft(shiftright(x, {i}) & 1L, j)), 0L, (a, x) -> a | x)")
-    planes = [F.array(*(word(w * 64, min(k, w * 64 + 64), i) for w in range(words(k)))).alias(f"plane_{i}") for i in range(b_max)]
-    return full.select("set_id", "f", *planes)
+        return full.select("set_id", "f", *(F.array(*(_word("z", w * 64, min(k, w * 64 + 64), i) for w in range(words(k)))).alias(f"plane_{i}") for i in range(b_max)))
+    kind, n = full.schema["set_id"].dataType.simpleString(), words(k)
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = batch.num_rows
+            if not rows:
+                continue
+            z = np.zeros((rows, 64 * n), np.int64)
+            z[:, :k] = batch.column(2).flatten().to_numpy().reshape(rows, -1)[:, :k]
+            cut = pa.array(np.arange(0, (rows + 1) * n, n, dtype=np.int32))
+            planes = [pa.ListArray.from_arrays(cut, pa.array(np.packbits((z >> i & 1).astype(bool), axis=1, bitorder="little").view("<i8").ravel())) for i in range(b_max)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *planes], ["set_id", "f", *(f"plane_{i}" for i in range(b_max))])
+
+    schema = f"set_id {kind}, f long, " + ", ".join(f"plane_{i} array<long>" for i in range(b_max))
+    return full.select("set_id", F.col("f").cast("long"), "z").mapInArrow(pack, schema)
 
 
 def fold(planes: DataFrame, k: int, m: int = 2) -> DataFrame:

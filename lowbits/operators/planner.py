@@ -36,6 +36,13 @@ def fold_breakeven(r1: float = 1e-12, r2: float = 1e-12) -> float:
     return _bisect(lambda R: theory.fold_ratio(R, r1, r2) - 1, low, 1 - 1e-9)
 
 
-def choose_estimator(R: float, r1: float, r2: float) -> str:
-    """'fold' for very high similarity, else 'low<b>'."""
-    return "fold" if R > fold_breakeven(r1, r2) else f"low{best_b(R, r1, r2)}"
+def choose_estimator(R: float, r1: float, r2: float, least_gain: float = 1.25, hash_budget: float = 2.0) -> str:
+    """'fold' for very high similarity, else 'low<b>'.
+
+    The folded bit needs two permutations per stored bit and its estimate is biased near the break-even, so it is chosen only
+    where it saves at least ``least_gain`` of the space and two permutations per sample are within ``hash_budget``."""
+    b = best_b(R, r1, r2)
+    v = theory.var_fold(R, r1, r2, 1)
+    if hash_budget >= theory.hash_cost(1, True) and R > fold_breakeven(r1, r2) and v and theory.storage_factor(R, r1, r2, b) >= least_gain * v:
+        return "fold"
+    return f"low{b}"

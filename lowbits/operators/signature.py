@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import hashing
+from ..sources.io import stored
 
 CHUNK = 64  # minima per aggregate: keeps generated code within one method's size
 
@@ -18,17 +19,19 @@ def build_full(sets: DataFrame, kind: str = "affine31", k: int = 64, seed: int =
     """(set_id, f, z): one wide aggregate per chunk, partial sums on the map side, no explode of sets by permutation.
 
     kind perm: ranks come from a join with the (elem, k ranks) table of the universe (the sets' own elements by default)."""
+    chunks = [(lo, min(lo + CHUNK, k)) for lo in range(0, k, CHUNK)]
     if kind == "perm":
         ranks = hashing.permutations(sets if universe is None else universe, k, seed)
-        wide = ranks.groupBy("elem").agg(F.map_from_entries(F.collect_list(F.struct("j", "rank"))).alias("m"))  # k entries
-        wide = wide.select("elem", *(F.element_at("m", F.lit(j)).alias(f"h{j}") for j in range(k)))
-        source = sets.join(wide, "elem")
-        columns = [F.col(f"h{j}") for j in range(k)]
+        listed = ranks.groupBy("elem").agg(F.array_sort(F.collect_list(F.struct("j", "rank"))).alias("m"))  # k entries
+        wide = listed.select("elem", *(F.transform(F.slice("m", lo + 1, hi - lo), lambda x: x["rank"]).alias(f"r{lo}") for lo, hi in chunks))
+        source = sets.join(stored(wide, "ranks") if len(chunks) > 1 else wide, "elem")
+        column = lambda j: F.col(f"r{j // CHUNK * CHUNK}")[j % CHUNK]
     else:
-        source, columns = sets, hashing.family(kind, k, seed)
+        source, hashes = sets, hashing.family(kind, k, seed)
+        column = hashes.__getitem__
     parts = []
-    for lo in range(0, k, CHUNK):
-        aggs = [F.min(c).alias(f"z{lo + i}") for i, c in enumerate(columns[lo : lo + CHUNK])]
+    for lo, hi in chunks:
+        aggs = [F.min(column(j)).alias(f"z{j}") for j in range(lo, hi)]
         parts.append(source.groupBy("set_id").agg(*([F.count("*").alias("f")] if lo == 0 else []), *aggs))
     out = parts[0]
     for p in parts[1:]:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from ..experiments import workloads as w
 from ..functions.hashing import PRIME
-from .set_queries import K, floor_slope_sql, full_sql, perm_sql, planes_sql, shingles_sql, vocab_sql, words_sql
+from .set_queries import bit_, floor_slope_sql, full_sql, perm_sql, shingles_sql, vocab_sql, words_sql
 
 QUERIES = {
     "exp_table1_data": w.table1_data,
@@ -13,31 +13,43 @@ QUERIES = {
     "exp_pr_words": w.pr_words,
     "exp_pr_docs": w.pr_docs,
     "exp_space_gain": w.space_gain,
-    "exp_pr_words_grid": w.pr_words_grid,
-    "exp_pr_docs_grid": w.pr_docs_grid,
 }
 
 
-def pr_sql(s: str, full: str, domain: str, bs: list[int], full_bits: int, thresholds: list[float]) -> str:
-    def est(b: int) -> str:
-        miss = "bit_count(" + " | ".join(f"xor(l.p{i}, r.p{i})" for i in range(b)) + ")"
-        e = f"(1 - {miss}/cast({K} as double))"
+def pr_sql(s: str, full, domain: str, bs: list[int], full_bits: int, thresholds: list[float], ks=w.CURVE_KS, reps: int = w.CURVE_REPS) -> str:
+    """full(k, seed): SQL of (set_id, j, z) over the table s.  Words of planes are columns p{word}_{bit}."""
+    n = -(-max(ks) // 64)
+
+    def est(b: int, k: int) -> str:
+        apart = [" | ".join(f"xor(l.p{x}_{i}, r.p{x}_{i})" for i in range(b)) for x in range(-(-k // 64))]
+        if k % 64:
+            apart[-1] = f"({apart[-1]}) & {(1 << k % 64) - 1}"
+        miss = " + ".join(f"cast(bit_count({x}) as integer)" for x in apart)
+        e = f"(({k} - ({miss}))/cast({k} as double))"
         if b == full_bits:
             return e
         fl, sl = floor_slope_sql(b, domain)
         return f"({e}-{fl})/{sl}"
 
-    everything = [*bs, full_bits]
-    cols = ", ".join(f"{est(b)} as e{b}" for b in everything)
-    parts = " union all ".join(f"select '{'full' if b == full_bits else 'low'}' as estimator, cast({32 if b == full_bits else b} as integer) as b, r, e{b} as r_hat from m" for b in everything)
-    return f"""with s as materialized {s}, f as (select set_id, count(*) as f from s group by 1), pl as materialized {planes_sql(full.replace(s, 's'), full_bits)},
-    t as (select l.set_id as a, r.set_id as b, count(*) as n from s l join s r on l.elem = r.elem and l.set_id < r.set_id group by 1, 2),
-    h as (select l.set_id as a, r.set_id as b, l.f as f_l, r.f as f_r, {cols} from (select pl.*, f from pl join f using (set_id)) l join (select pl.*, f from pl join f using (set_id)) r on l.set_id < r.set_id),
-    m as (select coalesce(cast(n as double)/(f_l+f_r-n), 0) as r, {', '.join(f'e{b}' for b in everything)} from h left join t using (a, b)),
-    p as ({parts}),
-    c as (select estimator, b, r0, count(*) filter (r >= r0) as n_rel, count(*) filter (r_hat >= r0) as n_ret, count(*) filter (r >= r0 and r_hat >= r0) as n_hit
-          from p, (values {', '.join(f'(cast({t} as double))' for t in thresholds)}) v(r0) where r >= {min(thresholds)} or r_hat >= {min(thresholds)} group by 1, 2, 3)
-    select estimator, b, cast({K} as integer) as k, r0, n_rel, n_ret, n_hit, round(case when n_ret > 0 then n_hit/cast(n_ret as double) end, 6) as precision, round(case when n_rel > 0 then n_hit/cast(n_rel as double) end, 6) as recall from c"""
+    grid = [(b, k) for b in [*bs, full_bits] for k in ks]
+    cols = ", ".join(f"{est(b, k)} as e{b}_{k}" for b, k in grid)
+    words = ", ".join(f"{bit_(i)} filter (j // 64 = {x}) as p{x}_{i}" for x in range(n) for i in range(full_bits))
+    counts = ", ".join(f"count(*) filter (r >= {t}) as rel{t_}, " + ", ".join(f"count(*) filter (e{b}_{k} >= {t}) as ret{b}_{k}_{t_}, count(*) filter (r >= {t} and e{b}_{k} >= {t}) as hit{b}_{k}_{t_}" for b, k in grid) for t_, t in enumerate(thresholds))
+    named = ", ".join(f"('{'full' if b == full_bits else 'low'}', {32 if b == full_bits else b}, {k}, cast({t} as double), rel{t_}, ret{b}_{k}_{t_}, hit{b}_{k}_{t_})" for b, k in grid for t_, t in enumerate(thresholds))
+    each = " union all ".join(
+        f"""(with pl as materialized (select set_id, {words} from {full(max(ks), rep)} group by set_id), v as materialized (select pl.*, f from pl join f using (set_id)),
+        h as (select l.set_id as a, r.set_id as b, l.f as f_l, r.f as f_r, {cols} from v l join v r on l.set_id < r.set_id),
+        m as (select coalesce(cast(n as double)/(f_l+f_r-n), 0) as r, h.* from h left join t using (a, b)),
+        c as materialized (select {counts} from m)
+        select x.* from c, lateral (values {named}) x(estimator, b, k, r0, n_rel, n_ret, n_hit))"""
+        for rep in range(reps)
+    )
+    ratio = lambda n: f"case when {n} > 0 then n_hit/cast({n} as double) end"
+    return f"""with s as materialized {s}, f as (select set_id, count(*) as f from s group by 1),
+    t as materialized (select l.set_id as a, r.set_id as b, count(*) as n from s l join s r on l.elem = r.elem and l.set_id < r.set_id group by 1, 2),
+    g as ({each})
+    select estimator, cast(b as integer) as b, cast(k as integer) as k, r0, cast(sum(n_rel) as bigint) as n_rel, cast(sum(n_ret) as bigint) as n_ret, cast(sum(n_hit) as bigint) as n_hit,
+        round(avg({ratio('n_ret')}), 6) as precision, round(avg({ratio('n_rel')}), 6) as recall, round(stddev_pop({ratio('n_ret')}), 6) as precision_sd, round(stddev_pop({ratio('n_rel')}), 6) as recall_sd from g group by all"""
 
 
 _VOC, _DOCS = vocab_sql(2633), shingles_sql()
@@ -54,10 +66,10 @@ def _gain(b: int) -> str:
 
 
 ORACLES = {
-    "exp_table1_data": f"""with p as {words_sql()}, f as (select set_id, count(*) as f from p group by 1), w(w1, w2) as (values {_WANTED}),
+    "exp_table1_data": f"""with p as materialized (select * from {words_sql()} where set_id in ({", ".join(f"'{x}'" for x in sorted({y for p in w.PAIRS for y in p}))})), f as materialized (select set_id, count(*) as f from p group by 1), w(w1, w2) as (values {_WANTED}),
         t as (select w1, w2, count(*) as a from w join p x on x.set_id = w1 join p y on y.set_id = w2 and x.elem = y.elem group by 1, 2),
         u as (select w1, w2, x.f as f1, y.f as f2, a, cast((select count(*) from documents) as double) as d from t join f x on x.set_id = w1 join f y on y.set_id = w2)
         select w1, w2, f1, f2, a, round({_R}, 6) as r, round({_F}, 6) as floor, round({_S}, 6) as slope, {_gain(32)} as gain32, {_gain(64)} as gain64 from u""",
-    "exp_pr_words": pr_sql(_VOC, perm_sql(_VOC), f"(select count(distinct elem) from {_VOC})", [1, 2, 3, 4], 10, w.WORD_THRESHOLDS),
-    "exp_pr_docs": pr_sql(_DOCS, full_sql(_DOCS), str(PRIME), [1, 2, 4], 31, w.DOC_THRESHOLDS),
+    "exp_pr_words": pr_sql(_VOC, lambda k, seed: perm_sql("s", k, seed), "(select count(distinct elem) from s)", [1, 2, 3, 4], 10, w.WORD_THRESHOLDS),
+    "exp_pr_docs": pr_sql(_DOCS, lambda k, seed: full_sql("s", k, seed), str(PRIME), [1, 2, 4], 31, w.DOC_THRESHOLDS),
 }

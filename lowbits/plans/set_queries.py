@@ -2,18 +2,16 @@
 
 from __future__ import annotations
 
-from functools import partial
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, coefficients
 from ..operators import estimators, exact, pairs, planes, sets, signature
-from ..sources.io import load, spread
+from ..sources.io import load, spread, stored
 
-K, W, TOP, R0 = 64, 5, 400, 0.3
-ALL_WORDS = 2633  # the word sets of the whole workload; TOP is what the SQL twins take
+K, W, TOP, R0 = 64, 5, 2633, 0.3
 DOMAIN = float(PRIME)
+KEY_BITS = 16
 
 # ---- SQL building blocks (DuckDB) -------------------------------------------------------------------
 
@@ -58,16 +56,16 @@ def exact_sql(s: str, r0: float | None = None) -> str:
     select id_l, id_r, f_l, f_r, a, cast(a as double)/(f_l+f_r-a) as r from (select id_l, id_r, x.f as f_l, y.f as f_r, a from p join f x on x.set_id = id_l join f y on y.set_id = id_r){cond}"""
 
 
-def coefficients_sql(k: int = K) -> str:
-    return "(values " + ", ".join(f"({j}, cast({a} as bigint), cast({c} as bigint))" for j, (a, c) in enumerate(coefficients(k))) + ") co(j, ca, cc)"
+def coefficients_sql(k: int = K, seed: int = 0) -> str:
+    return "(values " + ", ".join(f"({j}, cast({a} as bigint), cast({c} as bigint))" for j, (a, c) in enumerate(coefficients(k, seed))) + ") co(j, ca, cc)"
 
 
-def full_sql(s: str, k: int = K) -> str:
-    return f"(select set_id, j, min((ca*elem+cc) % {PRIME}) as z from {s} s, {coefficients_sql(k)} group by set_id, j)"
+def full_sql(s: str, k: int = K, seed: int = 0) -> str:
+    return f"(select set_id, j, min((ca*elem+cc) % {PRIME}) as z from {s} s, {coefficients_sql(k, seed)} group by set_id, j)"
 
 
-def perm_sql(s: str, k: int = K) -> str:
-    return f"""(select set_id, j, min(rank) as z from {s} s join (select elem, j, row_number() over (partition by j order by md5(concat('0:', j, ':', elem)), elem) - 1 as rank
+def perm_sql(s: str, k: int = K, seed: int = 0) -> str:
+    return f"""(select set_id, j, min(rank) as z from {s} s join (select elem, j, row_number() over (partition by j order by md5(concat('{seed}:', j, ':', elem)), elem) - 1 as rank
         from (select distinct elem from {s}) u, range({k}) p(j)) using (elem) group by set_id, j)"""
 
 
@@ -225,8 +223,8 @@ def sig_full_nested(spark, sf):
     return signature.narrow(n).select("set_id", F.col("j").cast("int").alias("j"), "z")
 
 
-def sig_full_perm(spark, sf, top=TOP):
-    return signature.narrow(signature.build_full(word_sets(spark, sf, top), "perm", 16)).select(F.col("set_id").alias("word"), F.col("j").cast("int").alias("j"), "z")
+def sig_full_perm(spark, sf):
+    return signature.narrow(signature.build_full(word_sets(spark, sf), "perm", 16)).select(F.col("set_id").alias("word"), F.col("j").cast("int").alias("j"), "z")
 
 
 def sig_merge(spark, sf):
@@ -256,9 +254,10 @@ def sig_fold(spark, sf):
 
 
 def _with_truth(est: DataFrame, s: DataFrame, r0: float = R0) -> DataFrame:
-    truth = exact.resemblance(s).select("id_l", "id_r", F.round("r", 6).alias("r_exact"))
-    out = est.where(F.col("r_hat") >= r0).join(truth, ["id_l", "id_r"], "left")
-    return out.select("id_l", "id_r", "f_l", "f_r", "matches", F.round("e_hat", 6).alias("e_hat"), F.round("r_hat", 6).alias("r_hat"), F.coalesce("r_exact", F.lit(0.0)).alias("r_exact"), F.round("std_err", 6).alias("std_err"))
+    """Estimates from r0 on next to exact resemblance, counted for these pairs alone."""
+    est = stored(est.where(F.col("r_hat") >= r0), "estimates")
+    truth = exact.of_pairs(s, est).select("id_l", "id_r", F.round("r", 6).alias("r_exact"))
+    return est.join(truth, ["id_l", "id_r"]).select("id_l", "id_r", "f_l", "f_r", "matches", F.round("e_hat", 6).alias("e_hat"), F.round("r_hat", 6).alias("r_hat"), "r_exact", F.round("std_err", 6).alias("std_err"))
 
 
 def _est_docs(b):
@@ -269,61 +268,64 @@ def _est_docs(b):
 
 
 def est_full_docs(spark, sf):
-    p = _planes(spark, sf, 31)
-    return _with_truth(estimators.r_full(estimators.pair_all(p), K, 31), doc_sets(spark, sf))
+    return _with_truth(estimators.r_full(estimators.pair_all(_planes(spark, sf, 31), K, 31, R0), K), doc_sets(spark, sf))
+
+
+def _universe(s: DataFrame) -> int:
+    """Elements that occur: the range of the permutations of word sets."""
+    return s.select("elem").distinct().count()
+
+
+def _words(spark, sf, k: int, b: int) -> tuple[DataFrame, DataFrame, int]:
+    """The word sets, their planes and their universe."""
+    s = stored(word_sets(spark, sf), "words")
+    return s, planes.from_full(signature.build_full(s, "perm", k), k, b), _universe(s)
 
 
-def _universe(spark, sf, top: int = TOP) -> int:
-    """Documents with words: the range of the permutations of word sets."""
-    return sets.postings(docs(spark, sf), top_n=top).select("elem").distinct().count()
+def _low_words(spark, sf, b) -> tuple[DataFrame, DataFrame]:
+    s, sig, d = _words(spark, sf, K, b)
+    return s, estimators.r_low(estimators.pair_all(sig, K, b, R0, d), K, b, d).where(F.col("r_hat") >= R0)
 
 
 def _est_words(b):
-    def run(spark, sf, top=TOP):
-        s = word_sets(spark, sf, top)
-        sig = planes.from_full(signature.build_full(s, "perm", K), K, b)
-        return _with_truth(estimators.r_low(estimators.pair_all(sig), K, b, _universe(spark, sf, top)), s)
+    def run(spark, sf):
+        s, e = _low_words(spark, sf, b)
+        return _with_truth(e, s)
 
     return run
 
 
-def est_full_words(spark, sf, top=TOP):
-    s = word_sets(spark, sf, top)
-    sig = planes.from_full(signature.build_full(s, "perm", K), K, 31)
-    return _with_truth(estimators.r_full(estimators.pair_all(sig), K, 31), s)
+def est_full_words(spark, sf):
+    s, sig, _ = _words(spark, sf, K, 31)
+    return _with_truth(estimators.r_full(estimators.pair_all(sig, K, 31, R0), K), s)
 
 
-def est_full_minima(spark, sf, top=TOP):
+def est_full_minima(spark, sf):
     """Full-width estimates by an equi-join on equal minima."""
-    s = word_sets(spark, sf, top)
+    s = stored(word_sets(spark, sf), "words")
     return _with_truth(estimators.r_full_minima(signature.build_full(s, "perm", K), K), s)
 
 
-def est_fold_words(spark, sf, top=TOP):
-    s = word_sets(spark, sf, top)
-    sig = planes.fold(planes.from_full(signature.build_full(s, "perm", 2 * K), 2 * K, 1), K)
-    return _with_truth(estimators.r_fold(estimators.pair_all(sig), K, _universe(spark, sf, top)), s)
+def est_fold_words(spark, sf):
+    s, sig, d = _words(spark, sf, 2 * K, 1)
+    return _with_truth(estimators.r_fold(estimators.pair_all(planes.fold(sig, K), K, 1, plane="fold"), K, d), s)
 
 
 def est_low_suppliers(spark, sf):
-    s = supplier_sets(spark, sf)
-    d = s.select("elem").distinct().count()
+    s = stored(supplier_sets(spark, sf), "suppliers")
+    d = _universe(s)
     sig = planes.from_full(signature.build_full(s, "perm", K), K, 2)
-    return _with_truth(estimators.r_low(estimators.pair_all(sig), K, 2, d), s, 0.0)
+    return _with_truth(estimators.r_low(estimators.pair_all(sig, K, 2), K, 2, d), s, 0.0)
 
 
-def est_joint_size(spark, sf, top=TOP):
-    s = word_sets(spark, sf, top)
-    sig = planes.from_full(signature.build_full(s, "perm", K), K, 4)
-    e = estimators.joint_size(estimators.r_low(estimators.pair_all(sig), K, 4, _universe(spark, sf, top)))
-    return e.where(F.col("r_hat") >= R0).select("id_l", "id_r", "f_l", "f_r", F.round("a_hat", 4).alias("a_hat"))
+def est_joint_size(spark, sf):
+    e = estimators.joint_size(_low_words(spark, sf, 4)[1])
+    return e.select("id_l", "id_r", "f_l", "f_r", F.round("a_hat", 4).alias("a_hat"))
 
 
-def est_interval(spark, sf, top=TOP):
-    s = word_sets(spark, sf, top)
-    sig = planes.from_full(signature.build_full(s, "perm", K), K, 2)
-    e = estimators.with_interval(estimators.r_low(estimators.pair_all(sig), K, 2, _universe(spark, sf, top)))
-    return e.where(F.col("r_hat") >= R0).select("id_l", "id_r", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
+def est_interval(spark, sf):
+    e = estimators.with_interval(_low_words(spark, sf, 2)[1])
+    return e.select("id_l", "id_r", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
 
 
 # ---- pair strategies ---------------------------------------------------------------------------------------
@@ -346,13 +348,9 @@ def pairs_prefix_filter(spark, sf):
 
 
 def pairs_banded(spark, sf):
-    return _pairs_out(pairs.banded(_planes(spark, sf, 4), K, 4, 4, 0.5, DOMAIN))
-
-
-def pairs_banded_recall(spark, sf):
-    """As pairs_banded, with bands of so few rows that a pair at the threshold is met with a probability of 0.9 at least; 16 bits of each sample key a band."""
-    rows = pairs.band_rows(0.5, 1e-9, 1e-9, 16, K)
-    return _pairs_out(pairs.banded(_planes(spark, sf, 16), K, 4, rows, 0.5, DOMAIN, 16))
+    """Bands of so few rows that a pair at the threshold is met with a probability of 0.9 at least; 16 bits of each sample key a band."""
+    rows = pairs.band_rows(0.5, 1e-9, 1e-9, KEY_BITS, K)
+    return _pairs_out(pairs.banded(_planes(spark, sf, KEY_BITS), K, 4, rows, 0.5, DOMAIN, KEY_BITS))
 
 
 def pairs_topk_neighbors(spark, sf):
@@ -380,15 +378,12 @@ QUERIES = {
         exact_benchmark_containment, exact_conversation_resemblance, exact_distance, exact_distance_triangle,
         sig_full_affine, sig_full_narrow, sig_full_nested, sig_full_perm, sig_merge, sig_fold,
         est_full_docs, est_full_words, est_full_minima, est_fold_words, est_low_suppliers, est_joint_size, est_interval,
-        pairs_allpairs_b1, pairs_size_filter, pairs_prefix_filter, pairs_banded, pairs_banded_recall, pairs_topk_neighbors, dedup_components, dedup_exact_md5,
+        pairs_allpairs_b1, pairs_size_filter, pairs_prefix_filter, pairs_banded, pairs_topk_neighbors, dedup_components, dedup_exact_md5,
     )
 }
 QUERIES |= {f"sig_planes_b{b}": _sig_planes(b) for b in (1, 2, 3, 4)}
 QUERIES |= {f"est_low_b{b}_docs": _est_docs(b) for b in (1, 2, 3, 4)}
 QUERIES |= {f"est_low_b{b}_words": _est_words(b) for b in (1, 2, 3, 4)}
-_OF_WORDS = ("sig_full_perm", "est_full_words", "est_full_minima", "est_fold_words", "est_joint_size", "est_interval", *(f"est_low_b{b}_words" for b in (1, 2, 3, 4)))
-QUERIES |= {f"{name}_{ALL_WORDS}": partial(QUERIES[name], top=ALL_WORDS) for name in _OF_WORDS}  # no twins: tested on the smallest table
-
 _DOCS, _VOC = shingles_sql(), vocab_sql()
 _D_WORDS = f"(select count(distinct elem) from {_VOC})"
 _NARROW16 = f"select set_id, cast(j as integer) as j, z from {full_sql(_DOCS, 16)}"
@@ -399,16 +394,18 @@ def _planes_long(b: int) -> str:
     return " union all ".join(f"select set_id, cast({i} as integer) as plane, cast(j // 64 as integer) as word_no, {bit_(i)} as word from {full_sql(_DOCS)} group by set_id, j // 64" for i in range(b))
 
 
-def _pairs_sql(b: int, r0: float, extra: str = "") -> str:
+def _pairs_sql(b: int, r0: float, extra: str = "", stored_planes: int = 0) -> str:
     fl, sl = floor_slope_sql(b, str(PRIME))
     miss = "bit_count(" + " | ".join(f"xor(l.p{i}, r.p{i})" for i in range(b)) + ")"
-    return f"""with s as {_DOCS}, f as (select set_id, count(*) as f from s group by 1), pl as {planes_sql(full_sql(_DOCS), b)},
+    return f"""with s as {_DOCS}, f as (select set_id, count(*) as f from s group by 1), pl as {planes_sql(full_sql(_DOCS), max(b, stored_planes))},
     e as (select l.set_id as id_l, r.set_id as id_r, x.f as f_l, y.f as f_r, cast({K} - {miss} as bigint) as matches
           from pl l join pl r on l.set_id < r.set_id join f x on x.set_id = l.set_id join f y on y.set_id = r.set_id {extra})
     select id_l, id_r, matches, round((cast(matches as double)/{K}-{fl})/{sl}, 6) as r_hat from e where (cast(matches as double)/{K}-{fl})/{sl} >= {r0} - 1e-9"""
 
 
-_BAND_KEYS = " or ".join(f"({' and '.join(f'((l.p{i} >> {4 * t}) & 15) = ((r.p{i} >> {4 * t}) & 15)' for i in range(4))})" for t in range(16))
+_ROWS = pairs.band_rows(0.5, 1e-9, 1e-9, KEY_BITS, K)
+_APART = "(" + " | ".join(f"xor(l.p{i}, r.p{i})" for i in range(KEY_BITS)) + ")"
+_BAND_KEYS = " or ".join(f"(({_APART} >> {_ROWS * t}) & {(1 << _ROWS) - 1}) = 0" for t in range(K // _ROWS))
 ORACLES = {
     "sets_shingle_count": f"select set_id as doc_id, count(*) as f from {_DOCS} group by 1",
     "sets_char_shingle_count": f"select set_id as doc_id, count(*) as f from {chars_sql()} group by 1",
@@ -441,7 +438,7 @@ ORACLES = {
     "pairs_allpairs_b1": _pairs_sql(1, 0.5),
     "pairs_size_filter": _pairs_sql(2, 0.5, "where x.f >= 0.5*y.f and y.f >= 0.5*x.f"),
     "pairs_prefix_filter": exact_sql(_DOCS, 0.5),
-    "pairs_banded": _pairs_sql(4, 0.5, f"where {_BAND_KEYS}"),
+    "pairs_banded": _pairs_sql(4, 0.5, f"where {_BAND_KEYS}", KEY_BITS),
     "pairs_topk_neighbors": f"with e as ({exact_sql(PARTS)}), b as (select id_l, id_r, r from e union all select id_r, id_l, r from e) select id_l, id_r, round(r, 6) as r, cast(n as integer) as rank from (select *, row_number() over (partition by id_l order by r desc, id_r) as n from b) where n <= 3",
     "dedup_components": f"with recursive e as (select id_l as a, id_r as b from ({exact_sql(_DOCS, 0.5)})), g as (select a, b from e union select b, a from e), w(node, root) as (select doc_id, doc_id from documents union select g.b, w.root from w join g on g.a = w.node where g.b > w.root) select node as doc_id, min(root) as component_id, node = min(root) as keep from w group by node",
     "dedup_exact_md5": "select min(doc_id) as doc_id, count(*) as copies from documents group by text",

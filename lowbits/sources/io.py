@@ -18,14 +18,26 @@ def spread(df: DataFrame) -> DataFrame:
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder (spark.checkpoint.dir); a local one only where the session names none."""
+    """A fresh path in the shared folder (spark.checkpoint.dir); a local one only where the session names none and runs in one process."""
     import tempfile
     import uuid
 
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.gettempdir()
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = "file://" + tempfile.gettempdir()
     return f"{base.rstrip('/')}/lowbits-{label}-{uuid.uuid4().hex}"
 
 
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """df written to the shared folder and read back: computed once, lineage cut, lost executors survived."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def round_trip(df: DataFrame, fmt: str, path: str) -> DataFrame:
     """Write df as csv, json, orc, parquet or text and read it with its own schema (text: one string column)."""
     writer = df.write.mode("overwrite")

@@ -9,8 +9,7 @@ import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"exp_pr_words", "exp_pr_docs", "exp_table1_data", "est_full_words", "exact_word_resemblance", "est_full_docs"}
-NAMES = [n for n in entry.registry.oracle_sql() if n not in SLOW]
+NAMES = list(entry.registry.oracle_sql())
 
 
 @pytest.fixture(scope="module")

@@ -28,6 +28,7 @@ def test_headlines():
     assert [planner.best_b(R, 1e-12, 1e-12) for R in (0.1, 0.2, 0.3, 0.4, 0.8)] == [4, 3, 2, 1, 1]
     assert math.isclose(planner.crossover(1, 2, 1e-12), 1 / 3, rel_tol=1e-6)
     assert planner.choose_estimator(0.9, 0.01, 0.01) == "fold" and planner.choose_estimator(0.5, 0.01, 0.01) == "low1"
+    assert planner.choose_estimator(0.591, 0.062, 0.061) == "low1" and planner.choose_estimator(0.9, 0.01, 0.01, hash_budget=1) == "low1"
     assert planner.sample_size(1, 0.5, 1e-12, 1e-12, 0.05) == 300
 
 
