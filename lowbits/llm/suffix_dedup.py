@@ -13,6 +13,10 @@ Only suffixes that start such a string matter, and only their first LENGTH bytes
    Buckets of more than ``BUCKET`` different runs are spread instead, by digests of the strings themselves.
 3. Removed runs are joined per document, and the bytes left are hashed.
 
+Beside the bytes that go, ``shared_passages`` says which documents share a passage of words with another document, however
+few bytes it has: of every ``PASSAGE`` consecutive words the least-hashed string of ``STRING`` of them is an anchor, so documents
+that share a passage have an anchor in common, and documents with a common anchor share STRING words.
+
 Edge cases: null and empty texts are zero bytes; texts shorter than LENGTH lose nothing; matches never cross
 documents.  Repeated rows repeat each other and lose all strings of that length.  Rows are identified by
 doc_id and a text hash, so a null or shared doc_id does no harm.  An empty table gives an empty table.
@@ -22,18 +26,24 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bytewords import U64, _powers, mix, text_slices
-from .engine import lean, map_batches, partitions, stored
+from .bytewords import U64, _powers, byte_table, mix, ngram_hashes, text_slices, word_hashes, words
+from .engine import lean, map_batches, partitions, same_row, stored
+from .line_dedup import _packed, _part
 
 LENGTH, GRAM, PERIOD, BUCKET = 400, 64, 32, 4096
+PASSAGE, STRING = 51, 34
+#: Separators: space and the control characters 9 to 13; letters keep their case.
+EXACT_WORDS = byte_table(bytes([32, *range(9, 14)]), False)
 
 
+@lru_cache
 def difference_cover(period: int) -> list[int]:
     """A small set of residues whose differences give every residue (greedy)."""
     cover, have = [0, 1], {0, 1, period - 1}
@@ -45,8 +55,10 @@ def difference_cover(period: int) -> list[int]:
     return sorted(cover)
 
 
-def cover_shifts(period: int, cover: list[int]) -> np.ndarray:
-    """shift[i, j]: the least d with i + d and j + d both in the cover."""
+@lru_cache
+def cover_shifts(period: int) -> np.ndarray:
+    """shift[i, j]: the least d with i + d and j + d both in the difference cover of the period."""
+    cover = difference_cover(period)
     inside = np.zeros(period, bool)
     inside[cover] = True
     d = np.arange(period)
@@ -128,7 +140,7 @@ def repeated_starts(texts: list[bytes], counts: list[int], length: int, period:
 
     All suffixes are one bucket.  Ties of the first and last ``period`` bytes are resolved by cover ranks."""
     cover = difference_cover(period)
-    shift = cover_shifts(period, cover)
+    shift = cover_shifts(period)
     buf = np.frombuffer(b"".join(texts), np.uint8)
     off = np.concatenate(([0], np.cumsum([len(t) for t in texts]))).astype(np.int64)
     counts = np.asarray(counts)
@@ -210,15 +222,16 @@ def _sort_buckets(length: int):
 def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, bucket: int = BUCKET) -> tuple[DataFrame, DataFrame]:
     """(documents: doc_id, th, n_bytes, sha; repeated: doc_id, th, text and spans of suffix starts, for documents that lose bytes or might)."""
     spark = docs.sparkSession
-    parts = partitions(spark)
+    parts = partitions(spark, docs)
     docs = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), docs["text"].alias("text"))
     state = stored(map_batches(docs, _scan(length, gram), ROW), "runs")
     base = state.where("kind = 0").select("doc_id", "th", "n_bytes", "sha")
     every = state.where("kind = 1").select("doc_id", "th", "start", "many", "anchor", "c1", "c2")
-    met = every.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor")
+    # stored, so that the join has nothing to do but join and Spark can split an anchor that a third of all rows have
+    met = stored(every.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor"), "anchors")
     found = stored(every.join(met, "anchor", "left_semi"), "met")  # most buckets hold one run and end here
     kinds = stored(found.groupBy("anchor", "c1", "c2").agg(F.count("*").alias("copies"), F.min(F.struct("doc_id", "th", "start", "many")).alias("one")), "kinds")
-    buckets = kinds.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1")
+    buckets = stored(kinds.groupBy("anchor").agg(F.count("*").alias("kinds")).where("kinds > 1"), "buckets")
     whole = kinds.where("copies > 1").select(F.col("c1").alias("x1"), F.col("c2").alias("x2"))
     full = found.join(whole, (F.col("c1") == F.col("x1")) & (F.col("c2") == F.col("x2"))).select("doc_id", "th", "start", "many", F.lit(None).cast("long").alias("anchor"), F.lit(0).alias("role"))
     # role 1: a run that others may share in part; role 2: one of several equal runs, done but a partner
@@ -226,7 +239,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, buck
     partial = partial.select("doc_id", "th", "start", "many", "anchor", F.when((F.col("role") == 1) & (F.col("copies") > 1), F.lit(2)).otherwise(F.col("role")).alias("role"))
     wanted = full.unionByName(partial).groupBy("doc_id", "th").agg(F.collect_list(F.struct("start", "many", "anchor", "role")).alias("runs"))  # of one document
     wanted = wanted.select(F.col("doc_id").alias("d"), F.col("th").alias("t"), "runs")
-    near = stored(docs.join(wanted, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t"))).select("doc_id", "th", "text", "runs"), "near")
+    near = stored(docs.join(wanted, same_row()).select("doc_id", "th", "text", "runs"), "near")
 
     def fetch(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for lo in range(0, batch.num_rows, 256):
@@ -254,7 +267,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, buck
     own = near.select("doc_id", "th", F.explode("runs").alias("r")).where("r.role = 0").select("doc_id", "th", "r.start", "r.many")
     spans = spans.unionByName(own).groupBy("doc_id", "th").agg(F.collect_list(F.struct("start", "many")).alias("spans"))  # of one document
     spans = spans.select(F.col("doc_id").alias("d"), F.col("th").alias("t"), "spans")
-    repeated = near.join(spans, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t"))).select("doc_id", "th", "text", "spans")
+    repeated = near.join(spans, same_row()).select("doc_id", "th", "text", "spans")
     return base, repeated
 
 
@@ -283,10 +296,88 @@ def cut(repeated: DataFrame, length: int = LENGTH) -> DataFrame:
     return map_batches(repeated, run, CUT)
 
 
+_ANCHOR = np.dtype([("key", "<u8"), ("row", "<i8")])
+
+
+def _groups(e: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(entries by key without repeats, first entry of each key, whether rows of that key share it).  A key's last bit: known to be shared."""
+    e = np.unique(e)
+    e = e[np.lexsort((e["row"], e["key"] | U64(1)))]
+    key = e["key"] | U64(1)
+    first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+    last = np.append(first[1:], len(e)) - 1
+    return e, first, (e["row"][first] != e["row"][last]) | (np.maximum.reduceat(e["key"] & U64(1), first) > 0)
+
+
+def _shared_rows(e: np.ndarray, first: np.ndarray, shared: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(row, its shared anchors) for entries not known to be shared before."""
+    mine = e[np.repeat(shared, np.diff(np.append(first, len(e)))) & (e["key"] & U64(1) == 0)]
+    if len(mine):
+        mine = mine[np.argsort(mine["row"], kind="stable")]
+        cut = np.flatnonzero(np.concatenate(([True], mine["row"][1:] != mine["row"][:-1], [True]))).astype(np.int32)
+        anchors = pa.ListArray.from_arrays(pa.array(cut), pa.array((mine["key"] >> U64(1)).view(np.int64)))
+        n = len(anchors)
+        yield pa.RecordBatch.from_arrays([pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.array(mine["row"][cut[:-1]]), anchors], ["part", "blob", "row", "anchors"])
+
+
+def shared_passages(docs: DataFrame, passage: int = PASSAGE, string: int = STRING) -> DataFrame:
+    """row (xxhash64 of doc_id and text hash), n_shared: anchors that another row has too, for rows with any.
+
+    A task sends one entry for each anchor, so an anchor that a third of all documents have is a row per task."""
+    parts = partitions(docs.sparkSession, docs)
+    schema = "part int, blob binary, row long, anchors array<long>"
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            e, first, shared = _groups(np.concatenate(held))
+            yield from _shared_rows(e, first, shared)
+            send = e[first]
+            send["key"] |= shared.astype(U64)
+            p, blobs = _packed(_part(send["key"], parts), send)
+            yield pa.RecordBatch.from_arrays([pa.array(p, pa.int32()), pa.array(blobs, pa.binary()), pa.nulls(len(p), pa.int64()), pa.nulls(len(p), pa.list_(pa.int64()))], ["part", "blob", "row", "anchors"])
+
+        for batch in batches:
+            ids = batch.column(0).to_numpy()
+            for lo, _, buf, off in text_slices(batch, "text"):
+                starts, ends, doc = words(buf, off, EXACT_WORDS)
+                g = ngram_hashes(word_hashes(buf, starts, ends, EXACT_WORDS), string)
+                if len(starts) < passage:
+                    continue
+                at = (sliding_min((g & ~U64(0xFFFFFFFF)) | np.arange(len(g), dtype=U64), passage - string + 1) & U64(0xFFFFFFFF)).astype(np.int64)
+                at = np.unique(at[doc[: len(at)] == doc[passage - 1 : passage - 1 + len(at)]])
+                e = np.empty(len(at), _ANCHOR)
+                e["key"], e["row"] = g[at] & ~U64(1), ids[lo + doc[at]]
+                held.append(e)
+                size += len(e)
+                if size >= 1 << 19:
+                    yield from flush()
+                    held, size = [], 0
+        if size:
+            yield from flush()
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found = []
+        for batch in batches:
+            packed = batch.column(1).is_valid()
+            rest = batch.filter(pa.compute.invert(packed))
+            if rest.num_rows:
+                yield rest
+            found += [np.frombuffer(x.as_buffer(), _ANCHOR) for x in batch.filter(packed).column(1)]
+        if found:
+            yield from _shared_rows(*_groups(np.concatenate(found)))
+
+    rows = docs.select(F.xxhash64(docs["doc_id"].cast("long"), F.xxhash64("text")).alias("row"), docs["text"].alias("text"))
+    route = F.coalesce("part", F.pmod("row", F.lit(parts)).cast("int"))
+    met = rows.mapInArrow(lean(scan), schema).repartitionById(parts, route).mapInArrow(lean(meet), schema)
+    return met.groupBy("row").agg(F.size(F.array_distinct(F.flatten(F.collect_list("anchors")))).cast("long").alias("n_shared"))  # of one document
+
+
 def report(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, one row per row of docs."""
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, n_shared_passages (see ``shared_passages``), one row per row of docs."""
     base, repeated = repeated_spans(docs, length, min(GRAM, length))
     lost = cut(repeated, length).select(F.col("doc_id").alias("d"), F.col("th").alias("t"), "n_removed", F.size("removed").cast("long").alias("n_spans"), "kept_sha256").dropDuplicates(["d", "t"])
-    out = base.join(lost, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t")), "left")
-    zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
-    return out.select("doc_id", "n_bytes", zero("n_removed"), zero("n_spans"), F.coalesce("kept_sha256", "sha").alias("kept_sha256"))
+    out = base.join(lost, same_row(), "left").withColumn("row", F.xxhash64("doc_id", "th")).join(shared_passages(docs), "row", "left")
+    zero = lambda c: F.coalesce(c, F.lit(0)).cast("long")
+    return out.select("doc_id", "n_bytes", zero("n_removed").alias("n_removed"), zero("n_spans").alias("n_spans"), F.coalesce("kept_sha256", "sha").alias("kept_sha256"), zero("n_shared").alias("n_shared_passages"))

@@ -175,13 +175,41 @@ def test_suffix_dedup(spark, bucket, monkeypatch):
     texts = [word(50) + p + word(70), p + word(300), word(9) + p[:430], q + "x", q + "y", "é" * 500, "ab" * 450, None, "", p * 3, word(1000) + p[20:440] + word(5)]
     docs = given(spark).unionByName(more(spark, texts))
     want = brute_strings([(r.doc_id, r.text) for r in docs.collect()], 400)
-    assert {r.doc_id: tuple(r)[1:] for r in suffix_dedup.report(docs).collect()} == want
+    assert {r.doc_id: tuple(r)[1:5] for r in suffix_dedup.report(docs).collect()} == want
+
+
+def test_suffix_dedup_on_odd_rows(spark):
+    """Null and shared ids, two texts under one id, repeated rows, clashing columns, a very long text, an empty table."""
+    p = "".join(chr(97 + x) for x in np.random.default_rng(4).integers(0, 26, 600))
+    texts = [(1, p + "x"), (1, "y" + p), (1, "other"), (None, p), (None, None), (2, "ab c" * 3), (2, "ab c" * 3), (3, "word " * 60_000), (4, None)]
+    docs = spark.createDataFrame(texts, "doc_id long, text string").withColumns({c: F.lit(1) for c in ("d", "t", "th", "row", "anchor", "spans", "start")})
+    want = brute_strings(list(enumerate(t for _, t in texts)), 400)
+    got = collections.Counter(tuple(r)[:5] for r in suffix_dedup.report(docs).collect())
+    assert got == collections.Counter((texts[k][0], *v) for k, v in want.items())
+    assert suffix_dedup.report(docs.where("false")).count() == 0
+
+
+def test_shared_passages_of_50_to_120_words(spark):
+    """Every pair of documents with 51 words in common is found; those without 34 are left alone."""
+    rng = np.random.default_rng(9)
+    word = lambda: "".join(chr(97 + x) for x in rng.integers(0, 26, int(rng.integers(2, 9))))
+    texts, shared = [], []
+    for k in range(60):
+        passage = [word() for _ in range(int(rng.integers(51, 121)) if k % 3 else int(rng.integers(5, 34)))]
+        for _ in range(2 + k % 4):
+            texts.append(" ".join([*(word() for _ in range(int(rng.integers(0, 90)))), *passage, *(word() for _ in range(int(rng.integers(0, 90))))]))
+            shared.append(bool(k % 3))
+    docs = more(spark, [*texts, None, "", "x " * 50], 0).repartition(7)
+    rows = {r.doc_id: r.n_shared_passages for r in suffix_dedup.report(docs).collect()}
+    assert [rows[i] > 0 for i in range(len(texts))] == shared and len(rows) == len(texts) + 3
+    same = {r.n_shared for r in suffix_dedup.shared_passages(more(spark, [texts[3]], 7).unionByName(more(spark, [texts[3]], 7))).collect()}
+    assert not same  # a repeated row is no other document
 
 
 def test_cover_takes_any_two_positions_to_the_sample():
     for v in (8, 32, 64):
         cover = suffix_dedup.difference_cover(v)
-        s = suffix_dedup.cover_shifts(v, cover)
+        s = suffix_dedup.cover_shifts(v)
         i, j = np.indices((v, v))
         assert np.isin((i + s) % v, cover).all() and np.isin((j + s) % v, cover).all() and len(cover) <= v // 2
 
