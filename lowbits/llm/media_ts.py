@@ -129,7 +129,7 @@ def _sections(rows: np.ndarray, at: np.ndarray, start: np.ndarray) -> Iterator[b
     for r, a, s in zip(rows, at.tolist(), start.tolist()):
         data = r[a:].tobytes()
         if s:
-            data = data[1 + data[0] :]
+            data = data[1 + data[0] :] if data else data
             held = b""
         elif not held:
             continue
@@ -154,20 +154,22 @@ def demux(stream: bytes) -> dict:
     start, cc = (m[:, 1] & 0x40) > 0, m[:, 3] & 15
     has_af, has_data = (m[:, 3] & 0x20) > 0, (m[:, 3] & 0x10) > 0
     at = np.where(has_af, 5 + m[:, 4].astype(np.int32), 4)
+    if (at > PACKET).any():
+        return out | {"error": "adaptation field"}
     flags = np.where(has_af & (m[:, 4] > 0), m[:, 5], 0)
     pmts, streams = {}, {}
     for s in _sections(m[(k := (pid == PAT_PID) & has_data)], at[k], start[k]):
-        if section_crc(s):
+        if len(s) < 12 or section_crc(s):
             return out | {"error": "table checksum"}
         for i in range(8, len(s) - 4, 4):
             if number := s[i] << 8 | s[i + 1]:
                 pmts[(s[i + 2] & 31) << 8 | s[i + 3]] = number
     for p, number in pmts.items():
         for s in _sections(m[(k := (pid == p) & has_data)], at[k], start[k]):
-            if section_crc(s):
+            if len(s) < 16 or section_crc(s):
                 return out | {"error": "table checksum"}
             i = 12 + ((s[10] & 15) << 8 | s[11])
-            while i < len(s) - 4:
+            while i + 5 <= len(s) - 4:
                 streams[(s[i + 1] & 31) << 8 | s[i + 2]] = (number, s[i])
                 i += 5 + ((s[i + 3] & 15) << 8 | s[i + 4])
     out["programs"] = [{"program": n, "pid": p, "stream_type": t} for p, (n, t) in sorted(streams.items())]
@@ -193,7 +195,7 @@ def demux(stream: bytes) -> dict:
             out["clocks"].append(int.from_bytes(m[q, 6:12].tobytes(), "big") >> 15)
         raw = body.tobytes()
         for i, (b, e) in enumerate(zip(bounds, bounds[1:])):
-            if raw[b : b + 3] != b"\x00\x00\x01":
+            if raw[b : b + 3] != b"\x00\x00\x01" or e - b < 9 or e - b < 9 + raw[b + 8] or raw[b + 8] < (0, 0, 5, 10)[raw[b + 7] >> 6]:
                 return out | {"error": "elementary packet"}
             length, kind, head = raw[b + 4] << 8 | raw[b + 5], raw[b + 7] >> 6, raw[b + 8]
             e = b + 6 + length if length else e
