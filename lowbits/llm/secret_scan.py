@@ -7,7 +7,8 @@ owners share are widely copied examples, values of one owner look live.  Here a
 
 Edge cases: null or empty text has no candidates and keeps its row; null owner or repository counts as one
 owner named by null; repeated rows count once per owner; spans are code points, end exclusive, ordered by
-start and then kind.  An empty table gives an empty table.  Only needed columns are read, so extra ones can't clash.
+start and then kind.  Rows are told apart by id and text hash: a null doc_id keeps its figures, two texts under one id have
+figures of their own.  An empty table gives an empty table.  Only needed columns are read, so extra ones can't clash.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .engine import stored
+from .engine import same_row, stored
 
 #: Kinds in order, their pattern, the group that is the value, its least length.
 ASSIGN = r"""(?i:(password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -39,16 +40,17 @@ def _spans(kind: int) -> F.Column:
 
 
 def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_col: str = "source", repository_cols: tuple[str, ...] = ("source", "lang")) -> DataFrame:
-    """doc_id, owner, repository, spans (struct start, kind, end, value), one row per row of docs."""
+    """doc_id, th (hash of the text), owner, repository, spans (struct start, kind, end, value), one row per row of docs."""
     none = F.expr("cast(array() as array<struct<start:int,kind:int,end:int,value:string>>)")
     d = docs.select(
         docs[id_col].cast("long").alias("doc_id"),
         docs[owner_col].cast("string").alias("owner"),
         F.concat_ws("/", *(F.coalesce(docs[c].cast("string"), F.lit("")) for c in repository_cols)).alias("repository"),
         F.coalesce(docs[text_col], F.lit("")).alias("text"),
+        F.xxhash64(docs[text_col]).alias("th"),
     )
     kinds = list(enumerate(((ASSIGN, 2), (ACCESS, 0), (HEX, 0))))
-    keys = ["doc_id", "owner", "repository"]
+    keys = ["doc_id", "th", "owner", "repository"]
     d = d.select(*keys, "text", *(F.col("text").rlike(p).alias(f"has{k}") for k, (p, _) in kinds))  # most texts hold no match of a kind
     parts = []
     for k, (p, group) in kinds:
@@ -57,7 +59,7 @@ def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     d = d.select(*keys, *parts)
     d = d.select(*keys, *(F.coalesce(_spans(k), none).alias(f"f{k}") for k, _ in kinds))
     kept = F.filter("f0", lambda x: F.length(x["value"]) >= ASSIGN_LEAST)
-    return d.select("doc_id", "owner", "repository", F.array_sort(F.concat(kept, "f1", "f2")).alias("spans"))
+    return d.select(*keys, F.array_sort(F.concat(kept, "f1", "f2")).alias("spans"))
 
 
 def ownership(found: DataFrame, example_owners: int = EXAMPLE_OWNERS, example_repositories: int = EXAMPLE_REPOSITORIES) -> DataFrame:
@@ -73,13 +75,13 @@ def scan(docs: DataFrame) -> DataFrame:
     """One row per document: counts and spans by kind, and how many of its distinct values look live or copied."""
     found = stored(candidates(docs), "candidates")  # read three times below; texts are scanned once
     some = found.where(F.size("spans") > 0)
-    owned = ownership(some)
-    values = some.select("doc_id", F.explode(F.array_distinct(F.transform("spans", lambda x: F.sha2(x["value"], 256)))).alias("value_hash"))
-    verdict = values.join(owned, "value_hash").groupBy("doc_id").agg(F.count_if("widely_copied").alias("n_copied"), F.count_if(~F.col("widely_copied")).alias("n_live"), F.max("n_owners").alias("most_owners"))
+    owned = stored(ownership(some), "owned")  # stored, so that Spark can split a value that a third of all rows hold
+    values = some.select(F.col("doc_id").alias("d"), F.col("th").alias("t"), F.explode(F.array_distinct(F.transform("spans", lambda x: F.sha2(x["value"], 256)))).alias("value_hash")).distinct()
+    verdict = values.join(owned, "value_hash").groupBy("d", "t").agg(F.count_if("widely_copied").alias("n_copied"), F.count_if(~F.col("widely_copied")).alias("n_live"), F.max("n_owners").alias("most_owners"))
     names = F.array(*(F.lit(k) for k in KINDS))
     text = F.array_join(F.transform("spans", lambda x: F.concat_ws(":", names[x["kind"]], x["start"].cast("string"), x["end"].cast("string"))), ",")
     count = lambda k: F.size(F.filter("spans", lambda x: x["kind"] == k)).cast("long")
-    rows = found.select("doc_id", *(count(k).alias(f"n_{n}") for k, n in enumerate(KINDS)), text.alias("listed"))
+    rows = found.select("doc_id", "th", *(count(k).alias(f"n_{n}") for k, n in enumerate(KINDS)), text.alias("listed"))
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
-    out = rows.join(verdict, "doc_id", "left")
+    out = rows.join(verdict, same_row(), "left")
     return out.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("listed", 256).alias("base_sha256"), F.col("listed").alias("spans"), zero("n_live"), zero("n_copied"), zero("most_owners"))
