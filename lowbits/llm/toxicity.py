@@ -9,7 +9,8 @@ Words are runs of letters and digits, lower-cased.  A model is fitted on a bound
 presence is tied to a category beyond chance.  Scoring reads every word of every text.
 
 Edge cases: null or empty texts and texts without known words score the model's base rate; a
-category without positive or without negative rows predicts its rate; no labelled rows at all predicts 0.
+category without positive or without negative rows predicts its rate; no labelled rows at all predicts 0.  Several
+label rows of one id: the greatest label.
 Ties and repeated rows score alike.  Extra columns are kept by ``accept``, ignored otherwise.
 """
 
@@ -27,22 +28,11 @@ from pyspark.sql import functions as F
 from .bytewords import ALNUM_WORDS, U64, text_slices, word_hashes, words
 from .engine import lean, map_batches
 
-CATEGORIES = ("insult", "contempt", "toxic")
-#: Seed terms that give the first two categories their weak labels among rows labelled toxic.
-SEED_TERMS = {
-    "insult": ("idiot", "moron", "loser", "clown", "stupid", "fool", "dumb"),
-    "contempt": ("trash", "scum", "worthless", "pathetic", "disgusting", "garbage", "filth"),
-}
+#: Categories in the order of the chain, each with its value (0 or 1) over the columns of the label table; the last one decides.
+CATEGORIES = {"low_quality": "1 - quality", "toxic": "toxic"}
 SAMPLE, FOLDS, SEED, THRESHOLD, LEAST_Z = 16000, 3, 11, 0.3, 4.0
 
 
-def seed_hashes(terms: Sequence[str]) -> np.ndarray:
-    raw = " ".join(terms).encode()
-    buf = np.frombuffer(raw, np.uint8)
-    starts, ends, _ = words(buf, np.array([0, len(buf)]), ALNUM_WORDS)
-    return word_hashes(buf, starts, ends, ALNUM_WORDS)
-
-
 def logistic(rows: np.ndarray, cols: np.ndarray, size: tuple[int, int], dense: np.ndarray, y: np.ndarray, l2: float = 0.3, steps: int = 12) -> np.ndarray:
     """Weights of sparse features (ones at rows, cols), then of dense columns, then the intercept (not penalised).
 
@@ -92,7 +82,7 @@ class Chain:
 
     vocabulary: np.ndarray
     weights: list[np.ndarray]
-    categories: Sequence[str] = CATEGORIES
+    categories: Sequence[str] = tuple(CATEGORIES)
     held_out: dict = field(default_factory=dict)
 
     def predict(self, h: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
@@ -115,12 +105,12 @@ def present(vocabulary: np.ndarray, h: np.ndarray, doc: np.ndarray) -> tuple[np.
     return pair // len(vocabulary), pair % len(vocabulary)
 
 
-def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str] = CATEGORIES, folds: int = FOLDS, most_features: int = 4000) -> Chain:
-    """Fit a chain on rows (text, toxic label); earlier categories are toxic rows that hold a seed term."""
+def fit(texts: Sequence[bytes], labels: Sequence[Sequence[int]], categories: Sequence[str] = tuple(CATEGORIES), folds: int = FOLDS, most_features: int = 4000) -> Chain:
+    """Fit a chain on texts with a label for each category."""
     n = len(texts)
-    y_all = np.asarray(toxic, float)
     if not n:
         return Chain(np.zeros(0, U64), [np.array([*[0.0] * c, -20.0]) for c in range(len(categories))], categories)
+    labels = np.asarray(labels, float).reshape(n, len(categories))
     held_h, held_d = [], []
     column = pa.record_batch([pa.array(texts, pa.large_binary())], ["text"])
     for lo, _, buf, off in text_slices(column, "text"):
@@ -132,14 +122,6 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
         held_h.append(x[k])
         held_d.append((d[k] + lo).astype(np.int32))
     h, doc = np.concatenate(held_h), np.concatenate(held_d)
-    labels = np.zeros((n, len(categories)))
-    for c, name in enumerate(categories):
-        if name in SEED_TERMS:
-            has = np.zeros(n, bool)
-            has[doc[np.isin(h, seed_hashes(SEED_TERMS[name]))]] = True
-            labels[:, c] = has & (y_all > 0)
-        else:
-            labels[:, c] = y_all
     vocab = np.unique(h)
     inv = np.searchsorted(vocab, h).astype(np.int32)
     d1 = doc
@@ -174,17 +156,19 @@ def fit(texts: Sequence[bytes], toxic: Sequence[int], categories: Sequence[str]
     return Chain(vocabulary, weights, categories, held)
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 40) -> Chain:
+def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int = 40, categories: dict[str, str] = CATEGORIES) -> Chain:
     """Fit on at most ``sample`` labelled rows and max_mb of text, both drawn by id hash (a documented bound).
 
-    Texts over a 256th of max_mb come after all others, so a long one takes only what the rest leave."""
-    lab = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("toxic").cast("int").alias("toxic")).where("_id is not null and toxic is not null")
-    lab = lab.groupBy("_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64(F.lit(SEED), "_id"), "_id").limit(sample)
-    chosen = {r._id: r.toxic for r in lab.collect()}
+    Texts over a 256th of max_mb come after all others, so a long one takes only what the rest leave.  categories: value of
+    each over the columns of labels; null is 0, but rows without a value of the last are left out."""
+    names, last = tuple(categories), list(categories.values())[-1]
+    lab = labels.where(f"doc_id is not null and ({last}) is not null").select(F.col("doc_id").cast("long").alias("_id"), *(F.coalesce(F.expr(e).cast("int"), F.lit(0)).alias(f"_y{c}") for c, e in enumerate(categories.values())))
+    lab = lab.groupBy("_id").agg(F.array(*(F.max(f"_y{c}") for c in range(len(names)))).alias("_y")).orderBy(F.xxhash64(F.lit(SEED), "_id"), "_id").limit(sample)
+    chosen = {r._id: r._y for r in lab.collect()}
     if not chosen:
-        return fit([], [])
-    ids = docs.sparkSession.createDataFrame(sorted(chosen.items()), "_id long, _toxic int")
-    rows = docs.select(F.col("doc_id").cast("long").alias("_doc"), F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), F.col("_doc") == F.col("_id")).select("_id", "_toxic", "text")
+        return fit([], [], names)
+    ids = docs.sparkSession.createDataFrame(sorted(chosen.items()), "_id long, _y array<int>")
+    rows = docs.select(docs["doc_id"].cast("long").alias("_doc"), F.coalesce(docs["text"], F.lit("")).alias("text")).join(F.broadcast(ids), F.col("_doc") == F.col("_id")).select("_id", "_y", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         texts, left = {}, max_mb << 20
@@ -194,14 +178,11 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, max_mb: int
                     texts[i] = (t, y)
                     left -= len(t)
         order = sorted(texts)
-        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit([texts[i][0] for i in order], [texts[i][1] for i in order]))])], ["chain"])
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit([texts[i][0] for i in order], [texts[i][1] for i in order], names))])], ["chain"])
 
     # one task fits the chain: its input is bounded by sample and max_mb
     fitted = rows.repartition(1).sortWithinPartitions(F.octet_length("text") > (max_mb << 20) // 256, F.xxhash64(F.lit(SEED), "_id"), "_id").mapInArrow(lean(run), "chain binary").first()
-    return pickle.loads(fitted.chain) if fitted else fit([], [])
-
-
-SCORED = "doc_id long, insult double, contempt double, toxic double, rejected boolean"
+    return pickle.loads(fitted.chain) if fitted else fit([], [], names)
 
 
 def _scores(batch: pa.RecordBatch, chain: Chain, text_col: str) -> np.ndarray:
@@ -221,7 +202,8 @@ def score(docs: DataFrame, chain: Chain, threshold: float = THRESHOLD) -> DataFr
         p = np.round(_scores(batch, held.value, "text"), 6)
         yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(p[:, c]) for c in range(p.shape[1])), pa.array(p[:, -1] >= threshold)], ["doc_id", *held.value.categories, "rejected"])
 
-    return map_batches(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, SCORED)
+    schema = f"doc_id long, {', '.join(f'{c} double' for c in chain.categories)}, rejected boolean"
+    return map_batches(docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].alias("text")), run, schema)
 
 
 def accept(docs: DataFrame, chain: Chain, threshold: float = THRESHOLD) -> DataFrame:

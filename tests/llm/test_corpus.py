@@ -77,6 +77,18 @@ def test_line_dedup(spark):
     assert line_dedup.line_report(more(spark, [])).count() == 0
 
 
+def test_line_dedup_with_shared_and_null_ids_and_clashing_columns(spark):
+    other = "a line of its own that nobody else has"
+    rows = [(1, BASE), (5, other + "\n" + BASE), (5, BASE + "\n" + other.replace("own", "mine") + " x y"), (None, BASE), (6, None), (6, None), (7, "word " * 100_000 + "\n" + BASE)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumns({x: F.lit(1) for x in ("_id", "_removed", "removed", "tag", "d", "t", "line", "lines", "n_chars")})
+    out = line_dedup.drop_lines(docs)
+    got = sorted(((r.doc_id or 0, r.text) for r in out.collect()), key=str)
+    assert out.columns == docs.columns and out.schema["n_chars"].dataType == docs.schema["n_chars"].dataType
+    assert got == sorted([(1, BASE), (5, other), (5, other.replace("own", "mine") + " x y"), (0, BASE), (6, None), (6, None), (7, "word " * 100_000)], key=str)
+    assert sorted((r.doc_id or 0, tuple(r.removed)) for r in line_dedup.line_report(docs).collect()) == [(0, ()), (1, ()), (5, (0,)), (5, (1,)), (6, ()), (6, ()), (7, (1,))]
+    assert line_dedup.drop_lines(docs.where("false")).count() == 0
+
+
 def brute_classes(docs, w=5):
     sets = {}
     for i, t in docs:
@@ -122,6 +134,19 @@ def test_jaccard_classes(spark):
     assert kept == {i for i, (_, c) in want.items() if i == c}
 
 
+def test_jaccard_with_shared_and_null_ids(spark):
+    """Rows (1, A+p), (1, B+p), (2, A+q), (3, B+q): both texts under one id link, and so does a text without an id."""
+    a, b = " ".join(f"a{i}" for i in range(60)), " ".join(f"b{i}" for i in range(60))
+    c, p, q = " ".join(f"c{i}" for i in range(60)), " p1 p2", " q1 q2"
+    rows = [(1, a + p), (1, b + p), (2, a + q), (3, b + q), (None, c + p), (7, c + q), (8, c + " r1 r2"), (8, c + " r1 r2"), (9, None), (None, None), (10, "long " * 50_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumns({x: F.lit(1) for x in ("th", "d", "t", "fp", "n", "kind", "component", "_drop")})
+    got = collections.Counter((r.doc_id, r.component_id) for r in ngram_join.classes(docs).collect())
+    assert got == {(1, 1): 2, (2, 1): 1, (3, 1): 1, (None, None): 2, (7, 7): 1, (8, 7): 2, (9, 9): 1, (10, 10): 1}
+    kept = ngram_join.representatives(docs)
+    assert kept.columns == docs.columns and sorted((r.doc_id or 0) for r in kept.collect()) == [0, 0, 1, 1, 7, 9, 10]
+    assert ngram_join.classes(docs.where("false")).count() == 0 and ngram_join.representatives(docs.where("false")).count() == 0
+
+
 def test_large_group_is_split_and_frequent_tokens_use_deletions(spark, monkeypatch):
     """A group of near copies over several blocks, whose tokens are all frequent."""
     monkeypatch.setattr(ngram_join, "BLOCK", 50)
@@ -282,16 +307,18 @@ def test_components_of_chains_and_stars(spark):
 def test_toxicity_chain_held_out():
     rng = np.random.default_rng(0)
     vocab = [f"w{i}" for i in range(300)]
-    bad = ["idiot", "trash", "moron", "scum", "vile1", "vile2"]
+    bad = ["vile0", "vile1", "vile2"]
 
     def sample(n):
         texts, y = [], []
         for _ in range(n):
-            w, toxic = list(rng.choice(vocab, 40)), rng.random() < 0.3
-            if toxic:
+            w, kind = list(rng.choice(vocab, 40)), rng.random()
+            if kind < 0.5:  # toxic texts are those with a bad word that are not junk
                 w[3], w[9] = rng.choice(bad, 2)
+            if 0.3 < kind < 0.7:
+                w[5], w[6] = "junk1", "junk2"
             texts.append(" ".join(w).encode())
-            y.append(int(toxic))
+            y.append((int(0.3 < kind < 0.7), int(kind < 0.3)))
         return texts, y
 
     chain = toxicity.fit(*sample(1500))
@@ -299,22 +326,25 @@ def test_toxicity_chain_held_out():
 
     texts, y = sample(600)
     p = toxicity._scores(pa.record_batch([pa.array([t.decode() for t in texts])], ["text"]), chain, "text")
-    y = np.array(y)
+    y = np.array(y)[:, 1]
     hit = p[:, -1] >= toxicity.THRESHOLD
+    assert chain.weights[1][-2] < 0  # junk speaks against toxic
     assert y[hit].mean() > 0.97 and hit[y > 0].mean() > 0.97
-    assert toxicity.fit([b"a", b"b"], [0, 0]).predict(np.zeros(0, np.uint64), np.zeros(0, np.int64), 1).max() < 0.01
+    assert toxicity.fit([b"a", b"b"], [(0, 0), (0, 0)]).predict(np.zeros(0, np.uint64), np.zeros(0, np.int64), 1).max() < 0.01
     assert toxicity.fit([], []).predict(np.zeros(0, np.uint64), np.zeros(0, np.int64), 1).max() < 0.01
     out_of_fold = chain.held_out["toxic"]
     assert out_of_fold["precision"] > 0.95 and out_of_fold["recall"] > 0.95
 
 
 def test_toxicity_on_odd_rows(spark):
-    docs = more(spark, ["you idiot trash moron", "", None, "fine words"])
+    docs = more(spark, ["you idiot trash moron", "", None, "fine words", "w " * 300_000])
+    docs = docs.unionByName(docs.limit(1).withColumn("doc_id", F.lit(None).cast("long"))).withColumns({c: F.lit(1) for c in ("_id", "_y", "_doc", "toxic", "rejected")})
     labels = spark.createDataFrame([(10**6, 1, 1), (10**6 + 3, 1, 0), (None, 1, 1)], "doc_id long, quality int, toxic int")
     chain = toxicity.train(docs, labels)
-    assert toxicity.score(docs, chain).count() == 4
+    assert toxicity.score(docs, chain).count() == 6 and toxicity.score(docs, chain).columns == ["doc_id", "low_quality", "toxic", "rejected"]
+    assert toxicity.score(docs.where("false"), chain).count() == 0 and toxicity.accept(docs.where("false"), chain).columns == docs.columns
     assert set(toxicity.accept(docs.withColumn("extra", docs.doc_id), chain).columns) == {*docs.columns, "extra"}
-    assert toxicity.accept(docs, toxicity.train(docs, labels.where("false"))).count() == 4
+    assert toxicity.accept(docs, toxicity.train(docs, labels.where("false"))).count() == 6
 
 
 def test_mixing_meets_targets(spark):
@@ -331,6 +361,9 @@ def test_mixing_meets_targets(spark):
         assert abs(r[1] - plan[r.source]) <= 0.5 * 40 + 4
     assert mixing.solve_exponent([], 0.9, 4.0, 0) == 1.0 and mixing.solve_exponent([5], 0.9, 4.0, 5) == 1.0
     assert mixing.mix(docs.where("false")).count() == 0
+    odd = docs.unionByName(docs.selectExpr("cast(null as long) as doc_id", "text", "cast(null as string) as source").limit(3)).withColumns({c: F.lit(1) for c in ("block", "s", "b", "pass", "tokens", "n_tokens")})
+    one, two = (sorted(map(tuple, mixing.mix(odd, 0.6, None, blocks=8, keep=("text",), broadcast_rows=n).collect()), key=str) for n in (10**6, 0))
+    assert one == two and len(one) > 400 and all(r[2] > 0 and r[-1].strip() for r in one) and sum(r[0] is None for r in one) >= 3
 
 
 def test_url_lists(spark):
@@ -371,9 +404,9 @@ def test_feed_lists_hot_parent_domains(spark):
 
 
 def test_training_text_is_drawn_by_id_hash(spark, monkeypatch):
-    monkeypatch.setattr(toxicity, "fit", lambda texts, toxic: tuple(texts))
+    monkeypatch.setattr(toxicity, "fit", lambda texts, toxic, names: tuple(texts))
     docs = spark.createDataFrame([(0, "long " * 180_000), *((i, f"{i} " + "x" * 4000) for i in range(1, 401))], "doc_id long, text string")
-    labels = docs.select("doc_id").selectExpr("doc_id", "0 as toxic")
+    labels = docs.select("doc_id").selectExpr("doc_id", "1 as quality", "0 as toxic")
     seen = {int(t.split()[0]) for t in toxicity.train(docs, labels, max_mb=1) if t[:4] != b"long"}
     assert len(seen) > 250 and max(seen) > 350
 
