@@ -10,8 +10,9 @@ or their second half.  Forms that share a half emit every variant with one word
 members of the first kind of key are one edit apart, so a key needs only its earliest member, first per
 task, then over all tasks; no group is expanded to pairs.  The words of every pair found are compared.
 
-Edge cases: null and empty texts have no words; lines without words stay; ties (repeated rows of one doc_id and line)
-stay together; rows with a null doc_id rank last and keep all their lines.  An empty table gives an empty table;
+Edge cases: null and empty texts have no words; lines without words stay; repeated rows of one doc_id and text tie and
+stay together, lines of two texts under one doc_id and line number are ordered by a hash of the text; rows with a null
+doc_id take no part and keep all their lines.  An empty table gives an empty table;
 other columns are kept by ``drop_lines`` and ignored by ``repeated_lines``.
 """
 
@@ -30,12 +31,18 @@ from .engine import lean, map_batches, partitions, stored
 LEAST_WORDS = 8
 _K = [np.uint64(0x2545F4914F6CDD1D), np.uint64(0xD1342543DE82EF95)]
 _M64 = (1 << 64) - 1
-ROW = "kind int, part int, doc_id long, line int, n int, h1 long, h2 long, blob binary"
-_SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("line", pa.int32()), ("n", pa.int32()), ("h1", pa.int64()), ("h2", pa.int64()), ("blob", pa.binary())])
+ROW = "kind int, part int, doc_id long, line long, n int, h1 long, h2 long, blob binary"
+_SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("line", pa.int64()), ("n", pa.int32()), ("h1", pa.int64()), ("h2", pa.int64()), ("blob", pa.binary())])
 LINE, HALVES, SHARED = range(3)
 _HALF = np.dtype([("key", "<u8"), ("form", "<u8")])
-_SPOT = np.dtype([("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("role", "<i4")])
+_SPOT = np.dtype([("key", "<u8"), ("doc", "<i8"), ("line", "<i8"), ("role", "<i4")])
 REPLACE, SELF, SHORTER = 0, 1, 2
+#: A line's place in its document: its number, then so many bits of a hash of the text, which tell texts of one id apart.
+TAG_BITS = 24
+
+
+def _tag(text: F.Column) -> F.Column:
+    return F.xxhash64(text).bitwiseAND(F.lit((1 << TAG_BITS) - 1))
 
 
 def _part(h: np.ndarray, parts: int) -> np.ndarray:
@@ -111,16 +118,17 @@ def _shared_forms(e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def _lines(parts: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids = batch.column(0)
+            ids, tag = batch.column(0), batch.column(2).to_numpy()
             for lo, hi, buf, off in text_slices(batch, "text"):
                 starts, ends, doc = words(buf, off, ALNUM_WORDS)
                 a, b, d, line = line_bounds(buf, off, starts, doc)
                 if not len(a):
                     continue
+                line = line << TAG_BITS | tag[lo:hi][d]
                 h = word_hashes(buf, starts, ends, ALNUM_WORDS)
                 s = Spans(h)
                 form, second = s.run(a, b), Spans(h, 1).run(a, b)
-                yield _rows(LINE, _part(form, parts).astype(np.int32), ids.slice(lo, hi - lo).take(pa.array(d)), line.astype(np.int32), (b - a).astype(np.int32), form.view(np.int64), second.view(np.int64), None)
+                yield _rows(LINE, _part(form, parts).astype(np.int32), ids.slice(lo, hi - lo).take(pa.array(d)), line, (b - a).astype(np.int32), form.view(np.int64), second.view(np.int64), None)
                 k = b - a >= LEAST_WORDS
                 a, b, form = a[k], b[k], form[k]
                 if not len(a):
@@ -156,8 +164,8 @@ def _screen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield _rows(SHARED, np.zeros(len(forms), np.int32), None, None, None, forms.view(np.int64), None, None)
 
 
-_PAIR = "part int, doc_id long, line int, by_doc long, by_line int, blob binary, words string"
-_PAIR_SCHEMA = pa.schema([("part", pa.int32()), ("doc_id", pa.int64()), ("line", pa.int32()), ("by_doc", pa.int64()), ("by_line", pa.int32()), ("blob", pa.binary()), ("words", pa.string())])
+_PAIR = "part int, doc_id long, line long, by_doc long, by_line long, blob binary, words string"
+_PAIR_SCHEMA = pa.schema([("part", pa.int32()), ("doc_id", pa.int64()), ("line", pa.int64()), ("by_doc", pa.int64()), ("by_line", pa.int64()), ("blob", pa.binary()), ("words", pa.string())])
 
 
 def _pair_rows(part, doc, line, by_doc=None, by_line=None, blob=None, text=None) -> pa.RecordBatch:
@@ -192,16 +200,17 @@ def _variants(parts: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         low = bytes(ALNUM_WORDS[1])
         for batch in batches:
-            ids, chosen = batch.column(0).to_numpy(), batch.column(2).to_pylist()
+            ids, tag, chosen = batch.column(0).to_numpy(), batch.column(2).to_numpy(), batch.column(3).to_pylist()
             for lo, hi, buf, off in text_slices(batch, "text"):
                 starts, ends, doc = words(buf, off, ALNUM_WORDS)
                 a, b, d, line = line_bounds(buf, off, starts, doc)
                 h = word_hashes(buf, starts, ends, ALNUM_WORDS)
-                want = np.array([(k, x) for k, xs in enumerate(chosen[lo:hi]) for x in set(xs)], np.int64).reshape(-1, 2)
+                want = np.array([(k, x >> TAG_BITS) for k, xs in enumerate(chosen[lo:hi]) for x in set(xs) if x & (1 << TAG_BITS) - 1 == tag[lo + k]], np.int64).reshape(-1, 2)
                 k = np.isin(d << 32 | line, want[:, 0] << 32 | want[:, 1])
                 a, b, d, line = a[k], b[k], d[k], line[k]
                 if not len(a):
                     continue
+                line = line << TAG_BITS | tag[lo:hi][d]
                 n, s = b - a, Spans(h)
                 i = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
                 aa, bb, owner = np.repeat(a, n), np.repeat(b, n), np.repeat(np.arange(len(a)), n)
@@ -221,7 +230,7 @@ def _variants(parts: int):
                 raw = buf.tobytes()
                 st, en = starts.tolist(), ends.tolist()
                 text = [b" ".join(raw[st[w] : en[w]] for w in range(x, y)).translate(low).decode() for x, y in zip(a.tolist(), b.tolist())]
-                yield _pair_rows((np.arange(len(a)) % parts).astype(np.int32), doc_ids, line.astype(np.int32), text=text)
+                yield _pair_rows((np.arange(len(a)) % parts).astype(np.int32), doc_ids, line, text=text)
 
     return run
 
@@ -252,16 +261,16 @@ def within_one_edit(a: list, b: list) -> bool:
 
 
 def repeated_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id and the sorted numbers (from 0) of the lines that go, for documents that lose any."""
-    parts = partitions(docs.sparkSession)
-    docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).where("doc_id is not null")
+    """doc_id, tag of the text and the sorted numbers (from 0) of the lines that go, for documents that lose any."""
+    parts = partitions(docs.sparkSession, docs)
+    docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"), _tag(docs[text_col]).alias("tag")).where("doc_id is not null")
     state = stored(docs.mapInArrow(lean(_lines(parts)), ROW).repartitionById(parts, F.col("part")).mapInArrow(lean(_screen), ROW), "lines")
     lines = state.where(f"kind = {LINE}").select("doc_id", "line", "n", "h1", "h2")
     shared = state.where(f"kind = {SHARED}").select(F.col("h1").alias("form")).distinct()
     forms = stored(lines.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.max("n").alias("n"), F.count("*").alias("many")), "forms")
     chosen = forms.where(f"n >= {LEAST_WORDS}").join(shared, forms["h1"] == shared["form"], "left_semi")
     chosen = chosen.groupBy(F.col("first.doc_id").alias("doc_id")).agg(F.collect_list("first.line").alias("lines"))  # lines of one document
-    found = stored(docs.join(chosen, "doc_id").select("doc_id", "text", "lines").mapInArrow(lean(_variants(parts)), _PAIR).repartitionById(parts, F.col("part")).mapInArrow(lean(_meet), _PAIR), "pairs")
+    found = stored(docs.join(chosen, "doc_id").select("doc_id", "text", "tag", "lines").mapInArrow(lean(_variants(parts)), _PAIR).repartitionById(parts, F.col("part")).mapInArrow(lean(_meet), _PAIR), "pairs")
     texts = found.where("words is not null").select(F.col("doc_id").alias("d"), F.col("line").alias("l"), "words").dropDuplicates(["d", "l"])
     pairs = found.where("by_doc is not null").select("doc_id", "line", "by_doc", "by_line").distinct()
     both = pairs.join(texts.withColumnRenamed("words", "mine"), (pairs["doc_id"] == F.col("d")) & (pairs["line"] == F.col("l"))).drop("d", "l")
@@ -271,28 +280,30 @@ def repeated_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         ok = [within_one_edit(x.split(" "), y.split(" ")) for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
         yield batch.filter(pa.array(ok, pa.bool_())).select([0, 1])
 
-    near = map_batches(both.select("doc_id", "line", "mine", "words"), verify, "doc_id long, line int").distinct()
+    near = map_batches(both.select("doc_id", "line", "mine", "words"), verify, "doc_id long, line long").distinct()
     near = near.select(F.struct("doc_id", "line").alias("near"))
     bad = forms.join(near, forms["first"] == near["near"], "left").where("near is not null or many > 1").select(F.col("h1").alias("x"), F.col("h2").alias("y"), "first", F.col("near").isNotNull().alias("gone"))
     out = lines.join(bad, (lines["h1"] == bad["x"]) & (lines["h2"] == bad["y"])).where("gone or struct(doc_id, line) > first")
-    return out.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.collect_list("line"))).alias("removed"))
+    number, tag = F.shiftright("line", TAG_BITS).cast("int"), F.col("line").bitwiseAND(F.lit((1 << TAG_BITS) - 1))
+    return out.groupBy("doc_id", tag.alias("tag")).agg(F.array_sort(F.collect_set(number)).alias("removed"))  # of one document
 
 
 def line_report(docs: DataFrame) -> DataFrame:
     """doc_id, n_lines, n_removed, removed (line numbers), one row per row of docs."""
-    gone = repeated_lines(docs)
-    all_docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.when(F.length("text") > 0, F.size(F.split("text", "\n"))).otherwise(0).cast("long").alias("n_lines"))
-    out = all_docs.join(gone, "doc_id", "left")
+    gone = repeated_lines(docs).withColumnsRenamed({"doc_id": "d", "tag": "t"})
+    own = docs.select(docs["doc_id"].cast("long").alias("doc_id"), _tag(docs["text"]).alias("tag"), F.when(F.length(docs["text"]) > 0, F.size(F.split(docs["text"], "\n"))).otherwise(0).cast("long").alias("n_lines"))
+    out = own.join(gone, (F.col("doc_id") == F.col("d")) & (F.col("tag") == F.col("t")), "left")
     none = F.expr("cast(array() as array<int>)")
     return out.select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce("removed", none).alias("removed"))
 
 
 def drop_lines(docs: DataFrame) -> DataFrame:
     """docs, all columns, without repeated lines; n_chars, where there is one, counts what is left."""
-    gone = repeated_lines(docs).select(F.col("doc_id").alias("_id"), F.col("removed").alias("_removed"))
-    both = docs.join(gone, docs["doc_id"] == gone["_id"], "left")
-    kept = F.expr("array_join(filter(split(text, '\\n'), (x, i) -> not array_contains(_removed, i)), '\\n')")
-    out = both.withColumn("text", F.when(F.col("_removed").isNull(), F.col("text")).otherwise(kept))
+    gone = repeated_lines(docs)
+    text, removed = docs["text"], gone["removed"]
+    kept = F.array_join(F.filter(F.split(text, "\n"), lambda x, i: ~F.array_contains(removed, i)), "\n")
+    out = {c: docs[c] for c in docs.columns} | {"text": F.when(removed.isNull(), text).otherwise(kept)}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_removed").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+        out["n_chars"] = F.when(removed.isNull(), docs["n_chars"]).otherwise(F.length(kept)).cast(docs.schema["n_chars"].dataType)
+    both = docs.join(gone, (docs["doc_id"].cast("long") == gone["doc_id"]) & (_tag(text) == gone["tag"]), "left")
+    return both.select(*(x.alias(c) for c, x in out.items()))
