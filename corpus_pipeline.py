@@ -33,8 +33,8 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row per document and pass of the temperature mixture."""
-    return mixing.mix(docs)
+    """One row per document and pass of the temperature mixture, with its text; rows that line dedup emptied are never drawn."""
+    return mixing.mix(docs, keep=("text", "lang"))
 
 
 STAGES = [("toxicity", drop_toxic), ("line dedup", drop_repeated_lines), ("ngram jaccard join", keep_one_per_group), ("decontamination", drop_contaminated), ("mixing", mix_sources)]
