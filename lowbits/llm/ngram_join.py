@@ -6,10 +6,11 @@ at least 3/4; classes are the connected components of all links.  The result is
 1. Count: distinct sets send their tokens, packed, to partitions by token; a set can only link if
    three quarters of its tokens occur in another set.  Copies of a set meet in its fingerprint, so they count once.
 2. Allocate: tokens of the sets left are hashed to segments by size band.  Two linked sets differ in at
-   most H tokens, so segments whose allowances add up to H + 1 can't all differ by more.  Rare tokens get
-   fine segments, compared as they are (allowance 1); frequent ones (more than ``FREQUENT`` sets, where an
-   exact key would meet many others) get coarse segments compared with one-deletion neighbourhoods (allowance 2).
-   Rare segments come first, so sets with enough rare tokens spend nothing on frequent ones.
+   most H tokens, so segments whose allowances add up to H + 1 can't all differ by more.  Each token carries the class
+   of its document frequency (its binary logarithm), and each class is served the way that costs less for a unit of
+   allowance: fine segments, compared as they are (allowance 1), whose keys meet as many sets as have the token, or coarse
+   segments compared with one-deletion neighbourhoods (allowance 2), which send more keys that meet next to none by chance.
+   Segments are spent in the order of their cost, so sets with enough cheap tokens spend nothing on dear ones.
 3. Join: equal keys are linked to the smallest fingerprint that has them, first within a task, then over
    all tasks, so no group is ever expanded to pairs.  Components of these edges hold every possible link.
 4. Verify: inside a component all pairs are compared exactly, by matrix products over blocks of bounded
@@ -17,7 +18,8 @@ at least 3/4; classes are the connected components of all links.  The result is
 
 Words are runs of other characters than space and controls 9 to 13, A-Z lower-cased.  Fewer than w words: the whole
 sequence is the one shingle.  Null, empty or wordless texts: the empty set, linked with nothing.  Repeated rows
-and ties need no rule: a class is named by its smallest doc_id.  A null doc_id keeps its row, with component null.
+and ties need no rule: a class is named by its smallest doc_id.  A null doc_id keeps its row, with component null, and
+links others as any row does; rows are told apart by id and text hash, so two texts under one id have a class each.
 Tokens and sets are identified by 64-bit hashes.  Extra columns are ignored; an empty table gives an empty table.
 """
 
@@ -32,13 +34,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytewords import U64, mix, shingle_sets, text_slices
-from .engine import components, lean, map_batches, partitions, stored
+from .engine import components, lean, map_batches, partitions, same_row, stored
 
-W, FREQUENT, LOCALLY_FREQUENT, BLOCK = 5, 16, 64, 1024
+W, LOCALLY_FREQUENT, BLOCK = 5, 64, 1024
+#: Costs of a key that is sent and of a set met under it; tokens of a coarse segment.
+KEY_COST, MEETING_COST, COARSE = 1.0, 0.1, 4
+#: Classes of document frequency; the last one: frequent within a single task already.
+CLASSES = 16
 FLUSH_TOKENS = 1 << 20
-ROW = "kind int, part int, doc_id long, n long, fp long, blob binary"
+ROW = "kind int, part int, doc_id long, n long, fp long, blob binary, th long"
 REGISTRY, TOKENS, MATCHED, KEYS, EDGES = range(5)
-_SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("blob", pa.binary())])
+_SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("blob", pa.binary()), ("th", pa.int64())])
 _ENTRY = np.dtype([("fp", "<u8"), ("key", "<u8")])
 _PAIR = np.dtype([("a", "<u8"), ("b", "<u8")])
 
@@ -49,7 +55,7 @@ def _part(h: np.ndarray, parts: int) -> np.ndarray:
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
     cols = list(zip(*rows)) if rows else [[]] * 6
-    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, _SCHEMA)], schema=_SCHEMA)
+    return pa.RecordBatch.from_arrays([*(pa.array(c, f.type) for c, f in zip(cols, _SCHEMA)), pa.nulls(len(rows), pa.int64())], schema=_SCHEMA)
 
 
 def _by_part(kind: int, part: np.ndarray, entries: np.ndarray) -> list[tuple]:
@@ -77,7 +83,7 @@ def _emit(w: int, parts: int):
             flag = np.zeros(len(tok), bool)
             flag[order] = np.repeat(many, count)
             e = np.empty(int(flag.sum()), _ENTRY)
-            e["fp"], e["key"] = fp[doc[flag]], _short(tok[flag], _part(tok[flag], parts), np.ones(int(flag.sum()), bool))
+            e["fp"], e["key"] = fp[doc[flag]], _short(tok[flag], _part(tok[flag], parts), np.full(int(flag.sum()), CLASSES - 1))
             out += _by_part(MATCHED, _part(e["fp"], parts), e)
             tok, doc = tok[~flag], doc[~flag]
         p = _part(tok, parts)
@@ -114,7 +120,7 @@ def _emit(w: int, parts: int):
                         size += len(s)
                 n, f = np.array([x[0] for x in registry], np.int64), np.array([x[1] for x in registry], U64)
                 z = pa.nulls(hi - lo, pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(hi - lo, REGISTRY, np.int32)), pa.array(_part(f, parts).astype(np.int32)), ids.slice(lo, hi - lo), pa.array(n), pa.array(f.view(np.int64)), z], schema=_SCHEMA)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(hi - lo, REGISTRY, np.int32)), pa.array(_part(f, parts).astype(np.int32)), ids.slice(lo, hi - lo), pa.array(n), pa.array(f.view(np.int64)), z, batch.column(2).slice(lo, hi - lo)], schema=_SCHEMA)
                 if size >= FLUSH_TOKENS:
                     yield _rows(pack(held, fps))
                     held, fps, size = [], [], 0
@@ -124,9 +130,24 @@ def _emit(w: int, parts: int):
     return run
 
 
-def _short(token: np.ndarray, part: np.ndarray, frequent: np.ndarray) -> np.ndarray:
-    """What a token's partition sees of it, its low 40 bits and the partition, and in the last bit whether it is frequent."""
-    return (mix(token & U64((1 << 40) - 1) | part.astype(U64) << U64(40)) & ~U64(1)) | frequent.astype(U64)
+def _short(token: np.ndarray, part: np.ndarray, kind: np.ndarray) -> np.ndarray:
+    """What a token's partition sees of it, its low 40 bits and the partition, and in the last bits the class of its frequency."""
+    return (mix(token & U64((1 << 40) - 1) | part.astype(U64) << U64(40)) & ~U64(CLASSES - 1)) | kind.astype(U64)
+
+
+def exact_cost(kind: int) -> float:
+    """Of a unit of allowance, where a segment is compared as it is: one key, which meets every set with the token."""
+    return KEY_COST + MEETING_COST * 2.0**kind
+
+
+def deletion_cost() -> float:
+    """Of a unit of allowance, where a segment is compared with one-deletion neighbourhoods: a key for the whole and one for each token left out."""
+    return (COARSE + 1) * KEY_COST / 2
+
+
+def allocation() -> np.ndarray:
+    """For each class: its place in the order of cost; classes served by deletion neighbourhoods share the last place, CLASSES."""
+    return np.array([c if exact_cost(c) <= deletion_cost() else CLASSES for c in range(CLASSES)])
 
 
 def _match(parts: int):
@@ -185,7 +206,7 @@ def _match(parts: int):
             df = np.repeat(df, df)
             k = (df > 1) | sure
             e = np.empty(int(k.sum()), _ENTRY)
-            e["fp"], e["key"] = fp[k], _short(key[k], key[k] >> U64(40), (df[k] > FREQUENT) | sure[k])
+            e["fp"], e["key"] = fp[k], _short(key[k], key[k] >> U64(40), np.where(sure[k], CLASSES - 1, np.minimum(np.log2(df[k]).astype(np.int64), CLASSES - 2)))
             yield _rows(_by_part(MATCHED, _part(e["fp"], parts), e))
 
     return run
@@ -206,19 +227,19 @@ def bands(n: int) -> list[tuple[int, int]]:
 def segment_keys(n: int, unmatched: int, tokens: np.ndarray) -> np.ndarray:
     """Keys of a set of n tokens, of which ``unmatched`` occur nowhere else; tokens: its other ones (short form)."""
     out = []
-    frequent, ident = (tokens & U64(1)) > 0, mix(tokens >> U64(1))
+    place, ident = allocation()[(tokens & U64(CLASSES - 1)).astype(np.int64)], mix(tokens >> U64(4))
     for upper, most in bands(n):
         need = most + 1 - unmatched
         if need <= 0:
             continue
         fine = upper <= 128
-        slots = np.where(frequent, U64(1 << 40 if fine else upper // 4), U64(1 << 40 if fine else 8 * upper))
-        seg = (mix(ident + U64(upper)) >> U64(20)) % slots + (frequent.astype(U64) << U64(60))
+        slots = np.where(place == CLASSES, U64(1 << 40 if fine else upper // COARSE), U64(1 << 40 if fine else 8 * upper))
+        seg = (mix(ident + U64(upper)) >> U64(20)) % slots + (place.astype(U64) << U64(56))
         order = np.argsort(seg, kind="stable")
         s, v = seg[order], ident[order]
         first = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1]))) if len(s) else np.zeros(0, np.int64)
         size = np.diff(np.append(first, len(s)))
-        double = (size > 1) & (s[first] >> U64(60) > 0)
+        double = (size > 1) & (s[first] >> U64(56) == CLASSES)
         total = np.cumsum(1 + double)
         if not len(total) or total[-1] < need:
             raise RuntimeError(f"segments of a set of {n} tokens allow {total[-1] if len(total) else 0}, {need} are needed")
@@ -374,19 +395,24 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def classes(docs: DataFrame, w: int = W, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id: one row per row of docs."""
+    return _classes(docs, w, id_col, text_col).drop("th")
+
+
+def _classes(docs: DataFrame, w: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """classes, with the hash of each row's text."""
     spark = docs.sparkSession
-    parts = partitions(spark)
-    docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
+    parts = partitions(spark, docs)
+    docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"), F.xxhash64(docs[text_col]).alias("th"))
     sent = docs.mapInArrow(lean(_emit(w, parts)), ROW).repartitionById(parts, F.col("part"))
     matched = sent.mapInArrow(lean(_match(parts)), ROW).repartitionById(parts, F.col("part"))
     state = stored(matched.mapInArrow(lean(_allocate(parts)), ROW), "sets")
-    registry = state.where(f"kind = {REGISTRY}").select("doc_id", "n", "fp")
+    registry = state.where(f"kind = {REGISTRY}").select("doc_id", "th", "n", "fp")
     edges = state.where(f"kind in ({KEYS}, {EDGES})").repartitionById(parts, F.col("part")).mapInArrow(lean(_join_keys(parts)), ROW)
     edges = edges.repartitionById(parts, F.col("part")).mapInArrow(lean(_distinct_edges), "a long, b long")
     clusters = stored(components(edges), "clusters")
     sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
-    first = registry.where("n > 0").groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
-    members = clusters.join(sizes, "component").join(first, clusters["node"] == first["fp"]).select("doc_id", "fp", "component", "blocks")
+    first = registry.where("n > 0").groupBy("fp").agg(F.min(F.struct("doc_id", "th")).alias("one"))
+    members = clusters.join(stored(sizes, "sizes"), "component").join(first, clusters["node"] == first["fp"]).select(F.col("one.doc_id").alias("d"), F.col("one.th").alias("t"), "fp", "component", "blocks")
 
     def sets(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for lo, hi, buf, off in text_slices(batch, "text"):
@@ -394,20 +420,21 @@ def classes(docs: DataFrame, w: int = W, id_col: str = "doc_id", text_col: str =
             part = batch.slice(lo, hi - lo)
             yield pa.RecordBatch.from_arrays([part.column(1), part.column(2), part.column(3), s], ["fp", "component", "blocks", "tokens"])
 
-    given = map_batches(docs.join(members, "doc_id").select("text", "fp", "component", "blocks"), sets, "fp long, component long, blocks int, tokens binary")
+    given = map_batches(docs.join(members, same_row()).select("text", "fp", "component", "blocks"), sets, "fp long, component long, blocks int, tokens binary")
     mine = F.pmod(F.xxhash64(F.lit(3), "fp"), F.col("blocks")).cast("int")
     dealt = given.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("component", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.when(F.col("mine") <= F.col("other"), 0).otherwise(1).alias("side"), "fp", "tokens")
     links = dealt.repartition(parts, "component", "i", "j").mapInArrow(lean(_verify), "a long, b long")
     joined = components(links)
-    named = registry.join(joined, registry["fp"] == joined["node"], "left").select("doc_id", "n", "fp", F.coalesce("component", "fp").alias("class"))
-    least = named.groupBy("class").agg(F.min("doc_id").alias("component_id"), F.count("*").alias("many")).where("many > 1").select("class", "component_id")
+    named = stored(registry.join(joined, registry["fp"] == joined["node"], "left").select("doc_id", "th", "n", F.coalesce("component", "fp").alias("class")), "named")
+    # stored, so that Spark can split the class that a third of all rows may be in
+    least = stored(named.groupBy("class").agg(F.min("doc_id").alias("component_id"), F.count("*").alias("many")).where("many > 1").select("class", "component_id"), "least")
     out = named.join(least, "class", "left")
     alone = (F.col("n") == 0) | F.col("component_id").isNull()
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), F.lit(None)).when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    return out.select("doc_id", "th", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), F.lit(None)).when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
 def representatives(docs: DataFrame, w: int = W) -> DataFrame:
-    """The rows of docs, all columns, but those whose class has a smaller doc_id."""
-    drop = classes(docs, w).where("component_id < doc_id").select(F.col("doc_id").alias("_drop")).distinct()
-    return docs.join(drop, docs["doc_id"] == drop["_drop"], "left_anti")
+    """The rows of docs, all columns, but those whose class has a smaller doc_id.  Rows without an id stay."""
+    drop = _classes(docs, w).where("component_id < doc_id").select("doc_id", "th").distinct()
+    return docs.join(drop, (docs["doc_id"].cast("long") == drop["doc_id"]) & (F.xxhash64(docs["text"]) == drop["th"]), "left_anti")

@@ -149,5 +149,5 @@ ORACLES: dict[str, str] = {
     p as (select k.source, block, size, weight, exponent, total * weight as budget, unnest(range(0, cast(ceil(total * weight / tokens) as bigint) + 1)) as pass from k join w on w.source is not distinct from k.source),
     o as (select *, coalesce(sum(size) over (partition by source order by pass, {_H("'7:' || coalesce(source, '') || ':' || pass || ':' || block")}, block rows between unbounded preceding and 1 preceding), 0) as position from p)
     select d.doc_id, d.source, d.n_tokens, d.block, o.pass, cast(o.position as bigint) as position, round(o.weight, 6) as weight, round(o.exponent, 6) as exponent
-    from d join o on o.source is not distinct from d.source and o.block = d.block where o.size > 0 and o.position + o.size / cast(2 as double) <= o.budget""",
+    from d join o on o.source is not distinct from d.source and o.block = d.block where d.n_tokens > 0 and o.size > 0 and o.position + o.size / cast(2 as double) <= o.budget""",
 }

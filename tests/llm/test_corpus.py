@@ -167,16 +167,24 @@ def test_segments_meet_for_every_pair_within_reach():
     """Pigeonhole: two sets within the bound always share a key, for rare and frequent tokens."""
     rng = np.random.default_rng(1)
     for n in (1, 2, 5, 20, 97, 128, 129, 400, 513, 900):
-        for frequent in (0, 1):
-            base = (rng.integers(1, 1 << 62, n).astype(np.uint64) << np.uint64(1)) | np.uint64(frequent)
+        for kinds in ([0], [2, 3], [9, 15], list(range(ngram_join.CLASSES))):
+            token = lambda m: rng.integers(1, 1 << 59, m).astype(np.uint64) << np.uint64(4) | rng.choice(kinds, m).astype(np.uint64)  # noqa: E731, B023
+            base = token(n)
             for _ in range(4):
                 lost = int(n // 7)
                 other = base.copy()
-                other[rng.choice(n, lost, replace=False)] = rng.integers(1, 1 << 62, lost).astype(np.uint64) << np.uint64(1) | np.uint64(frequent)
+                other[rng.choice(n, lost, replace=False)] = token(lost)
                 a, b = (ngram_join.segment_keys(n, 0, np.unique(x)) for x in (base, other))
                 assert len(np.intersect1d(a, b))
 
 
+def test_allocation_follows_cost():
+    place = ngram_join.allocation()
+    for c in range(ngram_join.CLASSES):
+        assert (place[c] < ngram_join.CLASSES) == (ngram_join.exact_cost(c) <= ngram_join.deletion_cost())
+    assert place[0] == 0 and place[-1] == ngram_join.CLASSES and (np.diff(place) >= 0).all()
+
+
 def brute_strings(docs, length):
     raw = {i: (t or "").encode() for i, t in docs}
     count = collections.Counter(b[k : k + length] for b in raw.values() for k in range(len(b) - length + 1))
