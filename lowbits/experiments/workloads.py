@@ -5,9 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import theory
+from ..functions import hashing, theory
 from ..functions.hashing import PRIME
-from ..operators import blocks, estimators, metrics, pairs, planes, sets, signature, simulate
+from ..operators import blocks, estimators, exact, metrics, pairs, planes, sets, signature, simulate
 from ..sources.io import load, stored
 
 #: Word pairs of documents that stand in for the ten pairs of the experiment, in its order.
@@ -18,6 +18,7 @@ UNIVERSE = 1000
 FOLD_PAIRS = (0, 2, 4, 8)
 KS, REPS = [10, 20, 50, 100, 200], 25000
 CURVE_KS, CURVE_REPS = [64, 128, 256], 2
+OWN_K, OWN_REPS = 50, 100
 GAIN_KS = [*range(16, 257, 16), 320, 384, 448, 512]
 WORD_THRESHOLDS, DOC_THRESHOLDS = [0.3, 0.4, 0.5, 0.6, 0.7, 0.8], [0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9]
 
@@ -58,6 +59,32 @@ def fold_mse(spark: SparkSession, sf: str, reps: int = REPS, ks=KS) -> DataFrame
     return simulate.bias_mse(spark, counted(spark, sf, FOLD_PAIRS), ks, reps, (1,), True)
 
 
+def signature_bias(spark: SparkSession, sf: str, k: int = OWN_K, reps: int = OWN_REPS, bs=(1, 2, 3)) -> DataFrame:
+    """As bias_mse, but every repetition takes k true permutations of the given documents through the word sets' own minima."""
+    docs = load(spark, sf, "documents").select("doc_id", "text")
+    size = sets.postings(docs).select("elem").distinct().count()
+    words = sorted({x for p in PAIRS for x in p})
+    s = stored(sets.postings(docs).where(F.col("set_id").isin(words)), "words")
+    universe = sets.postings(docs).select("elem").distinct()
+    z = s.join(hashing.permutations(universe, k * reps), "elem").groupBy("set_id", "j").agg(F.min("rank").alias("z"), F.count("*").alias("f"))
+    wanted = F.broadcast(spark.createDataFrame([(*p, "-".join(p)) for p in PAIRS], "w1 string, w2 string, pair string"))
+    x, y = z.alias("x"), z.alias("y")
+    met = x.join(wanted, F.col("x.set_id") == F.col("w1")).join(y, (F.col("y.set_id") == F.col("w2")) & (F.col("x.j") == F.col("y.j")))
+    apart = F.col("x.z").bitwiseXOR(F.col("y.z"))
+    shares = [F.avg((apart == 0).cast("int")).alias("e32"), *(F.avg((apart.bitwiseAND(F.lit((1 << b) - 1)) == 0).cast("int")).alias(f"e{b}") for b in bs)]
+    drawn = met.groupBy("pair", "w1", "w2", F.floor(F.col("x.j") / k).alias("rep"), F.col("x.f").alias("f1"), F.col("y.f").alias("f2")).agg(*shares)
+    truth = exact.of_pairs(s, spark.createDataFrame(PAIRS, "id_l string, id_r string")).select(F.col("id_l").alias("w1"), F.col("id_r").alias("w2"), "r")
+    each = F.explode(F.array(F.struct(F.lit("full").alias("estimator"), F.lit(32).alias("b"), F.col("e32").alias("e_hat")), *(F.struct(F.lit("low").alias("estimator"), F.lit(b).alias("b"), F.col(f"e{b}").alias("e_hat")) for b in bs))).alias("e")
+    d = drawn.join(truth, ["w1", "w2"]).select("pair", "rep", "r", (F.col("f1") / F.lit(float(size))).alias("r1"), (F.col("f2") / F.lit(float(size))).alias("r2"), each).select("pair", "rep", "r", "r1", "r2", "e.*", F.lit(k).alias("k"))
+    d = stored(d, "drawn")
+    guess = F.when(F.col("estimator") == "full", F.col("e_hat"))
+    for b in bs:
+        floor, slope = theory.floor_slope(F.col("r1"), F.col("r2"), b)
+        guess = guess.when(F.col("b") == b, (F.col("e_hat") - floor) / slope)
+    points = metrics.bias_mse(stored(d.withColumn("r_hat", guess), "guesses"), ["pair", "estimator", "b", "k", "r", "r1", "r2"])
+    return simulate.theory_variance(points).select("pair", "estimator", "b", "k", "reps", *(F.round(c, 6).alias(c) for c in ("bias", "variance", "mse", "theory")))
+
+
 def retrieval(s: DataFrame, kind: str, domain: float, ks: list[int], bs: list[int], full_bits: int, thresholds: list[float], reps: int = 1) -> DataFrame:
     """Precision and recall of every estimator, k and threshold over all pairs of sets, averaged over repetitions.
 

@@ -3,6 +3,7 @@
 kinds
   affine31   (a x + c) mod 2^31 - 1 of premixed 31-bit ids; portable to any SQL engine
   mix64      xxhash64(elem, seed_j), shifted to 63 bits
+  md5        first 60 bits of md5(seed:j:elem); wide and portable to any SQL engine, at the price of a digest per value
   perm       true random permutation of a finite universe: rank of md5(j:elem)
   bijective  invertible 62-bit mixing rounds, in Arrow batches (see signature.nested)
 """
@@ -29,10 +30,12 @@ def md5_long(c: Column) -> Column:
 
 
 def to_domain(c: Column, bits: int = 31) -> Column:
-    """Hash to a universe: 31 bits (portable), 40 bits, or 63 bits (xxhash64)."""
+    """Hash to a universe: 31, 40 or 60 bits (md5, portable), or 63 bits (xxhash64)."""
     if bits == 31:
         return F.pmod(md5_long(c), F.lit(PRIME)).cast("long")
-    if bits in (40, 63):
+    if bits in (40, 60):
+        return md5_long(c).bitwiseAND(F.lit((1 << bits) - 1))
+    if bits == 63:
         return F.xxhash64(c).bitwiseAND(F.lit((1 << bits) - 1))
     raise ValueError(bits)
 
@@ -49,12 +52,14 @@ def family(kind: str, k: int, seed: int = 0, elem: str = "elem") -> list[Column]
         return [F.pmod(F.lit(a) * x + F.lit(c), F.lit(PRIME)) for a, c in coefficients(k, seed)]
     if kind == "mix64":
         return [F.shiftrightunsigned(F.xxhash64(x, F.lit(md5_int(f"m{seed}:{j}"))), 1) for j in range(k)]
+    if kind == "md5":
+        return [md5_long(F.concat(F.lit(f"{seed}:{j}:"), x.cast("string"))) for j in range(k)]
     raise ValueError(kind)
 
 
 def domain_size(kind: str, universe: int | None = None) -> float:
     """Size of the permuted values' range: densities must refer to it."""
-    return {"affine31": float(PRIME), "mix64": 2.0**63, "bijective": 2.0**62, "perm": float(universe or 0)}[kind]
+    return {"affine31": float(PRIME), "mix64": 2.0**63, "md5": 2.0**60, "bijective": 2.0**62, "perm": float(universe or 0)}[kind]
 
 
 #: Elements of one permutation that a sort holds; larger universes are ranked in so many ranges of the key.

@@ -40,7 +40,9 @@ def build_full(sets: DataFrame, kind: str = "affine31", k: int = 64, seed: int =
 
 
 def build_narrow(sets: DataFrame, kind: str = "affine31", k: int = 64, seed: int = 0) -> DataFrame:
-    """(set_id, j, z) by exploding permutations: the plain way, for comparison."""
+    """(set_id, j, z) by exploding permutations: the plain way, for comparison and for very many permutations."""
+    if kind == "perm":
+        return sets.join(hashing.permutations(sets, k, seed), "elem").groupBy("set_id", "j").agg(F.min("rank").alias("z"))
     hashed = sets.select("set_id", F.posexplode(F.array(*hashing.family(kind, k, seed))).alias("j", "h"))
     return hashed.groupBy("set_id", "j").agg(F.min("h").alias("z"))
 
@@ -72,7 +74,10 @@ def narrow(full: DataFrame) -> DataFrame:
     return full.select("set_id", F.posexplode("z").alias("j", "z"))
 
 
-def merge(a: DataFrame, b: DataFrame) -> DataFrame:
-    """Signatures of unions: element-wise minima of full-width signatures.  f is the sum, exact for disjoint sets only."""
+def merge(a: DataFrame, b: DataFrame, disjoint: bool = False) -> DataFrame:
+    """Signatures of unions: element-wise minima of full-width signatures.
+
+    f, the size of the union, is the sum where the caller knows the sets to be disjoint; sizes of overlapping sets don't add up, so it is null."""
     both = a.unionByName(b).select("set_id", "f", F.posexplode("z").alias("j", "z")).groupBy("set_id", "j").agg(F.min("z").alias("z"), F.sum("f").alias("f"))
-    return both.groupBy("set_id").agg(F.max("f").alias("f"), F.transform(F.array_sort(F.collect_list(F.struct("j", "z"))), lambda x: x["z"]).alias("z"))
+    f = F.max("f") if disjoint else F.lit(None).cast("long")
+    return both.groupBy("set_id").agg(f.alias("f"), F.transform(F.array_sort(F.collect_list(F.struct("j", "z"))), lambda x: x["z"]).alias("z"))

@@ -10,6 +10,7 @@ QUERIES = {
     "exp_table1_data": w.table1_data,
     "exp_bias_mse": w.bias_mse,
     "exp_fold_mse": w.fold_mse,
+    "exp_signature_bias": w.signature_bias,
     "exp_pr_words": w.pr_words,
     "exp_pr_docs": w.pr_docs,
     "exp_space_gain": w.space_gain,
@@ -65,7 +66,28 @@ def _gain(b: int) -> str:
     return f"round({b}*{_R}*(1-{_R})/({_E}*(1-{_E})/power({_S},2)), 4)"
 
 
+def _own_bias() -> str:
+    words = ", ".join(f"'{x}'" for x in sorted({y for p in w.PAIRS for y in p}))
+    q = lambda f, b: f"(({f}/d)*power(1-{f}/d,{2**b - 1})/(1-power(1-{f}/d,{2**b})))"
+    low = lambda b: (f"(({q('f1', b)}*f2+{q('f2', b)}*f1)/(f1+f2))", f"(1-({q('f1', b)}*f1+{q('f2', b)}*f2)/(f1+f2))")
+    rows = ["select pair, 'full' as estimator, 32 as b, r, e32 as r_hat, r*(1-r)/k as theory from g"]
+    for b in (1, 2, 3):
+        f, sl = low(b)
+        e = f"({f}+{sl}*r)"
+        rows.append(f"select pair, 'low', {b}, r, (e{b}-{f})/{sl}, {e}*(1-{e})/(k*{sl}*{sl}) from g")
+    return f"""with w as materialized {words_sql()}, s as materialized (select * from w where set_id in ({words})), u as materialized (select distinct elem from w),
+        z as materialized (select set_id, j, min(rank) as z, count(*) as f from s join (select elem, j, row_number() over (partition by j order by md5(concat('0:', j, ':', elem)), elem) - 1 as rank from u, range({w.OWN_K * w.OWN_REPS}) p(j)) using (elem) group by set_id, j),
+        p(w1, w2) as (values {_WANTED}),
+        t as (select w1, w2, count(y.elem) as a from p join s x on x.set_id = w1 left join s y on y.set_id = w2 and y.elem = x.elem group by 1, 2),
+        g as materialized (select w1 || '-' || w2 as pair, cast(x.f as double) as f1, cast(y.f as double) as f2, any_value(cast(a as double)/(x.f+y.f-a)) as r, cast((select count(*) from u) as double) as d, cast({w.OWN_K} as double) as k,
+            avg(case when x.z = y.z then 1 else 0 end) as e32, {", ".join(f"avg(case when xor(x.z, y.z) & {2**b - 1} = 0 then 1 else 0 end) as e{b}" for b in (1, 2, 3))}
+            from p join z x on x.set_id = w1 join z y on y.set_id = w2 and x.j = y.j join t using (w1, w2) group by w1, w2, x.j // {w.OWN_K}, x.f, y.f),
+        e as ({" union all ".join(rows)})
+        select pair, estimator, cast(b as integer) as b, cast({w.OWN_K} as integer) as k, count(*) as reps, round(avg(r_hat - r), 6) as bias, round(var_pop(r_hat), 6) as variance, round(avg((r_hat-r)*(r_hat-r)), 6) as mse, round(any_value(theory), 6) as theory from e group by pair, estimator, b"""
+
+
 ORACLES = {
+    "exp_signature_bias": _own_bias(),
     "exp_table1_data": f"""with p as materialized (select * from {words_sql()} where set_id in ({", ".join(f"'{x}'" for x in sorted({y for p in w.PAIRS for y in p}))})), f as materialized (select set_id, count(*) as f from p group by 1), w(w1, w2) as (values {_WANTED}),
         t as (select w1, w2, count(*) as a from w join p x on x.set_id = w1 join p y on y.set_id = w2 and x.elem = y.elem group by 1, 2),
         u as (select w1, w2, x.f as f1, y.f as f2, a, cast((select count(*) from documents) as double) as d from t join f x on x.set_id = w1 join f y on y.set_id = w2)

@@ -12,6 +12,7 @@ from ..sources.io import load, spread, stored
 K, W, TOP, R0 = 64, 5, 2633, 0.3
 DOMAIN = float(PRIME)
 KEY_BITS = 16
+WIDE, K_WIDE = 60, 32
 
 # ---- SQL building blocks (DuckDB) -------------------------------------------------------------------
 
@@ -20,12 +21,12 @@ def toks(source: str = "documents", key: str = "doc_id", text: str = "text") ->
     return f"(select {key} as set_id, list_filter(string_split(regexp_replace(lower({text}), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g'), ' '), lambda x: x <> '') as t from {source})"
 
 
-def hashed(s: str = "s") -> str:
-    return f"cast('0x' || substr(md5({s}), 1, 15) as bigint) % {PRIME}"
+def hashed(s: str = "s", bits: int = 31) -> str:
+    return f"cast('0x' || substr(md5({s}), 1, 15) as bigint)" + (f" % {PRIME}" if bits == 31 else f" & {(1 << bits) - 1}")
 
 
-def shingles_sql(source: str = "documents", key: str = "doc_id", text: str = "text", w: int = W) -> str:
-    return f"(select distinct set_id, {hashed()} as elem from (select set_id, unnest(list_distinct([array_to_string(t[i:i+{w - 1}], ' ') for i in range(1, len(t)-{w}+2)])) as s from {toks(source, key, text)} where len(t) >= {w}))"
+def shingles_sql(source: str = "documents", key: str = "doc_id", text: str = "text", w: int = W, bits: int = 31) -> str:
+    return f"(select distinct set_id, {hashed(bits=bits)} as elem from (select set_id, unnest(list_distinct([array_to_string(t[i:i+{w - 1}], ' ') for i in range(1, len(t)-{w}+2)])) as s from {toks(source, key, text)} where len(t) >= {w}))"
 
 
 def chars_sql(w: int = 9) -> str:
@@ -43,6 +44,7 @@ def vocab_sql(top: int = TOP) -> str:
     return f"(select w.set_id, w.elem from {words_sql()} w semi join (select set_id, count(*) n from {words_sql()} group by 1 order by n desc, set_id limit {top}) v using (set_id))"
 
 
+CUSTOMERS = "(select distinct o_custkey as set_id, l_partkey as elem from lineitem join orders on l_orderkey = o_orderkey)"
 PARTS = "(select distinct l_suppkey as set_id, l_partkey as elem from lineitem)"
 USERS = "(select distinct event_type || ':' || cast(cast(ts as date) as varchar) as set_id, user_id as elem from events)"
 PAGES_TEXT = "regexp_replace(regexp_replace(html, '(?s)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g')"
@@ -64,6 +66,11 @@ def full_sql(s: str, k: int = K, seed: int = 0) -> str:
     return f"(select set_id, j, min((ca*elem+cc) % {PRIME}) as z from {s} s, {coefficients_sql(k, seed)} group by set_id, j)"
 
 
+def wide_sql(s: str, k: int, seed: int = 0) -> str:
+    """Minima under the md5 family."""
+    return f"(select set_id, cast(j as integer) as j, min(cast('0x' || substr(md5(concat('{seed}:', j, ':', elem)), 1, 15) as bigint)) as z from {s} s, range({k}) p(j) group by set_id, j)"
+
+
 def perm_sql(s: str, k: int = K, seed: int = 0) -> str:
     return f"""(select set_id, j, min(rank) as z from {s} s join (select elem, j, row_number() over (partition by j order by md5(concat('{seed}:', j, ':', elem)), elem) - 1 as rank
         from (select distinct elem from {s}) u, range({k}) p(j)) using (elem) group by set_id, j)"""
@@ -87,18 +94,18 @@ def floor_slope_sql(b: int, d: str) -> tuple[str, str]:
     return f"(({q1}*f_r+{q2}*f_l)/(f_l+f_r))", f"(1-({q1}*f_l+{q2}*f_r)/(f_l+f_r))"
 
 
-def estimate_sql(s: str, full: str, b: int, d: str, kind: str = "low", r0: float = R0) -> str:
+def estimate_sql(s: str, full: str, b: int, d: str, kind: str = "low", r0: float = R0, k: int = K) -> str:
     fl, sl = floor_slope_sql(1 if kind == "fold" else b, d)
     if kind == "fold":
         plane = f"(select set_id, bit_xor(w) as p0 from (select set_id, j // 64 as w_no, {bit_(0)} as w from {full} group by 1, 2) group by set_id)"
-        miss, r_hat, err = "bit_count(xor(l.p0, r.p0))", f"(sqrt(greatest(2*e_hat-1, 0))+1-2*{fl})/(2*{sl})", f"case when 2*e_hat > 1 then sqrt(e_hat*(1-e_hat)/(4*{K}*{sl}*{sl}*(2*e_hat-1))) end"
+        miss, r_hat, err = "bit_count(xor(l.p0, r.p0))", f"(sqrt(greatest(2*e_hat-1, 0))+1-2*{fl})/(2*{sl})", f"case when 2*e_hat > 1 then sqrt(e_hat*(1-e_hat)/(4*{k}*{sl}*{sl}*(2*e_hat-1))) end"
     else:
         plane = planes_sql(full, b)
         miss = "bit_count(" + " | ".join(f"xor(l.p{i}, r.p{i})" for i in range(b)) + ")"
         r_hat = "e_hat" if kind == "full" else f"(e_hat-{fl})/{sl}"
-        err = f"sqrt(e_hat*(1-e_hat)/{K})" + ("" if kind == "full" else f"/{sl}")
-    return f"""with s as {s}, f as (select set_id, count(*) as f from s group by 1), pl as {plane},
-    e as (select l.set_id as id_l, r.set_id as id_r, x.f as f_l, y.f as f_r, cast({K} - {miss} as bigint) as matches, cast({K} - {miss} as double)/{K} as e_hat
+        err = f"sqrt(e_hat*(1-e_hat)/{k})" + ("" if kind == "full" else f"/{sl}")
+    return f"""with s as materialized {s}, f as (select set_id, count(*) as f from s group by 1), pl as {plane},
+    e as (select l.set_id as id_l, r.set_id as id_r, x.f as f_l, y.f as f_r, cast({k} - {miss} as bigint) as matches, cast({k} - {miss} as double)/{k} as e_hat
           from pl l join pl r on l.set_id < r.set_id join f x on x.set_id = l.set_id join f y on y.set_id = r.set_id),
     h as (select *, {r_hat} as r_hat, {err} as std_err from e),
     p as (select l.set_id as id_l, r.set_id as id_r, count(*) as a from s l join s r on l.elem = r.elem and l.set_id < r.set_id group by 1, 2)
@@ -117,6 +124,10 @@ def doc_sets(spark, sf) -> DataFrame:
     return sets.shingles(docs(spark, sf), w=W)
 
 
+def wide_doc_sets(spark, sf, bits: int = WIDE) -> DataFrame:
+    return sets.shingles(docs(spark, sf), w=W, bits=bits)
+
+
 def word_sets(spark, sf, top: int = TOP) -> DataFrame:
     return sets.postings(docs(spark, sf), top_n=top)
 
@@ -125,6 +136,13 @@ def supplier_sets(spark, sf) -> DataFrame:
     return sets.baskets(load(spark, sf, "lineitem"), "l_suppkey", "l_partkey")
 
 
+def customer_sets(spark, sf) -> DataFrame:
+    """Parts each customer ordered."""
+    orders = load(spark, sf, "orders").select("o_orderkey", "o_custkey")
+    lines = load(spark, sf, "lineitem").select("l_orderkey", "l_partkey")
+    return sets.baskets(lines.join(orders, lines.l_orderkey == orders.o_orderkey), "o_custkey", "l_partkey")
+
+
 def user_sets(spark, sf) -> DataFrame:
     e = load(spark, sf, "events").select(F.concat_ws(":", "event_type", F.to_date("ts").cast("string")).alias("set_key"), "user_id")
     return sets.baskets(e, "set_key", "user_id")
@@ -227,11 +245,16 @@ def sig_full_perm(spark, sf):
     return signature.narrow(signature.build_full(word_sets(spark, sf), "perm", 16)).select(F.col("set_id").alias("word"), F.col("j").cast("int").alias("j"), "z")
 
 
+def sig_full_wide(spark, sf):
+    """60-bit minima of shingles hashed to 60 bits: no chance overlaps at any corpus size."""
+    return signature.narrow(signature.build_full(wide_doc_sets(spark, sf), "md5", 16)).select("set_id", F.col("j").cast("int").alias("j"), "z")
+
+
 def sig_merge(spark, sf):
     """Minima of the union of two halves of the elements, merged, are the minima of the whole."""
     s = doc_sets(spark, sf)
     a, b = (signature.build_full(s.where(F.pmod("elem", F.lit(2)) == i), k=16) for i in (0, 1))
-    return signature.narrow(signature.merge(a, b)).select("set_id", F.col("j").cast("int").alias("j"), "z")
+    return signature.narrow(signature.merge(a, b, disjoint=True)).select("set_id", F.col("j").cast("int").alias("j"), "z")
 
 
 def _planes(spark, sf, b):
@@ -311,11 +334,35 @@ def est_fold_words(spark, sf):
     return _with_truth(estimators.r_fold(estimators.pair_all(planes.fold(sig, K), K, 1, plane="fold"), K, d), s)
 
 
-def est_low_suppliers(spark, sf):
-    s = stored(supplier_sets(spark, sf), "suppliers")
-    d = _universe(s)
-    sig = planes.from_full(signature.build_full(s, "perm", K), K, 2)
-    return _with_truth(estimators.r_low(estimators.pair_all(sig, K, 2), K, 2, d), s, 0.0)
+def _est_wide(bits, b=None):
+    """Document estimates from minima of so many bits; b: from their lowest b bits alone."""
+
+    def run(spark, sf):
+        s = stored(wide_doc_sets(spark, sf, bits), "wide")
+        full = signature.build_full(s, "md5", K_WIDE)
+        if b is None:
+            sig = planes.from_full(full, K_WIDE, bits)
+            return _with_truth(estimators.r_full(estimators.pair_all(sig, K_WIDE, bits, R0), K_WIDE), s)
+        return _with_truth(pairs.all_pairs(planes.from_full(full, K_WIDE, b), K_WIDE, b, R0, 2.0**WIDE), s)
+
+    return run
+
+
+def _est_baskets(source, r0):
+    """Two-bit estimates of sets in a small universe, by its true permutations."""
+
+    def run(spark, sf):
+        s = stored(source(spark, sf), "baskets")
+        d = _universe(s)
+        sig = planes.from_full(signature.build_full(s, "perm", K), K, 2)
+        return _with_truth(estimators.r_low(estimators.pair_all(sig, K, 2, r0 or None, d), K, 2, d), s, r0)
+
+    return run
+
+
+def est_low_pages(spark, sf):
+    s = stored(page_sets(spark, sf), "pages")
+    return _with_truth(pairs.all_pairs(planes.from_full(signature.build_full(s, k=K), K, 2), K, 2, R0, DOMAIN), s)
 
 
 def est_joint_size(spark, sf):
@@ -376,13 +423,15 @@ QUERIES = {
         sets_shingle_count, sets_char_shingle_count, sets_postings_df, sets_top_vocab, sets_density, sets_embedding_top,
         exact_doc_resemblance, exact_word_resemblance, exact_supplier_resemblance, exact_user_day_resemblance, exact_page_resemblance,
         exact_benchmark_containment, exact_conversation_resemblance, exact_distance, exact_distance_triangle,
-        sig_full_affine, sig_full_narrow, sig_full_nested, sig_full_perm, sig_merge, sig_fold,
-        est_full_docs, est_full_words, est_full_minima, est_fold_words, est_low_suppliers, est_joint_size, est_interval,
+        sig_full_affine, sig_full_narrow, sig_full_nested, sig_full_perm, sig_full_wide, sig_merge, sig_fold,
+        est_full_docs, est_full_words, est_full_minima, est_fold_words, est_low_pages, est_joint_size, est_interval,
         pairs_allpairs_b1, pairs_size_filter, pairs_prefix_filter, pairs_banded, pairs_topk_neighbors, dedup_components, dedup_exact_md5,
     )
 }
 QUERIES |= {f"sig_planes_b{b}": _sig_planes(b) for b in (1, 2, 3, 4)}
 QUERIES |= {f"est_low_b{b}_docs": _est_docs(b) for b in (1, 2, 3, 4)}
+QUERIES |= {"est_full_60bit_docs": _est_wide(60), "est_full_40bit_docs": _est_wide(40), "est_low_b2_wide_docs": _est_wide(60, 2)}
+QUERIES |= {"est_low_suppliers": _est_baskets(supplier_sets, 0.0), "est_low_customers": _est_baskets(customer_sets, R0), "est_low_user_days": _est_baskets(user_sets, R0)}
 QUERIES |= {f"est_low_b{b}_words": _est_words(b) for b in (1, 2, 3, 4)}
 _DOCS, _VOC = shingles_sql(), vocab_sql()
 _D_WORDS = f"(select count(distinct elem) from {_VOC})"
@@ -421,7 +470,7 @@ ORACLES = {
     "exact_benchmark_containment": f"with b as {shingles_sql('benchmark', 'item_id')}, f as (select set_id, count(*) as f from b group by 1) select b.set_id as id_s, d.set_id as id_l, count(*) as a, any_value(f.f) as f_s, cast(count(*) as double)/any_value(f.f) as share from b join {_DOCS} d using (elem) join f on f.set_id = b.set_id group by 1, 2 having cast(count(*) as double)/any_value(f.f) >= 0.5",
     "exact_conversation_resemblance": exact_sql(shingles_sql(_CONV, "conv_id")),
     "exact_distance": f"with s as {PARTS}, f as (select set_id, count(*) as f from s group by 1), p as (select l.set_id as x, r.set_id as y, count(*) as a from s l join s r on l.elem = r.elem and l.set_id < r.set_id group by 1, 2) select l.set_id as id_l, r.set_id as id_r, 1 - cast(coalesce(a,0) as double)/(l.f+r.f-coalesce(a,0)) as d from f l join f r on l.set_id < r.set_id left join p on x = l.set_id and y = r.set_id",
-    "exact_distance_triangle": "select cast(0 as bigint) as n_violations",
+    "exact_distance_triangle": f"with s as materialized {USERS}, f as materialized (select set_id, count(*) as f from s group by 1), p as materialized (select l.set_id as x, r.set_id as y, count(*) as a from s l join s r on l.elem = r.elem and l.set_id <> r.set_id group by 1, 2), d as materialized (select l.set_id as x, r.set_id as y, 1 - cast(coalesce(a,0) as double)/(l.f+r.f-coalesce(a,0)) as d from f l join f r on l.set_id <> r.set_id left join p on p.x = l.set_id and p.y = r.set_id) select count(*) as n_violations from d a join d b on b.x = a.y join d c on c.x = a.x and c.y = b.y where c.d > a.d + b.d + 1e-12",
     "sig_full_affine": _NARROW16,
     "sig_full_narrow": _NARROW16,
     "sig_full_nested": _NARROW16,
@@ -432,6 +481,10 @@ ORACLES = {
     "est_full_words": estimate_sql(_VOC, perm_sql(_VOC), 31, _D_WORDS, "full"),
     "est_full_minima": estimate_sql(_VOC, perm_sql(_VOC), 31, _D_WORDS, "full"),
     "est_fold_words": estimate_sql(_VOC, perm_sql(_VOC, 2 * K), 1, _D_WORDS, "fold"),
+    "sig_full_wide": f"select set_id, j, z from {wide_sql(shingles_sql(bits=WIDE), 16)}",
+    "est_low_pages": estimate_sql(PAGES, full_sql("s"), 2, str(PRIME)),
+    "est_low_customers": estimate_sql(CUSTOMERS, perm_sql("s"), 2, "(select count(distinct elem) from s)"),
+    "est_low_user_days": estimate_sql(USERS, perm_sql("s"), 2, "(select count(distinct elem) from s)"),
     "est_low_suppliers": estimate_sql(PARTS, perm_sql(PARTS), 2, f"(select count(distinct elem) from {PARTS})", "low", 0.0),
     "est_joint_size": f"select id_l, id_r, f_l, f_r, round(r/(1+r)*(f_l+f_r), 4) as a_hat from (select *, r_raw as r from ({estimate_sql(_VOC, perm_sql(_VOC), 4, _D_WORDS).replace('round(e_hat, 6) as e_hat', 'r_hat as r_raw')}))",
     "est_interval": f"select id_l, id_r, round(r_raw - 1.96*s_raw, 6) as low, round(r_raw + 1.96*s_raw, 6) as high from ({estimate_sql(_VOC, perm_sql(_VOC), 2, _D_WORDS).replace('round(e_hat, 6) as e_hat', 'r_hat as r_raw, std_err as s_raw')})",
@@ -444,5 +497,8 @@ ORACLES = {
     "dedup_exact_md5": "select min(doc_id) as doc_id, count(*) as copies from documents group by text",
 }
 ORACLES |= {f"sig_planes_b{b}": _planes_long(b) for b in (1, 2, 3, 4)}
+_WIDE_DOCS, _DOCS_40 = shingles_sql(bits=WIDE), shingles_sql(bits=40)
+ORACLES |= {"est_low_b2_wide_docs": estimate_sql(_WIDE_DOCS, wide_sql("s", K_WIDE), 2, str(2.0**WIDE), k=K_WIDE).replace(q_("f_l", str(2.0**WIDE), 2), "0.25").replace(q_("f_r", str(2.0**WIDE), 2), "0.25")}
+ORACLES |= {f"est_full_{bits}bit_docs": estimate_sql(docs_, wide_sql("s", K_WIDE), bits, str(2.0**WIDE), "full", k=K_WIDE) for bits, docs_ in ((60, _WIDE_DOCS), (40, _DOCS_40))}
 ORACLES |= {f"est_low_b{b}_docs": estimate_sql(_DOCS, full_sql(_DOCS), b, str(PRIME)) for b in (1, 2, 3, 4)}
 ORACLES |= {f"est_low_b{b}_words": estimate_sql(_VOC, perm_sql(_VOC), b, _D_WORDS) for b in (1, 2, 3, 4)}

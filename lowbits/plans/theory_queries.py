@@ -174,6 +174,11 @@ def fold_storage(spark, sf):
     return _out(grid(spark, [1]), one=theory.storage_factor(r, r1, r2, b), folded=F.round(theory.storage_factor_fold(r, r1, r2), 3)).withColumns({"cost_one": F.lit(theory.hash_cost(K)).cast("long"), "cost_folded": F.lit(theory.hash_cost(K, True)).cast("long")})
 
 
+def words_compared(spark, sf):
+    """64-bit words that comparing one pair costs, by bits and samples."""
+    return spark.createDataFrame([(b, k, theory.words_compared(b, k)) for b in (1, 2, 3, 4, 32, 64) for k in (64, 100, 500)], "b long, k long, words long")
+
+
 def table1_printed(spark, sf):
     r, r1, r2, b = _cols()
     df = spark.createDataFrame(PRINTED, "pair string, r1 double, r2 double, r double")
@@ -222,7 +227,7 @@ def sample_size(spark, sf):
 
 QUERIES = {
     f"theory_{f.__name__}": f
-    for f in (residue, floor_slope, match_prob, chance_mass, var_full, var_low, var_fold, pmf_sum, storage_factor, storage_gain, gain_equal, gain_limit, gain_onebit, inflation, fold_storage, table1_printed, headlines)
+    for f in (residue, floor_slope, match_prob, chance_mass, var_full, var_low, var_fold, pmf_sum, storage_factor, storage_gain, gain_equal, gain_limit, gain_onebit, inflation, fold_storage, words_compared, table1_printed, headlines)
 } | {"planner_best_b": best_b, "planner_sample_size": sample_size}
 
 _EQ = [(x, x) for x in EQUAL]
@@ -243,6 +248,7 @@ ORACLES = {
     "theory_gain_limit": f"select distinct b, r1, r2, round(cast(32 as double)/b*(1-{_Q1})/(1-{_Q32}), 6) as value from {grid_sql(BITS[:4], _EQ)}",
     "theory_gain_onebit": _sql(grid_sql([1], _EQ), value="32*r/(r+1-r1)", value64="64*r/(r+1-r1)"),
     "theory_inflation": _sql(grid_sql(BITS[:4]), value=f"{var_low_()}/(r*(1-r))"),
+    "theory_words_compared": "select cast(b as bigint) as b, cast(k as bigint) as k, cast(b * ceil(k / cast(64 as double)) as bigint) as words from (values (1), (2), (3), (4), (32), (64)) x(b), (values (64), (100), (500)) y(k)",
     "theory_fold_storage": f"select b, r1, r2, r, round({bfac_('1')}, 6) as one, round({VAR_FOLD.replace('KK', '1')}, 3) as folded, cast({K} as bigint) as cost_one, cast({2 * K} as bigint) as cost_folded from {grid_sql([1])}",
     "theory_table1_printed": f"select pair, r1, r2, r, round({bfac_('32')}/{bfac_('1')}, 6) as gain32, round({bfac_('64')}/{bfac_('1')}, 6) as gain64 from (values {_values(PRINTED)}) t(pair, r1, r2, r)",
     "theory_headlines": HEADLINES_SQL,
