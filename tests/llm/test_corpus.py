@@ -419,23 +419,41 @@ def test_training_text_is_drawn_by_id_hash(spark, monkeypatch):
     assert len(seen) > 250 and max(seen) > 350
 
 
-def test_pipeline(spark, tmp_path):
+def test_pipeline(spark):
+    """The whole output against brute force: lines, classes and benchmark words, then the mixture of what is left."""
     import corpus_pipeline
+    from test_scans import brute_contamination
 
     out = corpus_pipeline.run(spark, SF)
-    ids = {r.doc_id for r in out.select("doc_id").distinct().collect()}
-    docs = spark.read.parquet(f"{SF}/documents.parquet")
-    step = docs
-    from lowbits.llm import decontam
-
+    docs, bench = (spark.read.parquet(f"{SF}/{t}.parquet") for t in ("documents", "benchmark"))
     chain = toxicity.train(docs, spark.read.parquet(f"{SF}/labels.parquet"))
     bad = {r.doc_id for r in toxicity.score(docs, chain).where("rejected").collect()}
-    rows = [(r.doc_id, r.text) for r in step.collect() if r.doc_id not in bad]
-    gone = brute_lines(rows)
-    rows = [(i, "\n".join(x for k, x in enumerate(t.split("\n")) if k not in gone[i])) for i, t in rows]
+    given_ = {r.doc_id: r for r in docs.collect()}
+    gone = brute_lines([(i, r.text) for i, r in given_.items() if i not in bad])
+    rows = [(i, "\n".join(x for k, x in enumerate(given_[i].text.split("\n")) if k not in gone[i])) for i in gone]
     classes = brute_classes(rows)
     rows = [(i, t) for i, t in rows if classes[i][1] == i]
-    found = decontam.contamination(spark.createDataFrame(rows, "doc_id long, text string"), spark.read.parquet(f"{SF}/benchmark.parquet"))
-    hit = {r.doc_id for r in found.where("size(hit) > 0").collect()}
-    assert ids <= {i for i, t in rows} - hit
+    hit = brute_contamination(rows, [(r.item_id, r.text) for r in bench.collect()])
+    rows = [(i, t, given_[i].source, given_[i].lang) for i, t in rows if not hit[i][4]]
+    want = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, source string, lang string"), keep=("text", "lang"))
+    assert sorted(out.columns) == sorted(want.columns)
+    key = lambda r: (r.doc_id, r["pass"], r.position, r.block, r.text, r.lang, r.source, r.n_tokens)
+    got = sorted(map(key, out.collect()))
+    assert got == sorted(map(key, want.collect())) and len(got) > 100 and all(r[-1] > 0 for r in got)
     assert [n for n, _ in corpus_pipeline.STAGES] == ["toxicity", "line dedup", "ngram jaccard join", "decontamination", "mixing"]
+
+
+def test_pipeline_stages_on_odd_tables(spark, tmp_path):
+    """Every stage on an empty table and on one with null, empty, repeated and clashing values; labels and benchmark are empty or given."""
+    import corpus_pipeline
+
+    docs = spark.createDataFrame([(None, None, None, None, None), (1, "", "en", "s", 0), (1, BASE, "en", None, 5), (1, BASE, "en", None, 5), (2, BASE, None, "s", 5), (3, None, "en", "s", 0)], "doc_id long, text string, lang string, source string, n_chars long")
+    docs = docs.withColumns({c: F.lit("x") for c in ("_id", "_removed", "_drop", "tag", "th", "d", "t", "block", "pass", "_y")})
+    given(spark).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.read.parquet(f"{SF}/labels.parquet").limit(0).write.parquet(f"{tmp_path}/labels.parquet")
+    spark.read.parquet(f"{SF}/benchmark.parquet").limit(0).write.parquet(f"{tmp_path}/benchmark.parquet")
+    for name, stage in corpus_pipeline.STAGES:
+        for sf in (SF, str(tmp_path)):
+            empty = stage(spark, docs.where("false"), sf)
+            some = stage(spark, docs, sf).collect()
+            assert empty.count() == 0 and (name == "mixing" or (empty.columns == docs.columns and len(some) == {"ngram jaccard join": 5}.get(name, 6)))
