@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..sources.io import stored
 from . import blocks, estimators
+from .components import components
 from .sets import sizes
 
 
@@ -105,23 +106,6 @@ def top_neighbors(pairs: DataFrame, n: int, by: str = "r_hat") -> DataFrame:
     return both.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n)
 
 
-def components(nodes: DataFrame, edges: DataFrame, rounds: int = 50) -> DataFrame:
-    """(node, component): smallest node reachable, by label propagation with pointer jumping.
-
-    Each round is written to the shared folder of spark.checkpoint.dir, so lineage stays short."""
-    e = stored(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
-    labels = stored(nodes.select("node", F.col("node").alias("component")).distinct(), "labels")
-    for _ in range(rounds):
-        around = e.join(labels, e.b == labels.node).groupBy("a").agg(F.min("component").alias("m"))
-        near = labels.join(around, labels.node == around.a, "left").select("node", F.least("component", "m").alias("c"), F.col("component").alias("was"))
-        jump = labels.select(F.col("node").alias("via"), F.col("component").alias("far"))
-        after = stored(near.join(jump, near.c == jump.via).select("node", F.least("c", "far").alias("component"), "was"), "labels")
-        labels = after.select("node", "component")
-        if after.where("component <> was").isEmpty():
-            return labels
-    raise RuntimeError("components did not settle")
-
-
 def duplicate_classes(sets: DataFrame, ids: DataFrame, r0: float) -> DataFrame:
     """set_id, component_id, keep: one set of each class of pairs with r >= r0 is kept.
 
@@ -133,5 +117,5 @@ def duplicate_classes(sets: DataFrame, ids: DataFrame, r0: float) -> DataFrame:
     alike = stored(own, "alike")
     e = prefix_join(sets.join(alike.where("set_id = first").select("set_id"), "set_id", "left_semi"), r0).select(F.col("id_l").alias("a"), F.col("id_r").alias("b"))
     e = e.unionByName(alike.where("set_id <> first").select(F.col("first").alias("a"), F.col("set_id").alias("b")))
-    c = components(ids.select(F.col("set_id").alias("node")), e)
+    c = components(e, ids.select(F.col("set_id").alias("node")))
     return c.select(F.col("node").alias("set_id"), F.col("component").alias("component_id"), (F.col("node") == F.col("component")).alias("keep"))

@@ -31,11 +31,22 @@ def scratch(spark: SparkSession, label: str) -> str:
     return f"{base.rstrip('/')}/lowbits-{label}-{uuid.uuid4().hex}"
 
 
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """df written to the shared folder and read back: computed once, lineage cut, lost executors survived."""
+def written(df: DataFrame, label: str) -> tuple[DataFrame, str]:
+    """(df written to the shared folder and read back, its path)."""
     path = scratch(df.sparkSession, label)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path), path
+
+
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """df written to the shared folder and read back: computed once, lineage cut, lost executors survived."""
+    return written(df, label)[0]
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a written folder that nothing reads any more."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def round_trip(df: DataFrame, fmt: str, path: str) -> DataFrame:

@@ -267,3 +267,15 @@ def test_streamed_signature_equals_batch(spark):
     e = spark.read.parquet(f"{sf}/events.parquet").select(F.col("event_type").alias("set_id"), F.col("user_id").alias("elem")).distinct()
     want = {(r.set_id, r.j): r.z for r in signature.narrow(signature.build_full(e, k=stream_queries.K)).collect()}
     assert got == want
+
+
+def test_components_of_long_chains_in_any_order(spark):
+    """Chains with names in order and at random, stars, loops and null ends; rounds stay few."""
+    from lowbits.operators.components import components
+
+    rng = np.random.default_rng(8)
+    chains = [list(range(1000, 1300)), rng.permutation(np.arange(5000, 5400)).tolist()]
+    edges = [(int(x), int(y)) for c in chains for x, y in zip(c, c[1:])] + [(7, i) for i in range(20, 60)] + [(3, 3), (None, 4), (4, None)]
+    got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long"), spark.createDataFrame([(3,), (1000,)], "node long")).collect()}
+    assert got == {**dict.fromkeys(range(1000, 1300), 1000), **dict.fromkeys(range(5000, 5400), 5000), 7: 7, **dict.fromkeys(range(20, 60), 7), 3: 3}
+    assert components(spark.createDataFrame([], "a long, b long")).count() == 0
