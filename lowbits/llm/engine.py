@@ -11,6 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..operators.components import components as connected
+
 _own_dir: list[str] = []
 
 #: Rows and bytes of an Arrow batch, and bytes of input files that one shuffle partition of packed rows may stand for.
@@ -44,26 +46,15 @@ def shared_dir(spark: SparkSession) -> str:
     return _own_dir[0]
 
 
-def write(df: DataFrame, label: str) -> tuple[DataFrame, str]:
-    """(df read back from Parquet in the shared folder, its path)."""
-    spark = df.sparkSession
-    bound_batches(spark)
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path), path
-
-
 def stored(df: DataFrame, label: str) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: cuts lineage, survives lost executors.
 
     Results read it lazily, so it stays until whoever owns the shared folder clears it."""
-    return write(df, label)[0]
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    """Delete a written folder that nothing reads any more."""
-    where = spark._jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+    spark = df.sparkSession
+    bound_batches(spark)
+    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def same_row() -> F.Column:
@@ -118,30 +109,7 @@ def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], Iterable[pa.Record
     return df.mapInArrow(lean(run), schema)
 
 
-def components(edges: DataFrame, nodes: DataFrame | None = None, rounds: int = 60) -> DataFrame:
-    """(node, component): component is the smallest node reachable over edges (a, b), any number of them.
-
-    Min-label propagation with pointer jumping: each round takes the smallest label around a node,
-    then follows the label's own label, so chains shrink geometrically.  Each round is stored durably.
-    nodes: further nodes without edges.  Null ends are ignored.
-    """
-    spark = edges.sparkSession
-    e = edges.select(F.col("a").cast("long"), F.col("b").cast("long")).where("a is not null and b is not null and a <> b")
-    both = stored(e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
-    ids = both.select(F.col("a").alias("node")).distinct()
-    labels, path = write(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("component")), "labels")
-    for _ in range(rounds):
-        around = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("component").alias("m"))
-        near = labels.join(around, labels.node == around.a).select("node", F.least("component", "m").alias("component"), F.col("component").alias("was"))
-        jump = labels.select(F.col("node").alias("via"), F.col("component").alias("far"))
-        after, now = write(near.join(jump, near.component == jump.via).select("node", F.least("component", "far").alias("component"), "was"), "labels")
-        remove(spark, path)
-        labels, path = after.select("node", "component"), now
-        if after.where("component <> was").isEmpty():
-            break
-    else:
-        raise RuntimeError("components did not settle")
-    if nodes is None:
-        return labels
-    alone = nodes.select(F.col("node").cast("long")).distinct().join(ids, "node", "left_anti")
-    return labels.unionByName(alone.select("node", F.col("node").alias("component")))
+def components(edges: DataFrame, nodes: DataFrame | None = None) -> DataFrame:
+    """(node, component) with 64-bit names; see the core operator."""
+    ends = edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b"))
+    return connected(ends, nodes if nodes is None else nodes.select(F.col("node").cast("long").alias("node")))

@@ -13,8 +13,10 @@ at least 3/4; classes are the connected components of all links.  The result is
    Segments are spent in the order of their cost, so sets with enough cheap tokens spend nothing on dear ones.
 3. Join: equal keys are linked to the smallest fingerprint that has them, first within a task, then over
    all tasks, so no group is ever expanded to pairs.  Components of these edges hold every possible link.
-4. Verify: inside a component all pairs are compared exactly, by matrix products over blocks of bounded
-   size; true links give the final components.
+4. Verify, exactly, by matrix products over blocks of bounded size.  First every candidate against the smallest one it was
+   joined to, which costs no more than the candidates.  Where these links already hold a component together, it is done;
+   of any other the greatest part that hangs together is the core, and the strays alone are compared with each other
+   and with the core.  True links give the final components.
 
 Words are runs of other characters than space and controls 9 to 13, A-Z lower-cased.  Fewer than w words: the whole
 sequence is the one shingle.  Null, empty or wordless texts: the empty set, linked with nothing.  Repeated rows
@@ -393,6 +395,32 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array([names[x] for x, _ in pairs], pa.int64()), pa.array([names[y] for _, y in pairs], pa.int64())], ["a", "b"])
 
 
+def _blocked(fp: str, blocks: str) -> F.Column:
+    return F.pmod(F.xxhash64(F.lit(3), F.col(fp)), F.col(blocks)).cast("int")
+
+
+def _star_tasks(stars: DataFrame) -> DataFrame:
+    """Each candidate against the smallest one it is joined to: (cluster, i, j, side, fp); many candidates of one leader are several tasks."""
+    sizes = stored(stars.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks")), "sizes")
+    mine = stars.join(sizes, "cluster").select("cluster", _blocked("fp", "blocks").alias("i"), F.lit(-1).alias("j"), F.lit(1).alias("side"), "fp")
+    lead = sizes.select("cluster", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("i"), F.lit(-1).alias("j"), F.lit(0).alias("side"), F.col("cluster").alias("fp"))
+    return mine.unionByName(lead)
+
+
+def _stray_tasks(parted: DataFrame) -> DataFrame:
+    """What (node, component, part) leaves to compare: in each component of candidates the greatest part is the core, known to hang
+    together; all others, the strays, meet each other and the core, as pairs of blocks.  Core sets never meet."""
+    sizes = parted.groupBy("component", "part").agg(F.count("*").alias("n"))
+    core = sizes.groupBy("component").agg(F.min(F.struct((-F.col("n")).alias("less"), "part")).alias("top"), F.sum("n").alias("all"))
+    core = core.select("component", F.col("top.part").alias("core"), F.ceil((F.col("all") + F.col("top.less")) / BLOCK).cast("int").alias("strays"), F.ceil(-F.col("top.less") / BLOCK).cast("int").alias("cores"))
+    left = parted.join(stored(core.where("strays > 0"), "cores"), "component")
+    inner = left.where("part = core").withColumn("i", F.explode(F.sequence(F.lit(0), F.col("strays") - 1)))
+    inner = inner.select(F.col("component").alias("cluster"), "i", (F.col("strays") + _blocked("node", "cores")).alias("j"), F.lit(1).alias("side"), F.col("node").alias("fp"))
+    outer = left.where("part <> core").withColumn("mine", _blocked("node", "strays")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("strays") + F.col("cores") - 1)))
+    outer = outer.select(F.col("component").alias("cluster"), F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.when(F.col("mine") <= F.col("other"), 0).otherwise(1).alias("side"), F.col("node").alias("fp"))
+    return inner.unionByName(outer)
+
+
 def classes(docs: DataFrame, w: int = W, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id: one row per row of docs."""
     return _classes(docs, w, id_col, text_col).drop("th")
@@ -409,23 +437,29 @@ def _classes(docs: DataFrame, w: int, id_col: str = "doc_id", text_col: str = "t
     registry = state.where(f"kind = {REGISTRY}").select("doc_id", "th", "n", "fp")
     edges = state.where(f"kind in ({KEYS}, {EDGES})").repartitionById(parts, F.col("part")).mapInArrow(lean(_join_keys(parts)), ROW)
     edges = edges.repartitionById(parts, F.col("part")).mapInArrow(lean(_distinct_edges), "a long, b long")
+    edges = stored(edges, "candidates")
     clusters = stored(components(edges), "clusters")
-    sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
     first = registry.where("n > 0").groupBy("fp").agg(F.min(F.struct("doc_id", "th")).alias("one"))
-    members = clusters.join(stored(sizes, "sizes"), "component").join(first, clusters["node"] == first["fp"]).select(F.col("one.doc_id").alias("d"), F.col("one.th").alias("t"), "fp", "component", "blocks")
+    members = clusters.join(first, clusters["node"] == first["fp"]).select(F.col("one.doc_id").alias("d"), F.col("one.th").alias("t"), "fp")
 
     def sets(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for lo, hi, buf, off in text_slices(batch, "text"):
             s = pa.array([x.tobytes() for x in shingle_sets(buf, off, w)], pa.binary())
-            part = batch.slice(lo, hi - lo)
-            yield pa.RecordBatch.from_arrays([part.column(1), part.column(2), part.column(3), s], ["fp", "component", "blocks", "tokens"])
-
-    given = map_batches(docs.join(members, same_row()).select("text", "fp", "component", "blocks"), sets, "fp long, component long, blocks int, tokens binary")
-    mine = F.pmod(F.xxhash64(F.lit(3), "fp"), F.col("blocks")).cast("int")
-    dealt = given.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("component", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.when(F.col("mine") <= F.col("other"), 0).otherwise(1).alias("side"), "fp", "tokens")
-    links = dealt.repartition(parts, "component", "i", "j").mapInArrow(lean(_verify), "a long, b long")
-    joined = components(links)
+            yield pa.RecordBatch.from_arrays([batch.column(1).slice(lo, hi - lo), s], ["fp", "tokens"])
+
+    # two rows of one id and text are one set
+    tokens = stored(map_batches(docs.join(members, same_row()).select("text", "fp"), sets, "fp long, tokens binary").dropDuplicates(["fp"]), "tokens")
+
+    def links(tasks: DataFrame) -> DataFrame:
+        """True links inside tasks (cluster, i, j, side, fp)."""
+        given = tasks.join(tokens, "fp").select("cluster", "i", "j", "side", "fp", "tokens")
+        return stored(given.repartition(parts, "cluster", "i", "j").mapInArrow(lean(_verify), "a long, b long"), "links")
+
+    stars = stored(edges.groupBy(F.col("b").alias("fp")).agg(F.min("a").alias("cluster")), "stars")
+    near = links(_star_tasks(stars))
+    parted = stored(clusters.join(components(near).select(F.col("node").alias("fp"), F.col("component").alias("part")), F.col("node") == F.col("fp"), "left").select("node", "component", F.coalesce("part", "node").alias("part")), "parted")
+    rest = links(_stray_tasks(parted))
+    joined = components(near.unionByName(rest))
     named = stored(registry.join(joined, registry["fp"] == joined["node"], "left").select("doc_id", "th", "n", F.coalesce("component", "fp").alias("class")), "named")
     # stored, so that Spark can split the class that a third of all rows may be in
     least = stored(named.groupBy("class").agg(F.min("doc_id").alias("component_id"), F.count("*").alias("many")).where("many > 1").select("class", "component_id"), "least")

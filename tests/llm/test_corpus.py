@@ -163,6 +163,22 @@ def test_large_group_is_split_and_frequent_tokens_use_deletions(spark, monkeypat
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.classes(docs).collect()} == want
 
 
+def test_strays_meet_the_core_and_each_other(spark, monkeypatch):
+    """Chains whose ends are far apart, over several blocks: links that no leader sees are found among strays."""
+    monkeypatch.setattr(ngram_join, "BLOCK", 4)
+    texts = []
+    for c in range(6):
+        x = [f"c{c}w{i}" for i in range(64)]
+        for step in range(12):  # each differs from the one before in a few words, ends share little
+            texts.append(" ".join(x))
+            x[5 * step % 60] = f"c{c}s{step}"
+            x[5 * step % 60 + 1] = f"c{c}t{step}"
+    docs = more(spark, texts, 0).repartition(6)
+    want = brute_classes([(r.doc_id, r.text) for r in docs.collect()])
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.classes(docs).collect()} == want
+    assert len({c for _, c in want.values()}) < len(texts)
+
+
 def test_segments_meet_for_every_pair_within_reach():
     """Pigeonhole: two sets within the bound always share a key, for rare and frequent tokens."""
     rng = np.random.default_rng(1)
@@ -312,6 +328,23 @@ def test_components_of_chains_and_stars(spark):
     assert got == {**{i: 100 for i in range(100, 161)}, **{i: 7 for i in [7, *range(200, 240)]}, 1: 1}
 
 
+def test_components_of_edges_that_differ_when_computed_again(spark):
+    """A spanning forest that depends on what arrives first: whichever one is read, one component comes out."""
+
+    def forest(batches):
+        import random
+
+        import pyarrow as pa
+
+        for b in batches:
+            nodes = b.column(0).to_pylist()
+            random.shuffle(nodes)
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[:-1], pa.int64()), pa.array(nodes[1:], pa.int64())], ["a", "b"])
+
+    got = engine.components(spark.range(0, 200, 1, 1).mapInArrow(forest, "a long, b long")).collect()
+    assert len(got) == 200 and {r.component for r in got} == {0}
+
+
 def test_toxicity_chain_held_out():
     rng = np.random.default_rng(0)
     vocab = [f"w{i}" for i in range(300)]
