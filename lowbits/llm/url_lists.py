@@ -6,8 +6,9 @@ come after adds.  A capture is tested against the entries in force on its fetch
 domain, and by host plus first path segment.
 
 The intervals of a key are folded to one row, so the as-of join is an equi-join on (kind, key) that returns at most
-one row per capture and key.  A list whose rows are within ``BROADCAST_ROWS`` is broadcast (size checked by a count);
-beyond that both sides are spread over salts, so one host with a third of all captures meets many tasks.
+one row per site (host, first segment, fetch day) and key.  A list whose rows are within ``BROADCAST_ROWS`` is broadcast (size checked by a count);
+beyond that both sides are spread over salts, so one host with a third of all captures meets many tasks.  No made-up row numbers are joined on, so a recomputed
+partition gives the same rows.
 
 Edge cases: null or unparsable URLs have an empty host and match nothing; a null fetch day matches nothing; entries with a
 null key, kind or day are ignored, a null category is "listed"; repeated entries and rows change nothing; an empty list
@@ -35,7 +36,7 @@ def intervals(entries: DataFrame) -> DataFrame:
 
 
 def capture_keys(captures: DataFrame, url_col: str = "url") -> DataFrame:
-    """captures with host and keys (array of kind, key)."""
+    """captures with host, segment and keys (array of kind, key), which follow from host and segment."""
     host = F.lower(F.coalesce(F.regexp_extract(url_col, HOST, 1), F.lit("")))
     segment = F.coalesce(F.regexp_extract(url_col, SEGMENT, 1), F.lit(""))
     d = captures.withColumn("host", host).withColumn("segment", segment).withColumn("labels", F.split("host", r"\."))
@@ -45,26 +46,27 @@ def capture_keys(captures: DataFrame, url_col: str = "url") -> DataFrame:
             transform(sequence(1, greatest(size(labels) - 1, 1)), i -> named_struct('kind', 'domain', 'key', array_join(slice(labels, i, size(labels)), '.'))),
             case when segment = '' then array() else array(named_struct('kind', 'prefix', 'key', concat(host, '/', segment))) end) end"""
     )
-    return d.withColumn("keys", keys).drop("labels", "segment")
+    return d.withColumn("keys", keys).drop("labels")
 
 
 def evaluate(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", day_col: str = "fetched", broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """id, host, fetched, blocked, n_rules, rules (kind:key:category, sorted), listed_since; one row per row of captures."""
     spans = intervals(entries).groupBy("kind", "key").agg(F.collect_list(F.struct("from_day", "to_day", "category")).alias("spans"))  # one key's history
-    rows = captures.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(day_col).cast("date").alias("fetched")).withColumn("row", F.monotonically_increasing_id())
-    rows = capture_keys(rows, "url").drop("url")
-    tests = rows.select("row", "fetched", F.explode("keys").alias("k")).select("row", "fetched", "k.kind", "k.key")
+    rows = capture_keys(captures.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(day_col).cast("date").alias("fetched")), "url").drop("url")
+    # a verdict follows from host, segment and day: each of these is tested once, however many captures share it
+    site = ["host", "segment", "fetched"]
+    tests = rows.where("fetched is not null").select(*site, "keys").distinct().select(*site, F.explode("keys").alias("k")).select(*site, "k.kind", "k.key")
     if spans.limit(broadcast_rows + 1).count() <= broadcast_rows:
         met = tests.join(F.broadcast(spans), ["kind", "key"])
     else:
         salted = spans.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-        met = tests.withColumn("salt", F.pmod(F.xxhash64("row"), F.lit(SALTS)).cast("int")).join(salted, ["kind", "key", "salt"])
-    held = met.select("row", "kind", "key", F.filter("spans", lambda x: (x["from_day"] <= F.col("fetched")) & (x["to_day"].isNull() | (F.col("fetched") < x["to_day"]))).alias("held"))
-    rules = held.where("size(held) > 0").groupBy("row").agg(
+        met = tests.withColumn("salt", F.pmod(F.xxhash64(*site), F.lit(SALTS)).cast("int")).join(salted, ["kind", "key", "salt"])
+    held = met.select(*site, "kind", "key", F.filter("spans", lambda x: (x["from_day"] <= F.col("fetched")) & (x["to_day"].isNull() | (F.col("fetched") < x["to_day"]))).alias("held"))
+    rules = held.where("size(held) > 0").groupBy(*site).agg(
         F.array_sort(F.flatten(F.collect_list(F.transform("held", lambda x: F.concat_ws(":", "kind", "key", x["category"]))))).alias("rules"),
         F.min(F.array_min(F.transform("held", lambda x: x["from_day"]))).alias("listed_since"),
     )  # at most the keys of one URL
-    out = rows.drop("keys").join(rules, "row", "left")
+    out = rows.drop("keys").join(rules, site, "left")
     return out.select(F.col("id").alias(id_col), "host", "fetched", F.col("rules").isNotNull().alias("blocked"), F.coalesce(F.size("rules"), F.lit(0)).cast("long").alias("n_rules"), F.coalesce(F.array_join("rules", ","), F.lit("")).alias("rules"), F.col("listed_since"))
 
 
