@@ -6,9 +6,10 @@ at least ``LEAST_WORDS`` words.  "Earlier" looks at all lines, kept or not, so t
 
 Only the first line of each form takes part in the join.  Lossless screen: forms within one edit share their first
 or their second half.  Forms that share a half emit every variant with one word deleted, as hashed keys:
-(variant, position) keys meet replacements, (variant) keys meet a form that is the variant itself.  All
-members of the first kind of key are one edit apart, so a key needs only its earliest member, first per
-task, then over all tasks; no group is expanded to pairs.  The words of every pair found are compared.
+(variant, position) keys meet replacements, (variant) keys meet a form that is the variant itself.  All forms with
+one variant at one position are one edit apart, so only the earliest of them stands for both kinds of key, first per
+task, then over all tasks: the others go by it anyway.  A key holds at most one entry for each position, however many
+lines share the variant, and no group is expanded to pairs.  The words of every pair found are compared.
 
 Edge cases: null and empty texts have no words; lines without words stay; repeated rows of one doc_id and text tie and
 stay together, lines of two texts under one doc_id and line number are ordered by a hash of the text; rows with a null
@@ -36,6 +37,7 @@ _SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.i
 LINE, HALVES, SHARED = range(3)
 _HALF = np.dtype([("key", "<u8"), ("form", "<u8")])
 _SPOT = np.dtype([("key", "<u8"), ("doc", "<i8"), ("line", "<i8"), ("role", "<i4")])
+#: What an entry is; from SHORTER on, a form without the word at position role - SHORTER.
 REPLACE, SELF, SHORTER = 0, 1, 2
 #: A line's place in its document: its number, then so many bits of a hash of the text, which tell texts of one id apart.
 TAG_BITS = 24
@@ -174,24 +176,27 @@ def _pair_rows(part, doc, line, by_doc=None, by_line=None, blob=None, text=None)
 
 
 def _earlier(e: np.ndarray) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:
-    """(entries that others still have to meet, [(later, earlier)] found among e)."""
+    """(entries that others still have to meet, [(later, earlier)] found among e).
+
+    Of entries with one key and role only the earliest stays.  A form that shares a variant and its position with an earlier one
+    goes by that one, so what equals the variant need not meet it too."""
     e = e[np.lexsort((e["line"], e["doc"], e["role"], e["key"]))]
     key, role = e["key"], e["role"]
     new = np.concatenate(([True], (key[1:] != key[:-1]) | (role[1:] != role[:-1])))
     first = np.flatnonzero(new)
     lead = np.repeat(first, np.diff(np.append(first, len(e))))
-    pairs = []
-    rep = (role == REPLACE) & ~new
-    pairs.append((e[rep], e[lead[rep]]))
-    # a form that equals a variant, against forms with that variant: self entries sort before shorter ones
+    later = (role == REPLACE) & ~new
+    pairs = [(e[later], e[lead[later]])]
+    # a form that equals a variant, against the forms left with that variant: self entries sort before shorter ones
+    e = e[new]
+    key, role = e["key"], e["role"]
     begin = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
     top = np.repeat(begin, np.diff(np.append(begin, len(e))))
-    meets = (role == SHORTER) & (role[top] == SELF)
+    meets = (role >= SHORTER) & (role[top] == SELF)
     s, d = e[top[meets]], e[meets]
     before = (s["doc"] < d["doc"]) | ((s["doc"] == d["doc"]) & (s["line"] < d["line"]))
     pairs += [(d[before], s[before]), (s[~before], d[~before])]
-    keep = (role != REPLACE) | new
-    return e[keep], pairs
+    return e, pairs
 
 
 def _variants(parts: int):
@@ -219,7 +224,7 @@ def _variants(parts: int):
                 e = np.empty(2 * len(v) + len(a), _SPOT)
                 e["key"] = np.concatenate((mix(v + (i.astype(U64) + U64(1)) * U64(0x9E3779B97F4A7C15)), v, s.run(a, b)))
                 e["doc"], e["line"] = doc_ids[np.concatenate((owner, owner, np.arange(len(a))))], line[np.concatenate((owner, owner, np.arange(len(a))))]
-                e["role"] = np.repeat([REPLACE, SHORTER, SELF], [len(v), len(v), len(a)])
+                e["role"] = np.concatenate((np.full(len(v), REPLACE), SHORTER + i, np.full(len(a), SELF)))
                 e = np.unique(e)
                 rest, pairs = _earlier(e)
                 for x, y in pairs:

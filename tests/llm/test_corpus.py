@@ -89,6 +89,25 @@ def test_line_dedup_with_shared_and_null_ids_and_clashing_columns(spark):
     assert line_dedup.drop_lines(docs.where("false")).count() == 0
 
 
+def test_lines_of_one_template(spark):
+    """Thousands of lines that share a variant leave an entry for each position, and the result of brute force."""
+    rng = np.random.default_rng(4)
+    frame = BASE.split()[:9]
+    lines = [" ".join(frame[:k] + [f"w{int(rng.integers(10**6))}"] + frame[k:]) for k in (4, 4, 4, 4, 9, 0) for _ in range(50)]
+    for own in (0, 150, 300):  # the variant itself comes first, amid, last
+        mixed = [*lines[:own], " ".join(frame), *lines[own:]]
+        texts = ["\n".join(mixed[i : i + 7]) for i in range(0, len(mixed), 7)]
+        docs = more(spark, texts).repartition(5)
+        want = brute_lines([(r.doc_id, r.text) for r in docs.collect()])
+        assert {r.doc_id: r.removed for r in line_dedup.line_report(docs).collect()} == want
+        assert sum(map(len, want.values())) >= len(lines) - 3
+    n = 5000
+    e = np.zeros(2 * n, line_dedup._SPOT)
+    e["key"], e["doc"], e["role"] = 9, np.arange(2 * n), line_dedup.SHORTER + np.arange(2 * n) % 2
+    left, pairs = line_dedup._earlier(e)
+    assert left["doc"].tolist() == [0, 1] and not any(len(x) for x, _ in pairs)
+
+
 def brute_classes(docs, w=5):
     sets = {}
     for i, t in docs:
