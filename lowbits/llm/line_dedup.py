@@ -130,7 +130,9 @@ def _lines(parts: int):
                 h = word_hashes(buf, starts, ends, ALNUM_WORDS)
                 s = Spans(h)
                 form, second = s.run(a, b), Spans(h, 1).run(a, b)
-                yield _rows(LINE, _part(form, parts).astype(np.int32), ids.slice(lo, hi - lo).take(pa.array(d)), line, (b - a).astype(np.int32), form.view(np.int64), second.view(np.int64), None)
+                own = ids.slice(lo, hi - lo).take(pa.array(d))
+                place = mix(own.to_numpy().astype(U64) ^ mix(line.astype(U64)))  # lines only pass by, so copies of one may lie anywhere
+                yield _rows(LINE, _part(place, parts).astype(np.int32), own, line, (b - a).astype(np.int32), form.view(np.int64), second.view(np.int64), None)
                 k = b - a >= LEAST_WORDS
                 a, b, form = a[k], b[k], form[k]
                 if not len(a):
