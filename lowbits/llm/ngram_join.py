@@ -45,7 +45,7 @@ KEY_COST, MEETING_COST, COARSE = 1.0, 0.1, 4
 CLASSES = 16
 FLUSH_TOKENS = 1 << 20
 ROW = "kind int, part int, doc_id long, n long, fp long, blob binary, th long"
-REGISTRY, TOKENS, MATCHED, KEYS, EDGES = range(5)
+REGISTRY, TOKENS, MATCHED, KEYS, EDGES, SIZES = range(6)
 _SCHEMA = pa.schema([("kind", pa.int32()), ("part", pa.int32()), ("doc_id", pa.int64()), ("n", pa.int64()), ("fp", pa.int64()), ("blob", pa.binary()), ("th", pa.int64())])
 _ENTRY = np.dtype([("fp", "<u8"), ("key", "<u8")])
 _PAIR = np.dtype([("a", "<u8"), ("b", "<u8")])
@@ -67,8 +67,17 @@ def _by_part(kind: int, part: np.ndarray, entries: np.ndarray) -> list[tuple]:
     return [(kind, int(part[a]), None, None, None, entries[a:b].tobytes()) for a, b in zip(np.append(0, cut), np.append(cut, len(part))) if b > a]
 
 
+def _sized(kind: int, sets: list[tuple[int, int]], parts: int, ids: pa.Array | None = None, th: pa.Array | None = None) -> pa.RecordBatch:
+    """Rows (size, fingerprint): with ids dealt by row, as copies of one set may be a third of all rows, else by fingerprint."""
+    n, f = np.array([x[0] for x in sets], np.int64), np.array([x[1] for x in sets], U64)
+    null = lambda t: pa.nulls(len(n), t)
+    own = f if ids is None else mix(mix(ids.fill_null(0).to_numpy(zero_copy_only=False).astype(U64)) ^ th.to_numpy().astype(U64))
+    columns = [pa.array(np.full(len(n), kind, np.int32)), pa.array(_part(own, parts).astype(np.int32)), null(pa.int64()) if ids is None else ids, pa.array(n), pa.array(f.view(np.int64)), null(pa.binary()), null(pa.int64()) if th is None else th]
+    return pa.RecordBatch.from_arrays(columns, schema=_SCHEMA)
+
+
 def _emit(w: int, parts: int):
-    """Registry rows of all documents, and packed tokens of the distinct sets a task meets."""
+    """Registry rows of all documents, dealt by row, and sizes and packed tokens of the distinct sets a task meets, dealt by set and token."""
 
     def pack(held: list, fps: list) -> list[tuple]:
         sizes = np.array([len(s) for s in held])
@@ -110,19 +119,20 @@ def _emit(w: int, parts: int):
         for batch in batches:
             ids = batch.column(0)
             for lo, hi, buf, off in text_slices(batch, "text"):
-                registry = []
+                registry, new = [], []
                 for s in shingle_sets(buf, off, w):
                     fp = int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little")
                     registry.append((len(s), fp))
                     if len(s) and fp not in seen:
                         if len(seen) < 1 << 20:
                             seen.add(fp)
+                        new.append((len(s), fp))
                         held.append(s)
                         fps.append(fp)
                         size += len(s)
-                n, f = np.array([x[0] for x in registry], np.int64), np.array([x[1] for x in registry], U64)
-                z = pa.nulls(hi - lo, pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(hi - lo, REGISTRY, np.int32)), pa.array(_part(f, parts).astype(np.int32)), ids.slice(lo, hi - lo), pa.array(n), pa.array(f.view(np.int64)), z, batch.column(2).slice(lo, hi - lo)], schema=_SCHEMA)
+                yield _sized(REGISTRY, registry, parts, ids.slice(lo, hi - lo), batch.column(2).slice(lo, hi - lo))
+                if new:
+                    yield _sized(SIZES, new, parts)
                 if size >= FLUSH_TOKENS:
                     yield _rows(pack(held, fps))
                     held, fps, size = [], [], 0
@@ -153,7 +163,7 @@ def allocation() -> np.ndarray:
 
 
 def _match(parts: int):
-    """Tokens that occur in more than one set, by set.  Registry and matched rows pass through."""
+    """Tokens that occur in more than one set, by set.  All other rows pass through."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, fps, hot, hot_n = [], [], [], []
@@ -280,7 +290,8 @@ def _allocate(parts: int):
             registry = batch.filter(pa.array(kind == REGISTRY))
             if registry.num_rows:
                 yield registry
-                sizes.update(zip(registry.column(4).to_pylist(), registry.column(3).to_pylist()))
+            sized = batch.filter(pa.array(kind == SIZES))
+            sizes.update(zip(sized.column(4).to_pylist(), sized.column(3).to_pylist()))
             found += [np.frombuffer(x.as_buffer(), _ENTRY) for x in batch.filter(pa.array(kind == MATCHED)).column(5)]
         if not found:
             return
