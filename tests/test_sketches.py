@@ -40,6 +40,37 @@ def test_exact_against_python(spark):
     assert {(r.id_l, r.id_r) for r in pairs.prefix_join(s, 0.2).collect()} == want
 
 
+def test_given_pairs_are_counted_by_ranges_of_elements(spark, monkeypatch):
+    s = small(spark)
+    py = as_sets(s)
+    ids = sorted(py)
+    given = [(i, j) for i in ids for j in ids if i < j] + [(0, 1), (0, 999)]  # one pair twice, one set that does not exist
+    want = sorted((i, j, len(py[i]), len(py[j]), len(py[i] & py[j])) for i, j in given if j != 999)
+    named = s.select(F.concat(F.lit("w"), F.col("set_id")).alias("set_id"), F.col("elem").cast("string").alias("elem"))
+    for bitmap_bytes in (64 << 20, 0):
+        monkeypatch.setattr(exact, "BITMAP_BYTES", bitmap_bytes)
+        monkeypatch.setattr(exact, "LEAST_ELEMENTS", 50)
+        monkeypatch.setattr(exact, "CELLS", 16)
+        got = exact.of_pairs(s, spark.createDataFrame(given, "id_l long, id_r long"))
+        assert sorted((r.id_l, r.id_r, r.f_l, r.f_r, r.a) for r in got.collect()) == want
+        got = exact.of_pairs(named, spark.createDataFrame([(f"w{i}", f"w{j}") for i, j in given], "id_l string, id_r string"))
+        assert sorted((int(r.id_l[1:]), int(r.id_r[1:]), r.f_l, r.f_r, r.a) for r in got.collect()) == want
+    for limit in (1 << 20, 0):
+        monkeypatch.setattr(exact, "BITMAP_BYTES", limit)
+        members = [(i, x) for i in ids for x in py[i]]
+        number = {x: n for n, x in enumerate(sorted({x for _, x in members}))}
+        at = {x: n for n, x in enumerate(ids)}
+        pairs_ = [(at[i], at[j]) for i, j in given if j != 999]
+        n = exact.overlaps(np.array([at[i] for i, _ in members]), np.array([number[x] for _, x in members]), len(ids), len(number), *np.array(pairs_).T)
+        assert n.tolist() == [len(py[i] & py[j]) for i, j in given if j != 999]
+
+
+def test_given_pairs_send_no_set_for_each_pair(spark):
+    """Before, both sets of every pair were shuffled as arrays: rows of the joins held collected elements."""
+    plan = exact.of_pairs(small(spark), spark.createDataFrame([(0, 1)], "id_l long, id_r long"))._jdf.queryExecution().optimizedPlan().toString()
+    assert "collect_list" not in plan and "array_intersect" not in plan
+
+
 def test_shingles_edges(spark):
     docs = spark.createDataFrame([(1, "A b, c D e f"), (2, "a b"), (3, None), (4, ""), (5, "a b c d e a b c d e")], "doc_id long, text string")
     f = {r.set_id: r.f for r in sets.sizes(sets.shingles(docs)).collect()}
