@@ -33,6 +33,16 @@ def test_twin(spark, db, name):
     assert canon(df.columns, [tuple(r) for r in df.collect()]) == canon(rel.columns, rel.fetchall())
 
 
+MEASURED = ["rel_sql_functions", *(f"planner_{x}" for x in ("best_b", "sample_size")), *(f"theory_{x}" for x in "chance_mass floor_slope fold_storage gain_equal gain_limit gain_onebit headlines inflation match_prob".split())]
+
+
+@pytest.mark.parametrize("name", MEASURED)
+def test_closed_forms_read_events(spark, name):
+    """Before, these queries made their parameters up and read no table."""
+    files = entry.queries()[name](spark, SF).inputFiles()
+    assert files and all(f.endswith("/events.parquet") for f in files)
+
+
 def test_entry(spark):
     df = entry.entry(spark)
     assert {"r_hat", "r_exact"} <= set(df.columns) and df.count() > 0

@@ -95,3 +95,8 @@ def test_column_twins(spark):
         assert x.e == pytest.approx(t.match_prob(x.R, x.r1, x.r2, x.b), rel=1e-9)
         assert x.v == pytest.approx(t.var_low(x.R, x.r1, x.r2, x.b, 10), rel=1e-9)
         assert x.w == pytest.approx(t.var_fold(x.R, x.r1, x.r2, 10), rel=1e-9) and x.one == 0
+
+
+def test_breakeven_in_closed_form():
+    for r1, r2 in ((1e-12, 1e-12), (0.1, 0.1), (0.3, 0.2), (0.02, 0.015)):
+        assert math.isclose(planner.fold_breakeven_closed(r1, r2), planner.fold_breakeven(r1, r2), rel_tol=1e-6)
