@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from lowbits.functions import hashing, theory
-from lowbits.operators import estimators, exact, metrics, pairs, planes, sets, signature, simulate
+from lowbits.operators import blocks, estimators, exact, metrics, pairs, planes, sets, signature, simulate
 from lowbits.sources.io import load_signatures, save_signatures
 
 D = float(hashing.PRIME)
@@ -71,6 +71,26 @@ def test_given_pairs_send_no_set_for_each_pair(spark):
     assert "collect_list" not in plan and "array_intersect" not in plan
 
 
+def test_integer_test_loses_no_pair():
+    """Pairs are estimated only where their mismatches allow r0; before, every pair was."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(9)
+    for k, b, domain, r0 in ((64, 1, 1000.0, 0.3), (64, 2, D, 0.3), (32, 2, 300.0, 0.0), (128, 4, 900.0, 0.5), (64, 31, None, 0.3), (64, 2, 1000.0, -0.2), (64, 1, D, None)):
+        n, words = 90, -(-k // 64)
+        base = rng.integers(0, 2**63, (b, 9, words))
+        flips = [rng.integers(0, 2**63, (n, words)) & rng.integers(0, 2**63, (n, words)) & rng.integers(0, 2**63, (n, words)) for _ in range(b)]
+        cols = {"set_id": pa.array(range(n)), "f": pa.array(rng.integers(1, 290, n))} | {f"plane_{i}": pa.array((base[i][np.arange(n) % 9] ^ flips[i]).tolist(), pa.list_(pa.int64())) for i in range(b)}
+        sides = [blocks.Side(pa.table(cols).slice(lo, 45), list(cols)[2:]) for lo in (0, 45)]
+        ((_, _, m),) = blocks.mismatch_counts(*sides, 0, 45, [k], [b])
+        share = (k - m.astype(int)) / k
+        if domain is not None:
+            floor, slope = blocks.floors_slopes(sides[0].f, sides[1].f, domain, b)
+            share = (share - floor) / slope
+        most = blocks.most_mismatches(*sides, k, b, r0, domain)
+        assert r0 is None and most == k or not ((share >= r0 - 1e-9) & (m > most)).any()
+
+
 def test_copies_meet_once(spark):
     """Equal sets are one in every join; before, each element of 40 copies made 780 pairs, and a document of the pairs came out of them."""
     rng = np.random.default_rng(5)
