@@ -40,6 +40,26 @@ def test_exact_against_python(spark):
     assert {(r.id_l, r.id_r) for r in pairs.prefix_join(s, 0.2).collect()} == want
 
 
+def test_all_pairs_are_counted_where_blocks_meet(spark, monkeypatch):
+    """Before, all pairs came out of a nested loop and were shuffled to a join with those that share an element."""
+    monkeypatch.setattr(blocks, "LEAST_BLOCK", 4)
+    monkeypatch.setattr(blocks, "MOST_MEMBERS", 300)
+    monkeypatch.setattr(blocks, "ROWS_AT_ONCE", 7)
+    monkeypatch.setattr(blocks, "CELLS", 12)
+    s = small(spark)
+    py = as_sets(s)
+    named = s.select(F.concat(F.lit("w"), F.col("set_id")).alias("set_id"), F.col("elem").cast("string").alias("elem"))
+    for df, key in ((s, int), (named, lambda x: int(x[1:]))):
+        p = exact.all_pairs(df)
+        assert "Join" not in p._jdf.queryExecution().optimizedPlan().toString()
+        got = p.collect()
+        assert len(got) == len(py) * (len(py) - 1) // 2 == len({(r.id_l, r.id_r) for r in got}) and all(r.id_l < r.id_r for r in got)
+        for r in got:
+            x, y = py[key(r.id_l)], py[key(r.id_r)]
+            assert (r.f_l, r.f_r, r.a, r.r) == (len(x), len(y), len(x & y), len(x & y) / len(x | y))
+    assert exact.all_pairs(s.where("elem < 0")).count() == 0
+
+
 def test_given_pairs_are_counted_by_ranges_of_elements(spark, monkeypatch):
     s = small(spark)
     py = as_sets(s)
