@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from lowbits.functions import hashing, theory
-from lowbits.operators import blocks, estimators, exact, metrics, pairs, planes, sets, signature, simulate
+from lowbits.operators import blocks, estimators, exact, metrics, pairs, planes, ranks, sets, signature, simulate
 from lowbits.sources.io import load_signatures, save_signatures
 
 D = float(hashing.PRIME)
@@ -60,6 +60,41 @@ def test_all_pairs_are_counted_where_blocks_meet(spark, monkeypatch):
     assert exact.all_pairs(s.where("elem < 0")).count() == 0
 
 
+@pytest.mark.parametrize("name", ["exact_distance", "rel_join_left_outer_zero", "rel_win_running_k", "est_low_suppliers"])
+def test_results_of_every_pair_shuffle_no_pair(spark, name):
+    """Before, pairs went through a nested loop and a join, through a window, or to disk and back."""
+    import __spark_entry__ as entry
+
+    plan = entry.queries()[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Window" not in plan and plan.index("MapInArrow") < plan.index("RepartitionByExpression")
+
+
+def test_equal_samples_of_every_pair(spark, monkeypatch):
+    monkeypatch.setattr(blocks, "LEAST_BLOCK", 4)
+    monkeypatch.setattr(blocks, "ROWS_AT_ONCE", 7)
+    rng = np.random.default_rng(3)
+    z = {i: [int(x) for x in rng.integers(0, 3, 64)] for i in range(19)}
+    got = blocks.equal_samples(spark.createDataFrame([(i, 1, x) for i, x in z.items()], "set_id long, f long, z array<long>"), 64).collect()
+    want = {(i, j): sum(1 << n for n in range(64) if z[i][n] == z[j][n]) for i in z for j in z if i < j}
+    assert len(got) == len(want) and {(r.id_l, r.id_r): r.equal % 2**64 for r in got} == want
+
+
+def test_minima_are_ranked_by_counting(spark, monkeypatch):
+    """Before, every permutation of the universe was sorted, and its keys were shuffled."""
+    s = small(spark)
+    named = s.select(F.concat(F.lit("w"), F.col("set_id")).alias("set_id"), F.concat(F.lit("x" * 60), F.col("elem")).alias("elem"))
+    wide = s.select("elem").unionByName(spark.range(500).select(F.col("id").alias("elem")))
+    for rows, elements, table, most in ((1 << 20, 1 << 16, 1 << 27, 1 << 22), (40, 30, 900, 30)):
+        for name, value in (("ROWS", rows), ("ELEMENTS", elements), ("TABLE_BYTES", table), ("MINIMA", most)):
+            monkeypatch.setattr(ranks, name, value)
+        for df, universe, k, seed, together in ((s, None, 5, 0, False), (s, wide, 70, 3, True), (named, None, 5, 1, True)):
+            want = sorted(tuple(r) for r in signature.build_full(df, "perm", k, seed, universe).select("set_id", "f", "z").collect())
+            got = ranks.minima(df, k, seed, universe, together)
+            assert "Window" not in got._jdf.queryExecution().optimizedPlan().toString()
+            assert sorted(tuple(r) for r in got.collect()) == want
+    assert ranks.minima(s.where("elem < 0"), 5).count() == 0
+
+
 def test_given_pairs_are_counted_by_ranges_of_elements(spark, monkeypatch):
     s = small(spark)
     py = as_sets(s)
