@@ -69,6 +69,22 @@ def test_results_of_every_pair_shuffle_no_pair(spark, name):
     assert "Join" not in plan and "Window" not in plan and plan.index("MapInArrow") < plan.index("RepartitionByExpression")
 
 
+def test_only_blocks_of_like_sizes_meet(spark, monkeypatch):
+    """Before, each set met every set of its band of sizes and of both next ones in a join, one row for each pair."""
+    rng = np.random.default_rng(4)
+    rows = [(i, int(f), [int(x) for x in rng.integers(0, 2**40, 1)], [int(x) for x in rng.integers(0, 2**40, 1)]) for i, f in enumerate([*rng.integers(1, 90, 80), *[40] * 30, 10**6])]
+    sig = spark.createDataFrame(rows, "set_id long, f long, plane_0 array<long>, plane_1 array<long>").cache()
+    for least in (256, 6):
+        monkeypatch.setattr(blocks, "LEAST_BLOCK", least)
+        for ratio in (0.5, 0.9, 1.0):
+            want = sorted(tuple(r) for r in blocks.compare(sig, 64, 2).collect() if min(r.f_l, r.f_r) >= ratio * max(r.f_l, r.f_r))
+            assert want and sorted(tuple(r) for r in blocks.compare(sig, 64, 2, ratio=ratio).collect()) == want
+    met = blocks.met_by_size(sig, ["plane_0"], 16, 0.9, 8).select("i", "j").distinct().count()
+    assert met < 16 * 17 // 2 // 2
+    assert "l.band" not in pairs.size_filtered(sig, 64, 2, 0.5, D)._jdf.queryExecution().optimizedPlan().toString()
+    assert pairs.size_filtered(sig.where("f < 0"), 64, 2, 0.5, D).count() == 0
+
+
 def test_equal_samples_of_every_pair(spark, monkeypatch):
     monkeypatch.setattr(blocks, "LEAST_BLOCK", 4)
     monkeypatch.setattr(blocks, "ROWS_AT_ONCE", 7)
