@@ -111,6 +111,16 @@ def test_minima_are_ranked_by_counting(spark, monkeypatch):
     assert ranks.minima(s.where("elem < 0"), 5).count() == 0
 
 
+@pytest.mark.parametrize("name", ["signature_bias"])
+def test_experiments_sort_no_permutation(spark, monkeypatch, name):
+    """Before, every permutation of the documents was sorted."""
+    from lowbits.experiments import workloads
+
+    monkeypatch.setattr(hashing, "permutations", None)
+    small_runs = {"signature_bias": dict(k=5, reps=2)}
+    assert getattr(workloads, name)(spark, "/root/testdata/sf0.001", **small_runs[name]).count() > 0
+
+
 def test_given_pairs_are_counted_by_ranges_of_elements(spark, monkeypatch):
     s = small(spark)
     py = as_sets(s)
