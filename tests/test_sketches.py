@@ -111,13 +111,25 @@ def test_minima_are_ranked_by_counting(spark, monkeypatch):
     assert ranks.minima(s.where("elem < 0"), 5).count() == 0
 
 
-@pytest.mark.parametrize("name", ["signature_bias"])
+def test_pairs_of_few_sets_are_counted_in_tasks(spark, monkeypatch):
+    """Before, each element that many words share made a row for each pair of them."""
+    s = small(spark)
+    named = s.select(F.concat(F.lit("w"), F.col("set_id")).alias("set_id"), F.col("elem").cast("string").alias("elem"))
+    for df in (s, named):
+        want = sorted(tuple(r) for r in exact.resemblance(df).collect())
+        for most in (1 << 22, 20):
+            monkeypatch.setattr(exact, "MOST_ELEMENTS", most)
+            assert sorted(tuple(r) for r in exact.of_few(df).collect()) == want
+    assert exact.of_few(s.where("elem < 0")).count() == 0
+
+
+@pytest.mark.parametrize("name", ["signature_bias", "pr_words"])
 def test_experiments_sort_no_permutation(spark, monkeypatch, name):
     """Before, every permutation of the documents was sorted."""
     from lowbits.experiments import workloads
 
     monkeypatch.setattr(hashing, "permutations", None)
-    small_runs = {"signature_bias": dict(k=5, reps=2)}
+    small_runs = {"signature_bias": dict(k=5, reps=2), "pr_words": {}}
     assert getattr(workloads, name)(spark, "/root/testdata/sf0.001", **small_runs[name]).count() > 0
 
 
