@@ -111,6 +111,26 @@ def test_minima_are_ranked_by_counting(spark, monkeypatch):
     assert ranks.minima(s.where("elem < 0"), 5).count() == 0
 
 
+def test_full_width_pairs_meet_by_their_minima(spark, tmp_path, monkeypatch):
+    """Before, 31 planes of each document were sent to every block and all pairs were compared."""
+    from lowbits.plans import set_queries
+
+    rng = np.random.default_rng(8)
+    base = [f"w{x}" for x in rng.integers(0, 900, 160)]
+    near = [" ".join(base[:n] + [f"v{x}" for x in rng.integers(0, 900, 160 - n)]) for n in range(30, 160, 10)]
+    texts = [*enumerate(near + near[:4] + [near[0]] * 3 + ["too short", None])]
+    spark.createDataFrame(texts, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    s = set_queries.doc_sets(spark, str(tmp_path)).cache()
+    z = {r.set_id: r.z for r in signature.build_full(s, k=64).collect()}
+    py = as_sets(s)
+    equal = {(i, j): sum(x == y for x, y in zip(z[i], z[j])) for i in z for j in z if i < j}
+    want = {(i, j, len(py[i]), len(py[j]), n, round(len(py[i] & py[j]) / len(py[i] | py[j]), 6)) for (i, j), n in equal.items() if n / 64 >= 0.3}
+    assert 20 < len(want) < len(equal)
+    monkeypatch.setattr(blocks, "pairs_of_blocks", None)
+    got = [(r.id_l, r.id_r, r.f_l, r.f_r, r.matches, r.r_exact) for r in set_queries.est_full_docs(spark, str(tmp_path)).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+
+
 def test_pairs_of_few_sets_are_counted_in_tasks(spark, monkeypatch):
     """Before, each element that many words share made a row for each pair of them."""
     s = small(spark)
