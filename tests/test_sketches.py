@@ -131,6 +131,44 @@ def test_full_width_pairs_meet_by_their_minima(spark, tmp_path, monkeypatch):
     assert len(got) == len(set(got)) and set(got) == want
 
 
+def test_low_bit_pairs_of_documents_are_neither_sent_nor_stored(spark, tmp_path, monkeypatch):
+    """Before, signatures were sent to every block, and pairs found by chance were stored and sent once for each range of elements."""
+    from lowbits.plans import set_queries
+
+    rng = np.random.default_rng(9)
+    base = [f"w{x}" for x in rng.integers(0, 900, 160)]
+    near = [" ".join(base[:n] + [f"v{x}" for x in rng.integers(0, 900, 160 - n)]) for n in range(30, 160, 10)]
+    texts = [*enumerate(near + near[:4] + [near[0]] * 3 + ["too short", None]), (3, near[9]), (3, None), (None, near[0]), (None, near[0])]
+    for name, rows in (("once", texts[:-4]), ("again", texts)):
+        sf = str(tmp_path / name)
+        spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{sf}/documents.parquet")
+        s = set_queries.doc_sets(spark, sf).where("set_id is not null").cache()
+        py = as_sets(s)
+        for b, least, packed, members in ((1, 256, 1 << 15, 1 << 22), (2, 3, 4, 1 << 22), (4, 3, 1 << 15, 200)):
+            for module, name, value in ((blocks, "LEAST_BLOCK", least), (blocks, "MOST_PACKED", packed), (blocks, "MOST_MEMBERS", members), (blocks, "ROWS_AT_ONCE", 9), (blocks, "SLOTS", 64), (signature, "AT_ONCE", 300)):
+                monkeypatch.setattr(module, name, value)
+            sig = planes.from_full(signature.build_full(s, k=64), 64, b)
+            want = {(r.id_l, r.id_r, r.f_l, r.f_r, r.matches, round(r.r_hat, 6), round(len(py[r.id_l] & py[r.id_r]) / len(py[r.id_l] | py[r.id_r]), 6)) for r in pairs.all_pairs(sig, 64, b, 0.3, D).where("r_hat >= 0.3").collect()}
+            df = set_queries.QUERIES[f"est_low_b{b}_docs"](spark, sf)
+            assert "Exchange" not in plan_of(df) and "Repartition" not in df._jdf.queryExecution().optimizedPlan().toString()
+            got = [(r.id_l, r.id_r, r.f_l, r.f_r, r.matches, r.r_hat, r.r_exact) for r in df.collect()]
+            assert len(want) > 20 and len(got) == len(set(got)) and set(got) == want
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/none/documents.parquet")
+    assert set_queries.QUERIES["est_low_b1_docs"](spark, f"{tmp_path}/none").count() == 0
+
+
+def test_minima_of_arrays(spark):
+    """Any 64-bit elements, with repeats, nulls and empty arrays."""
+    rows = [(1, [5, None, 5, 2**31 - 2, 0]), (2, []), (3, None), (4, [2**31 - 1, 7]), (5, [3]), (6, [None])]
+    for more in ([], [(7, [2**40, 1, -9, 1])]):
+        got = {r.set_id: (r.f, r.elems, r.z) for r in signature.nested(spark.createDataFrame(rows + more, "id long, e array<long>"), "id", "e", 70, kept="bigint").collect()}
+        for i, e in rows + more:
+            own = sorted({x for x in e or () if x is not None})
+            assert (i in got) == bool(own)
+            if own and max(own) < 2**32:
+                assert got[i] == (len(own), own, [min((a * x + c) % (2**31 - 1) for x in own) for a, c in hashing.coefficients(70)])
+
+
 def test_pairs_of_few_sets_are_counted_in_tasks(spark, monkeypatch):
     """Before, each element that many words share made a row for each pair of them."""
     s = small(spark)
