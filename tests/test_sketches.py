@@ -157,6 +157,17 @@ def test_low_bit_pairs_of_documents_are_neither_sent_nor_stored(spark, tmp_path,
     assert set_queries.QUERIES["est_low_b1_docs"](spark, f"{tmp_path}/none").count() == 0
 
 
+@pytest.mark.parametrize("name", ["est_low_customers", "est_low_user_days"])
+def test_ranks_and_pairs_of_baskets_are_not_sent(spark, monkeypatch, name):
+    """Before, every permutation was sorted and joined to the sets, signatures were sent to every block and pairs once for each range of elements."""
+    from lowbits.plans import set_queries
+
+    monkeypatch.setattr(hashing, "permutations", None)
+    monkeypatch.setattr(exact, "common", None)
+    df = set_queries.QUERIES[name](spark, "/root/testdata/sf0.001")
+    assert "Exchange" not in plan_of(df) and df.count() > 0
+
+
 def test_minima_of_arrays(spark):
     """Any 64-bit elements, with repeats, nulls and empty arrays."""
     rows = [(1, [5, None, 5, 2**31 - 2, 0]), (2, []), (3, None), (4, [2**31 - 1, 7]), (5, [3]), (6, [None])]
