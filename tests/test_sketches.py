@@ -157,6 +157,28 @@ def test_low_bit_pairs_of_documents_are_neither_sent_nor_stored(spark, tmp_path,
     assert set_queries.QUERIES["est_low_b1_docs"](spark, f"{tmp_path}/none").count() == 0
 
 
+def test_only_elements_of_pairs_are_sent(spark, monkeypatch):
+    """Before, every element was sent, and every pair once for each range of 65,536 elements."""
+    monkeypatch.setattr(exact, "LEAST_ELEMENTS", 4)
+    s = small(spark)
+    py = as_sets(s)
+    given = [(0, 1), (2, 3), (1, 50), (51, 52)]
+    for few in (1 << 17, 0):
+        monkeypatch.setattr(exact, "FEW", few)
+        df = exact.common(s, spark.createDataFrame(given, "id_l long, id_r long"))
+        assert ("LeftSemi" in df._jdf.queryExecution().optimizedPlan().toString()) == bool(few)
+        assert {(r.id_l, r.id_r): r.a for r in df.collect()} == {(i, j): len(py[i] & py[j]) for i, j in given}
+
+
+def test_sets_of_documents_are_not_sent(spark, monkeypatch):
+    """Before, est_full_docs sent the elements of all documents to find copies and stored them as 64-bit numbers."""
+    from lowbits.plans import set_queries
+
+    monkeypatch.setattr(sets, "shingles", None)
+    monkeypatch.setattr(pairs, "alike", None)
+    assert set_queries.est_full_docs(spark, "/root/testdata/sf0.001").count() > 0
+
+
 @pytest.mark.parametrize("name", ["est_low_customers", "est_low_user_days"])
 def test_ranks_and_pairs_of_baskets_are_not_sent(spark, monkeypatch, name):
     """Before, every permutation was sorted and joined to the sets, signatures were sent to every block and pairs once for each range of elements."""
